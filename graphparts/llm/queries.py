@@ -9,6 +9,13 @@ from pyspark.sql import DataFrame, SparkSession
 from graphparts.llm.common import table
 
 
+def op2_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from graphparts.llm.substring_dedup import remove_repeats
+
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return remove_repeats(docs, digest_only=True).select("doc_id", "n_words", "n_removed", "kept_sha256")
+
+
 def op8_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     from graphparts.llm.media_ts import media_digests
 
@@ -25,5 +32,20 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {k: v for k, v in sorted(globals().items()) if k.startswith("op") and callable(v)}
 
 
+OP2_SQL = r"""
+WITH d AS (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+win AS (SELECT doc_id, i, md5(array_to_string(w[i:i + 34], ' ')) AS k
+        FROM (SELECT doc_id, w, unnest(range(1, len(w) - 33)) AS i FROM d)),
+hit AS (SELECT doc_id, i FROM win WHERE k IN (SELECT k FROM win GROUP BY k HAVING count(*) > 1)),
+gone AS (SELECT DISTINCT doc_id, unnest(range(i, i + 35)) AS pos FROM hit),
+word AS (SELECT doc_id, w, unnest(range(1, len(w) + 1)) AS pos FROM d),
+kept AS (SELECT doc_id, string_agg(w[pos], ' ' ORDER BY pos) AS t, count(*) AS n
+         FROM word ANTI JOIN gone USING (doc_id, pos) GROUP BY doc_id)
+SELECT doc_id, len(w)::BIGINT AS n_words, (len(w) - coalesce(n, 0))::BIGINT AS n_removed,
+       sha256(coalesce(t, '')) AS kept_sha256
+FROM d LEFT JOIN kept USING (doc_id)
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op2_substring_dedup": OP2_SQL}
