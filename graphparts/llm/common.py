@@ -70,3 +70,13 @@ def word_hashes(words: list[bytes]) -> np.ndarray:
 
 def odd_constants(n: int, seed: int) -> np.ndarray:
     return mix(np.arange(1, n + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(seed)) | np.uint64(1)
+
+
+def hashed_sample(df: DataFrame, n: int, key: str) -> DataFrame:
+    """The rows of ``df`` with the ``n`` smallest hashes of ``key`` (ties may add some).
+
+    Only hashes are ranked; the other columns are read once the cut is known.
+    """
+    h = F.xxhash64(F.lit(7), F.col(key))
+    cut = df.select(h.alias("h")).orderBy("h").limit(n).agg(F.max("h")).first()[0]
+    return df.where(h <= F.lit(cut)) if cut is not None else df.limit(0)

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphparts.llm.common import fold_column, held_out_column, mapped
+from graphparts.llm.common import fold_column, hashed_sample, held_out_column, mapped
 
 WORD = re.compile(r"[^\W\d_]+")
 UNDETERMINED = "und"
@@ -73,18 +73,12 @@ class Model:
 
 
 def fit(labelled: DataFrame, *, text: str = "text", lang: str = "lang", doc_id: str = "doc_id", max_docs: int = 4000, max_words: int = 60_000, max_n: int = 5) -> Model:
-    """Learn from at most ``max_docs`` labelled rows, those of the smallest hashed doc_id.
+    """Learn from ``max_docs`` labelled rows at most, those of the smallest hashed doc_id.
 
     ``max_words`` bounds the words and the n-grams kept for each language.
     """
-    rows = (
-        labelled.where(F.col(text).isNotNull() & F.col(lang).isNotNull())
-        .select(F.xxhash64(F.col(doc_id)).alias("h"), F.col(doc_id).alias("i"), F.col(text).alias("t"), F.col(lang).alias("l"))
-        .orderBy("h", "i", "t", "l")
-        .limit(max_docs)
-        .select("t", "l")
-        .toArrow()
-    )
+    usable = labelled.where(F.col(text).isNotNull() & F.col(lang).isNotNull())
+    rows = hashed_sample(usable, max_docs, doc_id).select(text, lang).toArrow()
     words: dict[str, Counter] = {}
     for t, language in zip(rows.column(0).to_pylist(), rows.column(1).to_pylist(), strict=True):
         words.setdefault(language, Counter()).update(WORD.findall(t.lower()))
