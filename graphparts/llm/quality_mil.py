@@ -15,6 +15,7 @@ one kind only, every score is that kind's share (0.5 without labels).
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -29,7 +30,7 @@ _KINDS = ("space", "newline", "lower", "upper", "digit", "stop", "comma", "shout
 
 
 def _kind_of_byte() -> np.ndarray:
-    of = np.full(256, _KINDS.index("other"), np.int64)
+    of = np.full(256, _KINDS.index("other"), np.int32)
     of[128:] = _KINDS.index("beyond")
     for kind, chars in (("space", " \t\r\x0b\x0c"), ("newline", "\n"), ("stop", "."), ("comma", ",;:"), ("shout", "!?"), ("pipe", "|"), ("symbol", "#$%&*@^~+=_\\/"), ("bracket", "()[]{}<>"), ("quote", "'\"`-")):
         for c in chars:
@@ -109,6 +110,18 @@ def encode(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
     return np.hstack([np.sqrt(counts / size[:, None]), own]), n_passages
 
 
+def portions(texts: list[str | None], chars: int = 300_000) -> Iterator[list[str | None]]:
+    """Consecutive texts, about ``chars`` characters together, so that memory is bounded by the longest text."""
+    begin, held = 0, 0
+    for k, t in enumerate(texts):
+        held += len(t or "")
+        if held >= chars:
+            yield texts[begin : k + 1]
+            begin, held = k + 1, 0
+    if begin < len(texts):
+        yield texts[begin:]
+
+
 @dataclass
 class Model:
     mean: np.ndarray
@@ -159,7 +172,8 @@ def train(texts: list[str | None], labels: np.ndarray, *, hidden: int = 24, gate
     labels = np.asarray(labels, float)
     if len(set(labels.tolist())) < 2:
         return Model(np.zeros(0), np.zeros(0), {}, float(labels.mean()) if len(labels) else 0.5)
-    x, n = encode(texts)
+    encoded = [encode(part) for part in portions(texts)]
+    x, n = np.concatenate([e[0] for e in encoded]), np.concatenate([e[1] for e in encoded])
     mean, scale = x.mean(axis=0), x.std(axis=0) + 1e-3
     x = (x - mean) / scale
     r = np.random.default_rng(seed)
@@ -210,10 +224,7 @@ def score(df: DataFrame, model: Model, *, doc_id: str = "doc_id", text: str = "t
     shared = df.sparkSession.sparkContext.broadcast(model)
 
     def run(batch: pa.RecordBatch) -> dict:
-        texts, y = batch.column(2).to_pylist(), []
-        for at in range(0, len(texts), 500):
-            y.append(shared.value.scores(texts[at : at + 500]))
-        y = np.concatenate(y)
+        y = np.concatenate([shared.value.scores(part) for part in portions(batch.column(2).to_pylist())])
         return {"doc_id": batch.column(0), "held_out": batch.column(1), "score": y, "predicted": (y >= 0.5).astype(np.int32)}
 
     return mapped(
