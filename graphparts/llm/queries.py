@@ -9,6 +9,12 @@ from pyspark.sql import DataFrame, SparkSession
 from graphparts.llm.common import table
 
 
+def op1_secret_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from graphparts.llm.secret_scan import labelled_findings, scan, train
+
+    return scan(table(spark, sf_dir, "documents"), train(labelled_findings(spark)))
+
+
 def op2_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from graphparts.llm.substring_dedup import remove_repeats
 
