@@ -53,7 +53,7 @@ def _chosen(tokens: np.ndarray, node: np.uint64, limit: np.uint64) -> np.ndarray
     """Keys of the children of ``node`` that this set enters."""
     draw = mix(tokens ^ node)
     hit = draw < limit
-    return mix(draw[hit] ^ (node * np.uint64(3)))
+    return mix(draw[hit] ^ np.array([node]) * np.uint64(3))
 
 
 def paths(tokens: np.ndarray, runs: int, threshold: float) -> tuple[list, list, list]:

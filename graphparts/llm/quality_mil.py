@@ -237,3 +237,17 @@ def score(df: DataFrame, model: Model, *, doc_id: str = "doc_id", text: str = "t
 def quality(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
     """Learn from labels of rows that are not held out, and score every row."""
     return score(docs, fit(docs, labels.where(fold_column() != 1), **options))
+
+
+def keep(df: DataFrame, model: Model, *, text: str = "text", least: float = 0.5) -> DataFrame:
+    """The rows of ``df``, unchanged, whose text scores ``least`` or more."""
+    shared = df.sparkSession.sparkContext.broadcast(model)
+    place = df.columns.index(text)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if batch.num_rows:
+                y = np.concatenate([shared.value.scores(part) for part in portions(batch.column(place).to_pylist())])
+                yield batch.filter(pa.array(y >= least))
+
+    return df.mapInArrow(run, df.schema)
