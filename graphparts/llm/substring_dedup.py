@@ -233,7 +233,7 @@ def remove_repeats(
     window: int = 35,
     gram: int = 8,
     rows: int = 2,
-    block_docs: int = 4096,
+    block_docs: int = 1024,
     slab_docs: int = 40_000,
     digest_only: bool = False,
 ) -> DataFrame:
