@@ -34,6 +34,12 @@ def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return equal_byte_shards(table(spark, sf_dir, "documents"))
 
 
+def op5_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from graphparts.llm.bpe import encode_and_decode
+
+    return encode_and_decode(table(spark, sf_dir, "documents"))
+
+
 def op6_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     from graphparts.llm.ngram_join import near_duplicates
 
