@@ -7,6 +7,7 @@ may still take. Labels of the whole graph never leave Spark: the driver sees p r
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass
 
 import pandas as pd
@@ -90,7 +91,7 @@ def part_state(s: Sizes, stage: Stage, cfg: PartitionConfig) -> pd.DataFrame:
     f = cfg.factor(stage.t) if cfg.multiplier else 1.0 / cfg.n_workers
     rows = []
     for i, (sv, se, sc) in enumerate(zip(s.sv, s.se, s.sc, strict=True)):
-        room = int((max_v - sv) // f) if f > 0 else 1 << 40
+        room = math.floor((max_v - sv) / f) if f > 0 else 1 << 40
         w = weight(stage.imb_v, sv) if stage.kind.startswith("vertex") else stage.re * weight(max_e, se) + stage.rc * weight(max_c, sc)
         rows.append((i, sv, se, sc, w, max(room, 0)))
     return pd.DataFrame(rows, columns=["part", "sv", "se", "sc", "wt", "room"])
