@@ -22,3 +22,9 @@ def portable_hash(x: Column | str, seed: int | Column = 0) -> Column:
 
 def portable_hash_of(x: int, seed: int = 0) -> int:
     return (x % PRIME * FIRST + seed % PRIME) % PRIME * SECOND % PRIME
+
+
+def portable_draw(x: Column | str, seed: int = 0) -> Column:
+    """Like :func:`portable_hash`, but squared in between: draws of different seeds are not shifts of each other."""
+    h = portable_hash(x, seed)
+    return portable_hash(h * h % PRIME, seed + 1)

@@ -12,7 +12,7 @@ from graphparts.functions import udx
 from graphparts.functions.hashing import portable_hash
 from graphparts.operators import analytics, distribution, metrics, spmv
 from graphparts.operators.graph import Graph, degree_histogram, graph_of, hubs, stats
-from graphparts.plans import baselines, initial
+from graphparts.plans import baselines, experiments, initial
 from graphparts.plans import sweeps as sw
 from graphparts.plans.config import PartitionConfig
 from graphparts.plans.partitioner import PartitionResult, _Run, partition
@@ -396,3 +396,8 @@ query("degree_percentiles", sql.graph(MAIN) + "SELECT v, deg, round((rank() OVER
     .crossJoin(main_graph(s, d).vertices.agg((F.count("*") - 1).alias("rest"))).select("v", "deg", F.round(F.col("below") / F.col("rest"), 9).alias("share"))
 )
 query("stream_edges", "SELECT user_id, date_trunc('hour', ts) AS hour, count(*) AS events FROM events GROUP BY ALL")(lambda s, d: streams.drained(streams.hourly_edges(streams.event_stream(s, d)), "hourly").select("user_id", F.col("hour").cast("timestamp_ntz").alias("hour"), "events"))
+
+# --- experiment workloads -------------------------------------------------------------------------------
+
+for _name, _make in experiments.WORKLOADS.items():
+    query(_name)(_make)

@@ -32,6 +32,9 @@ class PartitionConfig:
     edge_measure: str = "internal"  # or incident
     own_mask: bool = False  # whether a full part also loses its own vertices
     distribution: str = "random"
+    #: random: a balance phase that ends with a part over its limit sends hash-chosen vertices of such parts to parts below
+    #: it, as label propagation alone cannot fill a part that no neighbourhood touches; none: never.
+    drain: str = "random"
     early_stop: bool = False
     rebuild: int = 5  # delta: sweeps between rewrites of the histogram
     extra: dict = field(default_factory=dict)
@@ -46,6 +49,7 @@ class PartitionConfig:
             "vertex_score": ("degree", "count"),
             "edge_score": ("degree", "count"),
             "edge_measure": ("internal", "incident"),
+            "drain": ("random", "none"),
             "distribution": ("random", "vertex_block", "edge_block"),
         }
         for name, values in known.items():

@@ -14,7 +14,7 @@ from graphparts.operators.graph import Graph
 from graphparts.plans import initial
 from graphparts.plans.config import PartitionConfig
 from graphparts.plans.scratch import dropped, written
-from graphparts.plans.sweeps import Sizes, Stage, admitted, histogram, moved, patch, patched, proposals, sizes
+from graphparts.plans.sweeps import Sizes, Stage, admitted, drained, histogram, moved, patch, patched, proposals, sizes
 from graphparts.plans.worker import packed, worker_sweep
 
 
@@ -97,6 +97,25 @@ class _Run:
         self.sweep += 1
         return count
 
+    def drain(self) -> int:
+        """Vertices forced out of parts over their limit."""
+        total, limit = 0, self.imb_v
+        for _ in range(3):  # numbers drawn by hash only come near what is wanted
+            s = sizes(self.g.vertices, self.parts, self.p)
+            wanted = drained(self.parts, self.owners, s, limit, self.cfg.seed + self.sweep)
+            if wanted is None:
+                break
+            moves = written(wanted, "moves")
+            count = moves.count()
+            self.history.append({"stage": "drain", "sweep": self.sweep, "mult": 0.0, "moves": count, "max_v": max(s.sv), "max_e": 0, "max_c": 0, "cut": 0, "re": self.re, "rc": self.rc})
+            if not count:
+                break
+            self.histogram() if self.cfg.executor == "delta" else None
+            self.apply(moves)
+            self.sweep += 1
+            total += count
+        return total
+
     def stage(self, name: str) -> None:
         cfg, t = self.cfg, 0
         for _ in range(cfg.outer):
@@ -111,8 +130,12 @@ class _Run:
                     if cfg.early_stop and not count:
                         t += times - k - 1  # the schedule goes on as if they had run
                         break
+                if step == "balance" and cfg.drain == "random" and self.drain():
+                    quiet = False
             if cfg.early_stop and quiet:
-                return
+                break
+        if cfg.drain == "random" and any(x.startswith(name) for x in cfg.stages):
+            self.drain()  # early sweeps may admit more than fits, by up to 1 / y times
 
 
 def partition(g: Graph, p: int, cfg: PartitionConfig | None = None, parts: DataFrame | None = None, **options) -> PartitionResult:

@@ -9,11 +9,13 @@ from __future__ import annotations
 
 import math
 from dataclasses import dataclass
+from functools import reduce
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from graphparts.functions.hashing import PRIME, portable_draw
 from graphparts.operators.graph import Graph
 from graphparts.plans.config import PartitionConfig
 
@@ -146,6 +148,26 @@ def admitted(wanted: DataFrame, s: Sizes, stage: Stage, cfg: PartitionConfig) ->
     return x.where(ok).select("v", "old", "new", "owner")
 
 
+def drained(parts: DataFrame, owners: DataFrame, s: Sizes, limit: float, seed: int) -> DataFrame | None:
+    """``(v, old, new, owner)``: about as many vertices of each part over ``limit`` as it is over it, spread over the parts below it.
+
+    Which vertices go, and where, is decided by hash against p numbers, so nothing is ranked.
+    """
+    top = int(limit)
+    room = [max(top - v, 0) for v in s.sv]
+    if max(s.sv) <= top or not sum(room):
+        return None
+    leave = reduce(lambda c, i: c.when(F.col("part") == i, F.lit((s.sv[i] - top) / s.sv[i])), [i for i, v in enumerate(s.sv) if v > top], F.when(F.lit(False), F.lit(0.0))).otherwise(0.0)
+    draw = lambda k: portable_draw("v", seed + 7919 * k) / F.lit(PRIME)
+    ends, share = [], 0
+    for i, r in enumerate(room):
+        share += r
+        if r:
+            ends.append((i, share / sum(room)))
+    target = reduce(lambda c, e: c.when(draw(2) < e[1], e[0]), ends[:-1], F.when(F.lit(False), 0)).otherwise(ends[-1][0])
+    return parts.where(draw(0) < leave).join(owners, "v").select("v", F.col("part").alias("old"), target.cast("int").alias("new"), "owner")
+
+
 def moved(parts: DataFrame, moves: DataFrame) -> DataFrame:
     """``parts`` after the moves."""
     return parts.join(moves.select("v", "new"), "v", "left").select("v", F.coalesce("new", "part").alias("part"))

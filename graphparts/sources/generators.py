@@ -5,20 +5,20 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphparts.functions.hashing import PRIME, portable_hash
+from graphparts.functions.hashing import PRIME, portable_draw, portable_hash
 from graphparts.operators.graph import canonical
 
 
 def erdos_renyi(spark: SparkSession, n: int, d_avg: int, seed: int = 42) -> DataFrame:
     """``n * d_avg`` draws of two uniform ends."""
     e = spark.range(n * d_avg)
-    return canonical(e.select((portable_hash("id", seed) % n).alias("src"), (portable_hash(portable_hash("id", seed + 1), seed + 2) % n).alias("dst")))
+    return canonical(e.select((portable_hash("id", seed) % n).alias("src"), (portable_draw("id", seed + 1) % n).alias("dst")))
 
 
 def high_diameter(spark: SparkSession, n: int, d_avg: int, seed: int = 42) -> DataFrame:
     """Every vertex k draws ``d_avg`` ends within ``d_avg`` of itself; ends outside or at k are dropped."""
     e = spark.range(n * d_avg).select(F.floor(F.col("id") / d_avg).cast("bigint").alias("src"), "id")
-    dst = F.col("src") - (d_avg - 1) + portable_hash(portable_hash("id", seed), seed + 1) % (2 * d_avg - 1)
+    dst = F.col("src") - (d_avg - 1) + portable_draw("id", seed) % (2 * d_avg - 1)
     return canonical(e.select("src", dst.alias("dst")).where(f"dst >= 0 and dst < {n}"))
 
 
@@ -29,7 +29,7 @@ def rmat(spark: SparkSession, scale: int, d_avg: int, seed: int = 42, quadrants:
     src: Column = F.lit(0).cast("bigint")
     dst: Column = F.lit(0).cast("bigint")
     for bit in range(scale):
-        draw = portable_hash(F.col("x") + bit * 1009, seed + bit) * 100 / F.lit(PRIME)
+        draw = portable_draw(F.col("x") + bit * 1009, seed + bit) * 100 / F.lit(PRIME)
         src = src * 2 + F.when(draw < a + b, 0).otherwise(1)
         dst = dst * 2 + F.when((draw < a) | ((draw >= a + b) & (draw < a + b + c)), 0).otherwise(1)
     return canonical(e.select(src.alias("src"), dst.alias("dst")))
@@ -48,6 +48,6 @@ def planted(spark: SparkSession, blocks: int, size: int, inside: int, across: in
     """``blocks`` of ``size`` vertices: every vertex draws ``inside`` ends in its block and ``across`` anywhere."""
     n, k = blocks * size, inside + across
     e = spark.range(n * k).select(F.floor(F.col("id") / k).cast("bigint").alias("src"), (F.col("id") % k).alias("nth"), "id")
-    draw = portable_hash(portable_hash("id", seed), seed + 1)
+    draw = portable_draw("id", seed)
     dst = F.when(F.col("nth") < inside, F.floor(F.col("src") / size).cast("bigint") * size + draw % size).otherwise(draw % n)
     return canonical(e.select("src", dst.alias("dst")))

@@ -26,6 +26,10 @@ def h(x: str, seed: object = 0) -> str:
     return f"((((({x}) % 2147483647) * 48271 + {seed}) % 2147483647) * 16807 % 2147483647)"
 
 
+def draw(x: str, seed: int = 0) -> str:
+    return h(f"({h(x, seed)} * {h(x, seed)}) % 2147483647", seed + 1)
+
+
 def graph(name: str, *more: str) -> str:
     """WITH clause: edges, arcs, vertices, and ``more`` common table expressions."""
     base = [
@@ -157,15 +161,15 @@ def canonical(draws: str) -> str:
 
 
 def erdos_renyi(n: int, d: int, seed: int = 42) -> str:
-    return canonical(f"SELECT {h('id', seed)} % {n} AS a, {h(h('id', seed + 1), seed + 2)} % {n} AS b FROM range({n * d}) t(id)")
+    return canonical(f"SELECT {h('id', seed)} % {n} AS a, {draw('id', seed + 1)} % {n} AS b FROM range({n * d}) t(id)")
 
 
 def high_diameter(n: int, d: int, seed: int = 42) -> str:
-    return canonical(f"SELECT * FROM (SELECT id // {d} AS a, id // {d} - {d - 1} + {h(h('id', seed), seed + 1)} % {2 * d - 1} AS b FROM range({n * d}) t(id)) WHERE b >= 0 AND b < {n}")
+    return canonical(f"SELECT * FROM (SELECT id // {d} AS a, id // {d} - {d - 1} + {draw('id', seed)} % {2 * d - 1} AS b FROM range({n * d}) t(id)) WHERE b >= 0 AND b < {n}")
 
 
 def rmat(scale: int, d: int, seed: int = 42) -> str:
-    draws = [f"({h(f'x + {k * 1009}', seed + k)} * 100 / 2147483647)" for k in range(scale)]
+    draws = [f"({draw(f'x + {k * 1009}', seed + k)} * 100 / 2147483647)" for k in range(scale)]
     a = " + ".join(f"(CASE WHEN {q} < 76 THEN 0 ELSE {1 << (scale - 1 - k)} END)" for k, q in enumerate(draws))
     b = " + ".join(f"(CASE WHEN {q} < 57 OR ({q} >= 76 AND {q} < 95) THEN 0 ELSE {1 << (scale - 1 - k)} END)" for k, q in enumerate(draws))
     return canonical(f"SELECT {a} AS a, {b} AS b FROM (SELECT {h('id', seed)} AS x FROM range({(1 << scale) * d}) t(id))")
@@ -178,5 +182,5 @@ def mesh3d(x: int, y: int, z: int) -> str:
 
 def planted(blocks: int, size: int, inside: int, across: int, seed: int = 42) -> str:
     n, k = blocks * size, inside + across
-    draw = h(h("id", seed), seed + 1)
-    return canonical(f"SELECT id // {k} AS a, CASE WHEN id % {k} < {inside} THEN id // {k} // {size} * {size} + {draw} % {size} ELSE {draw} % {n} END AS b FROM range({n * k}) t(id)")
+    end = draw("id", seed)
+    return canonical(f"SELECT id // {k} AS a, CASE WHEN id % {k} < {inside} THEN id // {k} // {size} * {size} + {end} % {size} ELSE {end} % {n} END AS b FROM range({n * k}) t(id)")
