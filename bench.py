@@ -23,6 +23,10 @@ from graphparts.sources import builders  # noqa: E402
 NAMES = "g_supp_part g_degree_stats ghosts exchange_matrix init_grow balance_sweep1 refine_sweep1 edge_balance_sweep1 delta_sweep3 quality_random quality_vertex_block communication pagerank harmonic spmv_1 comm_2d".split()
 
 
+#: Fewer sweeps than the defaults (3 rounds of 5 and 10), so that a run stays within minutes.
+SHORT = {"outer": 1, "balance": 2, "refine": 3, "early_stop": True}
+
+
 def main() -> None:
     d = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
     cpus = os.environ.get("BENCH_CPUS", "8")
@@ -50,9 +54,9 @@ def main() -> None:
     p = 8
     g = builders.graph(spark, d, "cust_supp").stored()
     for name, run in (
-        ("partition_default", lambda: partition(g, p, executor="worker", early_stop=True).parts),
-        ("partition_single_objective", lambda: partition(g, p, executor="worker", mode="vertex", rat_v=0.03, early_stop=True).parts),
-        ("single_node", lambda: baselines.single_node(g, p, early_stop=True, mode="vertex").parts),
+        ("partition_multi", lambda: partition(g, p, executor="worker", **SHORT).parts),
+        ("partition_single_objective", lambda: partition(g, p, executor="worker", mode="vertex", rat_v=0.03, **SHORT).parts),
+        ("single_node", lambda: baselines.single_node(g, p, mode="vertex", **SHORT).parts),
         ("vertex_block", lambda: baselines.vertex_block(g, p)),
         ("random", lambda: baselines.random(g, p)),
     ):

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphparts.functions.hashing import PRIME, portable_draw, portable_hash
+from graphparts.functions.hashing import FIRST, PRIME, portable_draw, portable_hash
 from graphparts.operators.graph import canonical
 
 
@@ -25,11 +25,12 @@ def high_diameter(spark: SparkSession, n: int, d_avg: int, seed: int = 42) -> Da
 def rmat(spark: SparkSession, scale: int, d_avg: int, seed: int = 42, quadrants: tuple[int, int, int] = (57, 19, 19)) -> DataFrame:
     """Recursive quadrants chosen with ``quadrants`` in 100, the rest for the last one."""
     a, b, c = quadrants
-    e = spark.range((1 << scale) * d_avg).withColumn("x", portable_hash("id", seed))
+    h = portable_hash("id", seed)
+    e = spark.range((1 << scale) * d_avg).withColumn("x", h * h % PRIME)
     src: Column = F.lit(0).cast("bigint")
     dst: Column = F.lit(0).cast("bigint")
     for bit in range(scale):
-        draw = portable_draw(F.col("x") + bit * 1009, seed + bit) * 100 / F.lit(PRIME)
+        draw = F.col("x") * pow(FIRST, bit + 1, PRIME) % PRIME * 100 / F.lit(PRIME)
         src = src * 2 + F.when(draw < a + b, 0).otherwise(1)
         dst = dst * 2 + F.when((draw < a) | ((draw >= a + b) & (draw < a + b + c)), 0).otherwise(1)
     return canonical(e.select(src.alias("src"), dst.alias("dst")))

@@ -169,10 +169,10 @@ def high_diameter(n: int, d: int, seed: int = 42) -> str:
 
 
 def rmat(scale: int, d: int, seed: int = 42) -> str:
-    draws = [f"({draw(f'x + {k * 1009}', seed + k)} * 100 / 2147483647)" for k in range(scale)]
+    draws = [f"(x * {pow(48271, k + 1, 2147483647)} % 2147483647 * 100 / 2147483647)" for k in range(scale)]
     a = " + ".join(f"(CASE WHEN {q} < 76 THEN 0 ELSE {1 << (scale - 1 - k)} END)" for k, q in enumerate(draws))
     b = " + ".join(f"(CASE WHEN {q} < 57 OR ({q} >= 76 AND {q} < 95) THEN 0 ELSE {1 << (scale - 1 - k)} END)" for k, q in enumerate(draws))
-    return canonical(f"SELECT {a} AS a, {b} AS b FROM (SELECT {h('id', seed)} AS x FROM range({(1 << scale) * d}) t(id))")
+    return canonical(f"SELECT {a} AS a, {b} AS b FROM (SELECT ({h('id', seed)} * {h('id', seed)}) % 2147483647 AS x FROM range({(1 << scale) * d}) t(id))")
 
 
 def mesh3d(x: int, y: int, z: int) -> str:
