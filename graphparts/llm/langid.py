@@ -12,7 +12,6 @@ a null language are never learned from. With no labelled row at all every text i
 
 from __future__ import annotations
 
-import math
 import re
 from collections import Counter
 from dataclasses import dataclass
@@ -30,9 +29,13 @@ UNDETERMINED = "und"
 
 @dataclass
 class Model:
+    """Known words and n-grams as rows of two tables with a column for each language."""
+
     languages: list[str]
-    words: dict[str, np.ndarray]
-    grams: dict[str, np.ndarray]
+    words: dict[str, int]
+    word_logs: np.ndarray
+    grams: dict[str, int]
+    gram_logs: np.ndarray
     floor: np.ndarray
     max_n: int
 
@@ -43,7 +46,7 @@ class Model:
         while at < len(marked):
             for n in range(min(self.max_n, len(marked) - at), 0, -1):
                 if (hit := self.grams.get(marked[at : at + n])) is not None:
-                    total += hit
+                    total += self.gram_logs[hit]
                     break
             else:
                 n = 1
@@ -58,14 +61,19 @@ class Model:
         counts = Counter(WORD.findall(text.lower()))
         if not counts:
             return UNDETERMINED, 0.0
-        rows = []
-        for w in counts:
-            if (row := self.words.get(w)) is None and (row := cache.get(w)) is None:
+        total, places, often = np.zeros(len(self.languages)), [], []
+        for w, n in counts.items():
+            if (place := self.words.get(w)) is not None:
+                places.append(place)
+                often.append(n)
+                continue
+            if (row := cache.get(w)) is None:
                 row = self.unseen(w)
-                if len(cache) < 200_000:
+                if len(cache) < 50_000:
                     cache[w] = row
-            rows.append(row)
-        total = np.fromiter(counts.values(), float, len(counts)) @ np.array(rows)
+            total += n * row
+        if places:
+            total += np.array(often) @ self.word_logs[places]
         total -= total.max()
         chance = np.exp(total)
         best = int(chance.argmax())
@@ -91,14 +99,14 @@ def fit(labelled: DataFrame, *, text: str = "text", lang: str = "lang", doc_id:
                 for i in range(len(marked) - n + 1):
                     grams[k][marked[i : i + n]] += c
 
-    def logs(counts: dict[str, Counter], least: int) -> dict[str, np.ndarray]:
-        kept = {w for k in languages for w, c in counts[k].most_common(max_words) if c >= least}
-        totals = [sum(counts[k].values()) + len(kept) + 1 for k in languages]
-        return {w: np.array([math.log((counts[k][w] + 0.5) / n) for k, n in zip(languages, totals, strict=True)]) for w in sorted(kept)}
+    def logs(counts: dict[str, Counter], least: int) -> tuple[dict[str, int], np.ndarray]:
+        kept = sorted({w for k in languages for w, c in counts[k].most_common(max_words) if c >= least})
+        totals = np.array([sum(counts[k].values()) + len(kept) + 1 for k in languages], float)
+        table = np.array([[counts[k][w] for k in languages] for w in kept], float).reshape(len(kept), len(languages))
+        return {w: i for i, w in enumerate(kept)}, np.log((table + 0.5) / totals)
 
-    known, pieces = logs(words, 2), logs(grams, 1)
     floor = np.array([math.log(0.5 / (sum(grams[k].values()) + 1)) for k in languages])
-    return Model(languages, known, pieces, floor, max_n)
+    return Model(languages, *logs(words, 2), *logs(grams, 1), floor, max_n)
 
 
 def predict(df: DataFrame, model: Model, *, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
