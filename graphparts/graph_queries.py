@@ -163,7 +163,7 @@ query("move_gain", sql.graph(MAIN, START, OWNERS, *sql.sweeps(["vertex_refine"],
 # --- whole partitions --------------------------------------------------------------------------
 
 #: Fewer sweeps than the defaults, so that all queries together stay quick; the bench runs the defaults.
-SHORT = {"outer": 1, "balance": 2, "refine": 3, "n_workers": N, "early_stop": True}
+SHORT = {"outer": 1, "balance": 1, "refine": 2, "n_workers": N, "early_stop": True}
 
 
 def _partitions() -> dict[str, Callable[[SparkSession, str], PartitionResult]]:
