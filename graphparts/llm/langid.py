@@ -105,7 +105,7 @@ def fit(labelled: DataFrame, *, text: str = "text", lang: str = "lang", doc_id:
         table = np.array([[counts[k][w] for k in languages] for w in kept], float).reshape(len(kept), len(languages))
         return {w: i for i, w in enumerate(kept)}, np.log((table + 0.5) / totals)
 
-    floor = np.array([math.log(0.5 / (sum(grams[k].values()) + 1)) for k in languages])
+    floor = np.array([np.log(0.5 / (sum(grams[k].values()) + 1)) for k in languages])
     return Model(languages, *logs(words, 2), *logs(grams, 1), floor, max_n)
 
 
