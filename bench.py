@@ -62,6 +62,9 @@ def main() -> None:
     ):
         row = metrics.quality(g, timed(name, run), p).first()
         figures |= {f"{name}_edge_cut_ratio": row.edge_cut_ratio, f"{name}_scaled_max_cut": row.scaled_max_cut, f"{name}_vertex_imbalance": row.vertex_imbalance}
+    chain = builders.graph(spark, d, "order_chain").stored()
+    for name, run in (("partition_chain", lambda: partition(chain, p, executor="worker", init="vertex_block", **SHORT).parts), ("random_chain", lambda: baselines.random(chain, p))):
+        figures[f"{name}_edge_cut_ratio"] = metrics.quality(chain, timed(name, run), p).first().edge_cut_ratio
     n, m = g.sizes()
     print(json.dumps({"metric": "total time of the headline queries", "value": round(sum(times.values()), 3), "unit": "sec", "queries": times, "sf": d.rstrip("/").rpartition("sf")[2], "graph": {"n": n, "m": m, "p": p}, "quality": figures}), flush=True)
     spark.stop()
