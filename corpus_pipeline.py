@@ -50,7 +50,7 @@ def substring_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def secret_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Secrets are replaced by a mark."""
-    return _counted(redact(docs, train(labelled_findings(spark))))
+    return _counted(redact(docs, train(labelled_findings(spark, 8000, wide=True), wide=True), wide=True))
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

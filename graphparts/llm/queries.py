@@ -12,7 +12,7 @@ from graphparts.llm.common import table
 def op1_secret_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
     from graphparts.llm.secret_scan import labelled_findings, scan, train
 
-    return scan(table(spark, sf_dir, "documents"), train(labelled_findings(spark)))
+    return scan(table(spark, sf_dir, "documents"), train(labelled_findings(spark, 8000, wide=True), wide=True), wide=True)
 
 
 def op2_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -14,6 +14,11 @@ findings are at hand.
 Defined results: a null or empty text has no finding; every place of a repeated secret in one word
 counts once; repeated rows have the same findings each; other columns pass through, and
 a column named like a result is replaced.
+
+Candidates are narrow by default: long runs and short assigned ones, each with a digit. With
+``wide`` every value after an assignment or a credential word is a candidate, of any characters and length,
+and so is every long run; only the forest decides. The queries and the pipeline are wide. A forest
+serves the candidates it was trained on: pass the same ``wide`` everywhere.
 """
 
 from __future__ import annotations
@@ -27,6 +32,9 @@ from pyspark.sql import functions as F
 #: What may be a secret: long runs, or shorter ones right after an assignment.
 CANDIDATE = r"[A-Za-z0-9+/_\-]{12,}={0,2}|(?<=[=:\"'])[A-Za-z0-9+/_\-]{6,11}(?![A-Za-z0-9+/_\-])"
 _MAYBE = r"[0-9]"
+#: What else may be one with ``wide``, as (pattern, group): long runs without a digit, all that follows an assignment, that up to the next separator, and quoted words.
+WIDE = [(r"[A-Za-z0-9+/_\-]{12,}={0,2}", 0), (r"[=:][=:>]*[\"']?([^\s\"']+)", 1), (r"(?<=[=:\"'&;,>])[^\s\"'=:&;,]+", 0), (r'"([^"\s]+)"', 1), (r"'([^'\s]+)'", 1)]
+_WIDE_PLACE = r"[=:\"']|[A-Za-z0-9+/_\-]{12,}"
 
 # Words that speak for a secret, or against it, beside a candidate.
 FOR = "password passwd pwd passphrase secret token key apikey auth authorization bearer credential private access".split()
@@ -72,8 +80,36 @@ FEATURES: dict[str, Callable[[Column, Column, Column], Column]] = {
 }
 
 
-def _described(value: Column, word: Column, before: Column) -> list[Column]:
-    return [f(value, word, before).alias(k) for k, f in FEATURES.items()]
+#: The credential word, perhaps with a linking word or sign, that ends what stands before a value.
+_CREDENTIAL = rf"(?i)(^|[^a-z0-9])([a-z0-9]*[_\-.])?({_any(FOR)}|pin)[\"']?\s*(is|was|[=:][=:>]*|->)?[\s\"'(]*$"
+_ASSIGNMENT = r"([=:][=:>]*|->)[\s\"'(]*$"
+_PLACEHOLDER = rf"({_any(AGAINST)}|changeme|your|null|none|true|false|require|option|string|dummy|test|redacted|\*\*|xxx|[<>{{}}()\[\]])"
+
+
+def _last(value: Column, word: Column) -> Column:
+    """Characters of ``word`` before the last place of ``value``."""
+    return F.length(word) - F.length(value) - F.position(F.reverse(value), F.reverse(word)) + 1
+
+
+def _lead(v: Column, w: Column, b: Column) -> Column:
+    return F.concat(b, F.lit(" "), F.substring(w, F.lit(1), _last(v, w)))
+
+
+#: The features of wide candidates: context is what stands directly before the value, not anywhere in its word.
+WIDE_FEATURES: dict[str, Callable[[Column, Column, Column], Column]] = FEATURES | {
+    "assigned": lambda v, w, b: F.rlike(_lead(v, w, b), F.lit(_ASSIGNMENT)).cast("double"),
+    "word_for": lambda v, w, b: F.rlike(_lead(v, w, b), F.lit(_CREDENTIAL)).cast("double"),
+    "symbols": lambda v, w, b: _share(v, r"[^A-Za-z0-9+/_\-]"),
+    "vowels": lambda v, w, b: _share(F.lower(v), "[aeiou]"),
+    "prose": lambda v, w, b: F.rlike(v, F.lit(r"^([A-Z]?[^\x00-\x40\x5b-\x60\x7b-\x7f]+[\-/'.,!?]*)+$")).cast("double"),
+    "capitals": lambda v, w, b: F.length(F.regexp_replace(v, "[^A-Z]", "")).cast("double"),
+    "placeholder": lambda v, w, b: F.rlike(F.lower(v), F.lit(_PLACEHOLDER)).cast("double"),
+    "known": lambda v, w, b: F.rlike(v, F.lit(r"^(A[KS]IA[A-Z0-9]{16}|gh[pousr]_|xox[abprs]-|sk_live_|glpat-|AIza)")).cast("double"),
+}
+
+
+def _described(value: Column, word: Column, before: Column, wide: bool = False) -> list[Column]:
+    return [f(value, word, before).alias(k) for k, f in (WIDE_FEATURES if wide else FEATURES).items()]
 
 
 def _candidates(word: Column) -> Column:
@@ -81,7 +117,18 @@ def _candidates(word: Column) -> Column:
     return F.array_distinct(F.filter(F.regexp_extract_all(word, F.lit(CANDIDATE), F.lit(0)), lambda v: F.rlike(v, F.lit(_MAYBE))))
 
 
-def labelled_findings(spark: SparkSession, n: int = 3200) -> DataFrame:
+def _leads(before: Column) -> Column:
+    return F.rlike(before, F.lit(_ASSIGNMENT)) | F.rlike(before, F.lit(_CREDENTIAL))
+
+
+def _wide_candidates(word: Column, before: Column) -> Column:
+    """Distinct candidates of a word by the wide patterns, and the word itself after an assignment or a credential word."""
+    whole = F.when(_leads(before), F.array(F.regexp_replace(word, r"^[\"'(\[{<`=:]+", ""))).otherwise(F.array().cast("array<string>"))
+    found = F.concat(*(F.regexp_extract_all(word, F.lit(p), F.lit(g)) for p, g in WIDE), whole)
+    return F.array_distinct(F.filter(F.transform(found, lambda v: F.regexp_replace(v, r"[\"'`][^A-Za-z0-9]*$|[,;.)\]}>]+$", "")), lambda v: F.length(v) > 0))
+
+
+def labelled_findings(spark: SparkSession, n: int = 3200, *, wide: bool = False) -> DataFrame:
     """``n`` findings ``(before, word, label)`` made by rule from hashes of their numbers."""
     h = F.sha2(F.col("id").cast("string"), 256)
     more = F.sha2(F.concat(F.lit("b"), F.col("id").cast("string")), 256)
@@ -114,29 +161,71 @@ def labelled_findings(spark: SparkSession, n: int = 3200) -> DataFrame:
         (pick(["version", "build", "released", "on"], 40), F.concat(F.lit("2024-01-"), part(digits, 1, 2), pick(["T10-22-33", "-release-", "_backup_"], 44), number), 0),
         (pick(plain, 40), F.concat(F.regexp_replace(part(F.lower(base62), 1, 20), "[0-9]", "a"), part(digits, 1, 1)), 0),
     ]
+    if wide:
+        letters = F.translate(base62, "0123456789", "qwzxkvjyQZ")
+        habits = "correct horse battery dragon monkey purple tiger orange winter summer hunter coffee silver shadow letmein sunshine welcome football".split()
+        prose = "the a to of and is was for in with that he they reset issues property law owner information available people government however reported holder rights once when".split()
+        long = "responsibilities internationalization notwithstanding recommendations representatives characteristics Unfortunately straightforward administration Wissenschaftler particularly neighbourhood telecommunications".split()
+        credential = ["password:", "password =", "the passwd:", "db_password =", "secret:", "password is", "Pwd =", "passphrase:"]
+        glued = ["password=", "passwd=", "pwd:", "secret=", "db_password=", 'password="', "passphrase='", "token="]
+        camel = F.concat(*(F.initcap(pick(habits, a)) for a in (1, 4, 7)))
+        leet = F.concat(F.initcap(F.translate(pick(habits, 1), "aeos", "@30$")), pick(["!", "#", "", "%", "&", "_"], 7), part(digits, 1, 4))
+        kinds += [
+            # secrets
+            (pick(plain, 40), F.concat(pick(glued, 44), camel), 1),
+            (pick(credential, 40), camel, 1),
+            (pick(credential, 40), F.concat(pick(habits, 1), part(digits, 1, 2), pick(["", "x", "!", "$", "z"], 7)), 1),
+            (pick(plain, 40), F.concat(pick(glued, 44), leet, pick(['"', "", ";", "'"], 47)), 1),
+            (pick(credential, 40), leet, 1),
+            (pick(credential, 40), part(base62, 1, 8), 1),
+            (pick(credential, 40), part(letters, 1, 12), 1),
+            (pick(plain, 40), F.concat(pick(glued, 44), part(F.lower(letters), 1, 9)), 1),
+            (pick(credential, 40), part(h, 1, 5), 1),
+            (pick(plain, 40), F.concat(F.lit("AKIA"), part(F.upper(letters), 1, 16)), 1),
+            (pick(plain, 40), part(letters, 1, 36), 1),
+            (pick(["Authorization: Bearer", "api_key:", "use token"], 40), part(letters, 1, 32), 1),
+            # none
+            (pick(["note:", "name:", "title =", "see:", "said:", "type =", "und:", "10:30 ="], 40), pick(prose + long + words, 1), 0),
+            (pick(["password", "secret", "access", "private", "the key", "a token", "authorization", "credential", "secret is", "key was"], 40), F.concat(pick(prose + long + words, 1), pick(["", ",", "."], 44)), 0),
+            (pick(plain, 40), F.concat(pick(["", '"', "'"], 44), pick(long, 1), pick(["", ",", '"'], 47)), 0),
+            (pick(plain, 40), F.concat_ws("-", pick(words, 1), pick(prose, 4), pick(words, 7)), 0),
+            (pick([*credential, "token:"], 40), pick(["required", "null", "none", "string", "true", "optional", "changeme", "example", "****", "<password>", "your_password", "the", "must", "is"], 1), 0),
+            (pick(plain, 40), F.concat(pick(["width=", "lang:", 'class="', "style=", "12:", "href='"], 44), pick([*words, "100%", "30", "bold"], 1)), 0),
+            (pick(plain, 40), F.concat(F.initcap(pick(words, 1)), F.initcap(pick(words, 4)), F.initcap(pick(words, 7))), 0),
+            (pick(plain, 40), F.upper(names), 0),
+            (pick(plain, 40), F.concat(F.lit("https://www."), pick(words, 1), F.lit(".com/"), pick(words, 4), F.lit("/"), pick(prose, 7)), 0),
+            (pick(plain, 40), F.concat(F.upper(pick(long + words, 1)), pick(["", ",", ".", "!"], 44)), 0),
+            (pick(plain, 40), F.upper(F.concat(pick(prose, 1), pick(prose + words, 4), pick(long, 7))), 0),
+            (pick(plain, 40), F.concat(F.lit('"'), F.initcap(pick(prose + words, 1)), pick(["", ",", "!"], 47)), 0),
+        ]
     kind = F.col("id") % len(kinds)
     chosen = lambda k: reduce(lambda c, i: c.when(kind == i, kinds[i][k]), range(1, len(kinds)), F.when(kind == 0, kinds[0][k]))
     label = F.element_at(F.array(*(F.lit(x[2]) for x in kinds)), (kind + 1).cast("int"))
     return spark.range(0, n, 1, 1).select(chosen(0).alias("before"), chosen(1).alias("word"), label.alias("label"))
 
 
-def described_findings(findings: DataFrame) -> DataFrame:
-    """The features and the label of every labelled finding."""
-    one = findings.select("before", "word", "label", F.explode(_candidates(F.col("word"))).alias("value"))
-    return one.select(F.col("label").cast("double").alias("label"), *_described(F.col("value"), F.col("word"), F.col("before")))
+def described_findings(findings: DataFrame, *, wide: bool = False) -> DataFrame:
+    """The features and the label of every labelled finding; a wide one is its word's longest candidate that follows an assignment, or the longest."""
+    if wide:
+        key = lambda v: F.struct(F.rlike(_lead(v, F.col("word"), F.col("before")), F.lit(rf"{_ASSIGNMENT}|{_CREDENTIAL}")).alias("led"), F.length(v).alias("n"), v.alias("v"))
+        found = F.array(F.array_max(F.transform(_wide_candidates(F.col("word"), F.col("before")), key))["v"])
+        one = findings.select("before", "word", "label", F.explode(found).alias("value")).where("value is not null")
+    else:
+        one = findings.select("before", "word", "label", F.explode(_candidates(F.col("word"))).alias("value"))
+    return one.select(F.col("label").cast("double").alias("label"), *_described(F.col("value"), F.col("word"), F.col("before"), wide))
 
 
 #: A tree: a leaf's vote, or (feature, threshold, left, right) with left where the feature is at most the threshold.
 Tree = float | tuple[str, float, "Tree", "Tree"]
 
 
-def train(findings: DataFrame, *, trees: int = 15, depth: int = 6, seed: int = 7) -> list[Tree]:
+def train(findings: DataFrame, *, trees: int = 15, depth: int = 6, seed: int = 7, wide: bool = False) -> list[Tree]:
     """A random forest learned by the tree learner of Spark's ML library; labels of one kind give one leaf."""
     from pyspark.ml.classification import RandomForestClassifier
     from pyspark.ml.feature import VectorAssembler
 
-    names = list(FEATURES)
-    rows = described_findings(findings).coalesce(1)
+    names = list(WIDE_FEATURES if wide else FEATURES)
+    rows = described_findings(findings, wide=wide).coalesce(1)
     labels = [r.label for r in rows.select("label").distinct().limit(3).collect()]
     if len(labels) < 2:
         return [labels[0] if labels else 0.0]
@@ -163,42 +252,73 @@ def vote(forest: list[Tree], feature: Callable[[str], Column]) -> Column:
     return reduce(lambda a, b: a + b, map(case, forest)) / len(forest)
 
 
-def with_findings(df: DataFrame, forest: list[Tree], *, text: str = "text", keep: float = 0.5) -> DataFrame:
+def with_findings(df: DataFrame, forest: list[Tree], *, text: str = "text", keep: float = 0.5, wide: bool = False) -> DataFrame:
     """``df`` with ``findings``: an array of ``(start, length, value, score, secret)`` for every candidate.
 
     ``start`` counts characters from 0; ``secret`` is whether the score exceeds ``keep``.
     """
     words = F.split(F.coalesce(F.col(text), F.lit("")), r"\s", -1)
 
+    def started(w: Column, i: Column) -> Column:
+        return F.aggregate(F.slice(w, F.lit(1), i), F.lit(0).cast("bigint"), lambda a, x: a + F.length(x) + 1)
+
+    def scored(found: Column) -> Column:
+        voted = F.transform(found, lambda x: F.struct(x["start"].alias("start"), x["value"].alias("value"), vote(forest, lambda k: x[k]).alias("score")))
+        return F.transform(voted, lambda x: F.struct(x["start"].alias("start"), F.length(x["value"]).alias("length"), x["value"].alias("value"), x["score"].alias("score"), (x["score"] > keep).alias("secret")))
+
     def judged(w: Column) -> Column:
         at = lambda i: F.get(w, i)
         suspicious = lambda i: (F.length(at(i)) >= 8) & F.rlike(at(i), F.lit(_MAYBE)) & F.rlike(at(i), F.lit(CANDIDATE))
 
         def described(i: Column) -> Column:
             before = F.concat(F.coalesce(at(i - 2), F.lit("")), F.lit(" "), F.coalesce(at(i - 1), F.lit("")))
-            start = F.aggregate(F.slice(w, F.lit(1), i), F.lit(0).cast("bigint"), lambda a, x: a + F.length(x) + 1)
+            start = started(w, i)
             return F.transform(_candidates(at(i)), lambda v: F.struct((start + F.position(v, at(i)) - 1).alias("start"), v.alias("value"), *_described(v, at(i), before)))
 
         places = F.filter(F.sequence(F.lit(0), F.size(w) - 1), suspicious)
-        scored = F.transform(F.flatten(F.transform(places, described)), lambda x: F.struct(x["start"].alias("start"), x["value"].alias("value"), vote(forest, lambda k: x[k]).alias("score")))
-        return F.transform(scored, lambda x: F.struct(x["start"].alias("start"), F.length(x["value"]).alias("length"), x["value"].alias("value"), x["score"].alias("score"), (x["score"] > keep).alias("secret")))
+        return scored(F.flatten(F.transform(places, described)))
+
+    def judged_wide(w: Column) -> Column:
+        """Blanks are no words here: the two before a value are those that are not empty."""
+
+        def of(full: Column) -> Column:
+            at = lambda i: F.coalesce(F.get(full, i)["word"], F.lit(""))
+            known = F.transform(full, lambda x, i: F.struct(x["word"].alias("word"), x["at"].alias("at"), F.concat(at(i - 2), F.lit(" "), at(i - 1)).alias("before")))
+            places = F.filter(known, lambda x: F.rlike(x["word"], F.lit(_WIDE_PLACE)) | _leads(x["before"]))
+
+            def described(x: Column) -> Column:
+                word, before = x["word"], x["before"]
+                values = F.transform(F.array(started(w, x["at"])), lambda s: F.transform(_wide_candidates(word, before), lambda v: F.struct((s + _last(v, word)).alias("start"), v.alias("value"), *_described(v, word, before, True))))
+                return F.get(values, 0)
+
+            return scored(F.flatten(F.transform(places, described)))
+
+        full = F.filter(F.transform(w, lambda x, i: F.struct(x.alias("word"), i.alias("at"))), lambda x: x["word"] != "")
+        return F.get(F.transform(F.array(full), of), 0)
 
     # The words are bound once, as a lambda's variable: as a column of their own the optimizer could split the text anew for every word.
-    return df.withColumn("findings", F.get(F.transform(F.array(words), judged), 0))
+    return df.withColumn("findings", F.get(F.transform(F.array(words), judged_wide if wide else judged), 0))
 
 
-def scan(df: DataFrame, forest: list[Tree], *, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def scan(df: DataFrame, forest: list[Tree], *, doc_id: str = "doc_id", text: str = "text", wide: bool = False) -> DataFrame:
     """One row per candidate: ``doc_id, start, length, value_sha256, score, secret``; values themselves are not returned."""
-    found = with_findings(df.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text")), forest)
+    found = with_findings(df.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text")), forest, wide=wide)
     # The outer form, as for the other one the optimizer computes the array again to see whether it is empty.
     rows = found.select("doc_id", F.explode_outer("findings").alias("f")).where("f is not null")
     return rows.select("doc_id", "f.start", "f.length", F.sha2("f.value", 256).alias("value_sha256"), "f.score", "f.secret")
 
 
-def redact(df: DataFrame, forest: list[Tree], *, text: str = "text", mark: str = "[SECRET]") -> DataFrame:
-    """``df`` with every secret in ``text`` replaced by ``mark``."""
+def redact(df: DataFrame, forest: list[Tree], *, text: str = "text", mark: str = "[SECRET]", wide: bool = False) -> DataFrame:
+    """``df`` with every secret in ``text`` replaced by ``mark``; wide ones of under 12 characters only where no letter or digit touches them."""
     columns = df.columns
-    found = with_findings(df, forest, text=text)
+    found = with_findings(df, forest, text=text, wide=wide)
     secrets = F.array_sort(F.array_distinct(F.transform(F.filter("findings", lambda x: x["secret"]), lambda x: x["value"])), lambda a, b: F.length(b) - F.length(a))
-    clean = F.aggregate(secrets, F.col(text), lambda t, s: F.replace(t, s, F.lit(mark)))
+
+    def replaced(t: Column, s: Column) -> Column:
+        if not wide:
+            return F.replace(t, s, F.lit(mark))
+        alone = F.concat(F.lit("(?<![A-Za-z0-9])"), F.regexp_replace(s, "([^A-Za-z0-9])", r"\\$1"), F.lit("(?![A-Za-z0-9])"))
+        return F.when(F.length(s) >= 12, F.replace(t, s, F.lit(mark))).otherwise(F.regexp_replace(t, alone, F.lit(mark)))
+
+    clean = F.aggregate(secrets, F.col(text), replaced)
     return found.withColumn(text, clean).select(*(F.col(f"`{c}`") for c in columns))
