@@ -1,10 +1,11 @@
 """Set-similarity self-join of texts on five-word shingles by chosen paths.
 
 A text is the set of its shingles. In every run a set enters the buckets of a few shingles
-that a shared hash samples from it, with about ``1 / threshold`` expected choices; buckets
-with more than ``bucket_limit`` sets are split on further sampled shingles, up to three
-levels deep, and the smaller ones are compared set by set on short sketches. Runs repeat
-until the chance that a pair at the threshold shared no bucket is below the target. Sets
+that a shared hash samples from it, with about ``1 / threshold`` expected choices. Buckets of up to
+``bucket_limit`` sets are compared set by set on short sketches. The sets of larger ones are sampled
+again, in more runs, down to three levels, as a deeper path is shared less often. The numbers
+of runs and the sketches' margin follow from ``target_recall``: a pair at the threshold, however large its buckets,
+shares no compared bucket or fails its sketches with at most a chance of ``1 - target_recall``. Sets
 whose sketches agree form clusters, and within a cluster every pair is compared exactly on
 its whole shingle sets, so links are never estimated.
 
@@ -19,6 +20,7 @@ are copies; an empty table gives an empty table. Columns other than id and text
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -30,10 +32,35 @@ from graphparts.llm.common import mapped, mix, odd_constants, utf8, word_hashes,
 from graphparts.operators.components import connected_components
 
 SLOTS = 64
-_PREPARED = (
-    "doc_id bigint, d1 bigint, d2 bigint, n int, p1 array<bigint>, p2 array<struct<parent:bigint,key:bigint>>, "
-    "p3 array<struct<parent:bigint,key:bigint>>, sketch binary"
-)
+LEVELS = 3
+_PREPARED = "doc_id bigint, d1 bigint, d2 bigint, n int, p1 array<bigint>, sketch binary"
+_DEEP = "rep bigint, p1 array<bigint>, p2 array<struct<parent:bigint,key:bigint>>, p3 array<struct<parent:bigint,key:bigint>>"
+
+
+def shared_path(level: int) -> float:
+    """The least chance of a pair at the threshold to share a path of ``level`` choices in one run: one shared choice is expected at each."""
+    chance = 1.0
+    for _ in range(level):
+        chance = 1 - math.exp(-chance)
+    return chance
+
+
+def runs_for(target_recall: float, level: int) -> int:
+    """Runs until a pair at the threshold misses all paths of ``level`` choices with a third of the allowed chance; the others are the first level's, for hot pairs, and the sketches'."""
+    if not 0 < target_recall < 1:
+        raise ValueError("target_recall must lie between 0 and 1")
+    return math.ceil(math.log((1 - target_recall) / 3) / math.log(1 - shared_path(level)))
+
+
+def least_agreement(target_recall: float, threshold: float) -> int:
+    """The most equal slots that a pair at the threshold falls below with a third of the allowed chance."""
+    below, k = 0.0, 0
+    while k < SLOTS:
+        below += math.comb(SLOTS, k) * threshold**k * (1 - threshold) ** (SLOTS - k)
+        if below > (1 - target_recall) / 3:
+            break
+        k += 1
+    return k
 
 
 def shingles(words: list[bytes], size: int = 5) -> np.ndarray:
@@ -56,14 +83,20 @@ def _chosen(tokens: np.ndarray, node: np.uint64, limit: np.uint64) -> np.ndarray
     return mix(draw[hit] ^ np.array([node]) * np.uint64(3))
 
 
-def paths(tokens: np.ndarray, runs: int, threshold: float) -> tuple[list, list, list]:
+def _limit(tokens: np.ndarray, threshold: float) -> np.uint64:
     rate = min(1.0, 1.0 / (threshold * len(tokens)))
-    limit = np.uint64(min(2**64 - 1, int(rate * 2**64)))
-    roots = odd_constants(runs, 12)
-    one, two, three = [], [], []
-    for root in roots:
-        one.append(_chosen(tokens, root, limit))
-    one = np.unique(np.concatenate(one))
+    return np.uint64(min(2**64 - 1, int(rate * 2**64)))
+
+
+def first_choices(tokens: np.ndarray, runs: int, threshold: float) -> np.ndarray:
+    limit = _limit(tokens, threshold)
+    return np.unique(np.concatenate([_chosen(tokens, root, limit) for root in odd_constants(runs, 12)]))
+
+
+def paths(tokens: np.ndarray, runs: int, threshold: float) -> tuple[list, list, list]:
+    limit = _limit(tokens, threshold)
+    two, three = [], []
+    one = first_choices(tokens, runs, threshold)
     for a in one:
         for b in np.unique(_chosen(tokens, a, limit)):
             two.append((a, b))
@@ -83,15 +116,15 @@ def _prepare(runs: int, threshold: float, size: int) -> Callable[[pa.RecordBatch
     def run(batch: pa.RecordBatch) -> dict:
         import xxhash
 
-        out: dict = {k: [] for k in ("doc_id", "d1", "d2", "n", "p1", "p2", "p3", "sketch")}
+        out: dict = {k: [] for k in ("doc_id", "d1", "d2", "n", "p1", "sketch")}
         for i, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
             words = utf8(t).split()
             if i is None or not words:
-                row = (i, None, None, 0, [], [], [], None)
+                row = (i, None, None, 0, [], None)
             else:
                 d = np.frombuffer(xxhash.xxh3_128_digest(b" ".join(words)), np.int64).tolist()
                 tokens = shingles(words, size)
-                row = (i, *d, len(tokens), *paths(tokens, runs, threshold), sketch_of(tokens))
+                row = (i, *d, len(tokens), first_choices(tokens, runs, threshold).view(np.int64).tolist(), sketch_of(tokens))
             for k, v in zip(out, row, strict=True):
                 out[k].append(v)
         return out
@@ -99,6 +132,14 @@ def _prepare(runs: int, threshold: float, size: int) -> Callable[[pa.RecordBatch
     return run
 
 
+def _deepened(runs: int, threshold: float, size: int) -> Callable[[pa.RecordBatch], dict]:
+    def run(batch: pa.RecordBatch) -> dict:
+        found = [paths(shingles(utf8(t).split(), size), runs, threshold) for t in batch.column(1).to_pylist()]
+        return {"rep": batch.column(0).to_pylist()} | {f"p{k + 1}": [x[k] for x in found] for k in range(LEVELS)}
+
+    return run
+
+
 def _groups(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator[pa.Table]:
     """Runs of rows with equal ``keys``, whole, from batches sorted by them."""
     held: list[pa.RecordBatch] = []
@@ -186,9 +227,7 @@ def _sides(group: pa.Table) -> tuple[np.ndarray, np.ndarray, bool]:
     return np.flatnonzero(own == a), np.flatnonzero(own == b), False
 
 
-def _similar_sketches(threshold: float) -> Callable[[pa.Table], list[dict]]:
-    least = SLOTS * threshold - 3.75 * (SLOTS * threshold * (1 - threshold)) ** 0.5
-
+def _similar_sketches(threshold: float, least: int) -> Callable[[pa.Table], list[dict]]:
     def run(group: pa.Table) -> list[dict]:
         left, right, same = _sides(group)
         if len(left) == 0 or len(right) == 0 or (same and len(left) < 2):
@@ -265,7 +304,7 @@ def near_duplicates(
     text: str = "text",
     threshold: float = 0.8,
     size: int = 5,
-    runs: int = 10,
+    target_recall: float = 0.9998,
     bucket_limit: int = 500,
     tile: int = 1000,
 ) -> DataFrame:
@@ -277,31 +316,40 @@ def near_duplicates(
     texts among them, and ``kept`` marks the one document of its class that stays.
     """
     plain = docs.select(F.col(doc_id).cast("bigint").alias("doc_id"), F.col(text).cast("string").alias("text"))
-    every = written(mapped(plain, _prepare(runs, threshold, size), _PREPARED), "shingled")
+    every = written(mapped(plain, _prepare(runs_for(target_recall, 1), threshold, size), _PREPARED), "shingled")
     reps = written(
         every.where("n > 0")
         .groupBy("d1", "d2")
-        .agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.min_by(F.struct("n", "p1", "p2", "p3", "sketch"), "doc_id").alias("x"))
+        .agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.min_by(F.struct("n", "p1", "sketch"), "doc_id").alias("x"))
         .select("rep", "copies", "d1", "d2", "x.*"),
         "texts",
     )
 
-    buckets, hot = None, None
-    for level in (1, 2, 3):
-        if level == 1:
-            rows = reps.select("rep", F.explode("p1").alias("key"))
-        else:
-            rows = reps.select("rep", F.explode(f"p{level}").alias("x")).select("rep", "x.parent", "x.key").join(hot, "parent").select("rep", "key")
+    def shared(rows: DataFrame, level: str) -> DataFrame:
         counts = rows.groupBy("key").agg(F.count("*").alias("c")).where("c > 1")
-        shared = written(rows.join(counts, "key"), f"level{level}")
-        done = shared if level == 3 else shared.where(F.col("c") <= bucket_limit)
-        buckets = done if buckets is None else buckets.unionByName(done)
-        hot = shared.where(F.col("c") > bucket_limit).select(F.col("key").alias("parent")).distinct()
-        if level < 3 and not hot.take(1):
-            break
+        return written(rows.join(counts, "key"), level)
+
+    first = shared(reps.select("rep", F.explode("p1").alias("key")), "level0")
+    buckets = first.where(F.col("c") <= bucket_limit)
+    large = first.where(F.col("c") > bucket_limit).select("rep").distinct()
+    if large.take(1):
+        # A pair that shares a large bucket has both its sets here: only they need more runs.
+        again = large.join(plain.withColumnRenamed("doc_id", "rep"), "rep").where("text is not null").select("rep", "text")
+        deep = written(mapped(again, _deepened(runs_for(target_recall, LEVELS), threshold, size), _DEEP), "deep")
+        hot = None
+        for level in range(1, LEVELS + 1):
+            if level == 1:
+                rows = deep.select("rep", F.explode("p1").alias("key"))
+            else:
+                rows = deep.select("rep", F.explode(f"p{level}").alias("x")).select("rep", "x.parent", "x.key").join(hot, "parent").select("rep", "key")
+            found = shared(rows.distinct(), f"level{level}")
+            buckets = buckets.unionByName(found if level == LEVELS else found.where(F.col("c") <= bucket_limit))
+            hot = found.where(F.col("c") > bucket_limit).select(F.col("key").alias("parent")).distinct()
+            if level < LEVELS and not hot.take(1):
+                break
 
     sketched = _tiled(buckets.join(reps.select("rep", "n", "sketch"), "rep"), "key", "rep", "c", tile)
-    alike = _in_groups(sketched, "key", _similar_sketches(threshold), "src bigint, dst bigint").distinct()
+    alike = _in_groups(sketched, "key", _similar_sketches(threshold, least_agreement(target_recall, threshold)), "src bigint, dst bigint").distinct()
     clusters = written(connected_components(alike).withColumnsRenamed({"v": "rep", "component": "cluster"}), "clusters")
     sizes = clusters.groupBy("cluster").agg(F.count("*").alias("c"))
     members = clusters.join(sizes, "cluster").join(reps.select("rep", "copies"), "rep").join(plain.withColumnRenamed("doc_id", "rep"), "rep")

@@ -67,3 +67,21 @@ def test_edges(spark):
     got = near_duplicates(spark.createDataFrame([(None, "a b c d e f"), (5, "a b c d e f"), (5, "a b c d e f"), (9, "a b  c d e f"), (None, None)], schema)).collect()
     assert sorted((r.doc_id, r.class_id, r.n_links, r.kept) for r in got if r.doc_id) == [(5, 5, 2, True), (5, 5, 2, True), (9, 5, 2, False)]
     assert [(r.class_id, r.n_links, r.kept) for r in got if r.doc_id is None] == [(None, 0, True)] * 2
+
+
+def hot_pairs(n=1000):
+    """Pairs at similarity 0.8, the worst size ratio, whose shared shingles (words) are each in some 200 documents; no others link."""
+    r = random.Random(8)
+    rows = []
+    for k in range(n):
+        words = r.sample(range(400), 40)
+        rows += [(2 * k, " ".join(f"w{x}" for x in words)), (2 * k + 1, " ".join(f"w{x}" for x in words[:32]))]
+    return rows
+
+
+def test_recall_where_all_shingles_are_hot(spark):
+    rows = hot_pairs()
+    got = {r.doc_id: r.n_links for r in near_duplicates(spark.createDataFrame(rows, "doc_id bigint, text string"), size=1, bucket_limit=1).collect()}
+    found = sum(got[i] > 0 and got[i + 1] > 0 for i in range(0, len(rows), 2)) / (len(rows) / 2)
+    print(f"recall {found:.5f}")
+    assert found >= 0.9985  # one of 1,000 pairs may miss
