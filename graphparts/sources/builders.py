@@ -85,6 +85,15 @@ def doc_lines(spark: SparkSession, d: str, shortest: int = 21, most: int = 50) -
     return kept.join(other, "k").where("doc_id < dst").select(F.col("doc_id").alias("src"), "dst")
 
 
+def doc_lines_whole(spark: SparkSession, d: str, shortest: int = 21, most: int = 50) -> DataFrame:
+    """:func:`doc_lines` with the lines of more than ``most`` documents too: each links its documents to the smallest of them."""
+    lines = table(spark, d, "documents").select("doc_id", F.explode(F.split("text", "\n")).alias("line")).where(F.length("line") >= shortest)
+    keyed = lines.select("doc_id", F.md5(F.col("line").cast("binary")).alias("k")).distinct()
+    frequent = keyed.groupBy("k").agg(F.count("*").alias("c"), F.min("doc_id").alias("src")).where(F.col("c") > most).select("k", "src")
+    star = keyed.join(frequent, "k").where("src < doc_id").select("src", F.col("doc_id").alias("dst"))
+    return doc_lines(spark, d, shortest, most).unionByName(star)
+
+
 def page_links(spark: SparkSession, d: str) -> DataFrame:
     """``(page_id, path)`` of the links in each page's HTML."""
     paths = F.regexp_extract_all(F.col("html"), F.lit(r'href="(/[^"]*)"'), F.lit(1))
@@ -110,7 +119,7 @@ def conv_turns(spark: SparkSession, d: str) -> DataFrame:
 
 
 BUILDERS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (copurchase, order_part, cust_part, cust_supp, supp_part, fk_tree, order_chain, event_chain, doc_lines, page_shared, page_host, conv_turns)
+    f.__name__: f for f in (copurchase, order_part, cust_part, cust_supp, supp_part, fk_tree, order_chain, event_chain, doc_lines, doc_lines_whole, page_shared, page_host, conv_turns)
 }
 
 

@@ -21,6 +21,10 @@ RAW = {
     "conv_turns": "SELECT conv_id * 100 + turn AS a, lead(conv_id * 100 + turn) OVER (PARTITION BY conv_id ORDER BY turn) AS b FROM conversations",
 }
 
+RAW["doc_lines_whole"] = f"""{RAW["doc_lines"]} UNION ALL SELECT first, doc_id FROM
+      (SELECT doc_id, count(*) OVER (PARTITION BY line) AS c, min(doc_id) OVER (PARTITION BY line) AS first
+       FROM (SELECT DISTINCT doc_id, line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(line) >= 21)) WHERE c > 50"""
+
 
 def h(x: str, seed: object = 0) -> str:
     return f"((((({x}) % 2147483647) * 48271 + {seed}) % 2147483647) * 16807 % 2147483647)"

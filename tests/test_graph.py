@@ -127,3 +127,12 @@ def test_performance_ratio(spark):
     assert {r.method: (r.ratio, r.tests) for r in metrics.performance_ratio(runs, "cut").collect()} == {"a": (1.0, 2), "b": (2.0, 1)}
     assert {r.method: r.tests for r in metrics.performance_ratio(runs, "cut", True).collect()} == {"a": 1, "b": 1}
     assert metrics.per_core_ratio(2.0, 16) == 8.0
+
+
+def test_frequent_lines_stay_in_the_graph(spark, tmp_path):
+    from graphparts.sources import builders
+
+    line = "a line that very many documents share"
+    spark.createDataFrame([(i, line) for i in range(60)] + [(70, "a line of two documents only"), (71, "a line of two documents only")], "doc_id bigint, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {(r.src, r.dst) for r in builders.graph(spark, str(tmp_path), "doc_lines_whole").edges.collect()}
+    assert got == {(0, i) for i in range(1, 60)} | {(70, 71)}
