@@ -150,3 +150,15 @@ def test_generators_have_their_shape(spark):
     assert generators.rmat(spark, 10, 8).count() > 4500
     far = generators.high_diameter(spark, 300, 5).selectExpr("max(dst - src)").first()[0]
     assert far <= 4 and generators.mesh3d(spark, 3, 3, 3).count() == 158
+
+
+def test_partition_queries_run_the_whole_schedule(monkeypatch):
+    from graphparts import graph_queries as q
+
+    seen = []
+    monkeypatch.setattr(q.builders, "graph", lambda *a: None)
+    monkeypatch.setattr(q, "partition", lambda g, p, **o: seen.append(PartitionConfig(**o)))
+    monkeypatch.setattr(q.baselines, "single_node", lambda g, p, **o: seen.append(PartitionConfig(**o)))
+    for make in q._partitions().values():
+        make(None, "")
+    assert len(seen) == 8 and {(c.outer, c.balance, c.refine, c.early_stop) for c in seen} == {(3, 5, 10, False)}
