@@ -136,3 +136,17 @@ def test_frequent_lines_stay_in_the_graph(spark, tmp_path):
     spark.createDataFrame([(i, line) for i in range(60)] + [(70, "a line of two documents only"), (71, "a line of two documents only")], "doc_id bigint, text string").write.parquet(f"{tmp_path}/documents.parquet")
     got = {(r.src, r.dst) for r in builders.graph(spark, str(tmp_path), "doc_lines_whole").edges.collect()}
     assert got == {(0, i) for i in range(1, 60)} | {(70, 71)}
+
+
+def test_analytics_queries_run_in_full(spark, monkeypatch):
+    from graphparts import graph_queries as q
+
+    path = graph_of(edges(spark, [(i, i + 1) for i in range(20)]))
+    monkeypatch.setattr(q, "main_graph", lambda *a: path)
+    assert {r.core for r in q.QUERIES["kcore_whole"](spark, "").collect()} == {1}
+    asked = []
+    monkeypatch.setattr(q.analytics, "approx_diameter", lambda g, rounds=10: asked.append(rounds) or 20)
+    monkeypatch.setattr(q.analytics, "harmonic", lambda g, k: asked.append(k))
+    q.QUERIES["diameter"](spark, "")
+    q.QUERIES["harmonic_100"](spark, "")
+    assert asked == [10, 100]
