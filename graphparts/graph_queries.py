@@ -1,4 +1,4 @@
-"""A query for every method, variant, baseline, measure and workload, with SQL where it can be said in SQL."""
+"""Queries for methods, variants, baselines, measures and workloads, with SQL where it can be said in SQL; the README lists what is not built."""
 
 from __future__ import annotations
 
