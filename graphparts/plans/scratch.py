@@ -2,7 +2,8 @@
 
 A round's result goes to the shared folder that the session names in
 ``spark.checkpoint.dir`` and is read again, so a lost executor costs a re-read and not
-the whole lineage. Only where that setting is absent (tests) a temporary folder is used.
+the whole lineage. Only where that setting is absent, in local mode (tests), a temporary folder is
+used; a cluster without a shared folder is an error.
 """
 
 from __future__ import annotations
@@ -19,6 +20,8 @@ def shared_folder(spark: SparkSession) -> str:
     folder = context.getCheckpointDir()
     if folder is None:
         named = spark.conf.get("spark.checkpoint.dir", None)
+        if not named and not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
         context.setCheckpointDir(named or tempfile.mkdtemp(prefix="graphparts-"))
         folder = context.getCheckpointDir()
     return folder
