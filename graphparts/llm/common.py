@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphparts.plans.scratch import shared_folder, written  # noqa: F401
+from graphparts.plans.scratch import dropped, shared_folder, written  # noqa: F401
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -72,11 +72,22 @@ def odd_constants(n: int, seed: int) -> np.ndarray:
     return mix(np.arange(1, n + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(seed)) | np.uint64(1)
 
 
-def hashed_sample(df: DataFrame, n: int, key: str) -> DataFrame:
+def hashed_sample(df: DataFrame, n: int, key: str, size: Column | None = None, max_bytes: int = 64 << 20) -> DataFrame:
     """The rows of ``df`` with the ``n`` smallest hashes of ``key`` (ties may add some).
 
-    Only hashes are ranked; the other columns are read once the cut is known.
+    Only hashes are ranked; the other columns are read once the cut is known. With ``size``, the bytes of
+    a row, ties add none, and rows end where they come to ``max_bytes`` together; larger rows are passed over.
     """
     h = F.xxhash64(F.lit(7), F.col(key))
     cut = df.select(h.alias("h")).orderBy("h").limit(n).agg(F.max("h")).first()[0]
-    return df.where(h <= F.lit(cut)) if cut is not None else df.limit(0)
+    near = df.where(h <= F.lit(cut)) if cut is not None else df.limit(0)
+    if size is None or cut is None:
+        return near
+    sized = written(near.withColumn("_gp_h", h).withColumn("_gp_b", F.coalesce(size.cast("bigint"), F.lit(0))), "sample").where(F.col("_gp_b") <= max_bytes)
+    total = k = 0
+    for row in sized.select("_gp_h", "_gp_b").orderBy("_gp_h", "_gp_b").limit(n).collect():  # n rows of two numbers
+        total += row._gp_b
+        if total > max_bytes:
+            break
+        k += 1
+    return sized.orderBy("_gp_h", "_gp_b").limit(k).drop("_gp_h", "_gp_b")

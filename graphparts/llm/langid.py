@@ -7,7 +7,10 @@ shorter ones where they are not, down to a floor. The scores of all words of the
 text are summed and turned into a posterior.
 
 Defined results: a null text, or one without a letter, is ``und`` with score 0. Rows with
-a null language are never learned from. With no labelled row at all every text is ``und``.
+a null language are never learned from. With no labelled row at all every text is ``und``. Repeated rows
+get the same result each; of languages with equal scores the first in the order of their names is
+taken; a very long text is read whole, word by distinct word; an empty table gives an empty table; other columns,
+whatever their names, are ignored.
 """
 
 from __future__ import annotations
@@ -27,6 +30,16 @@ WORD = re.compile(r"[^\W\d_]+")
 UNDETERMINED = "und"
 
 
+def words_of(text: str) -> Counter:
+    """The runs of letters of ``text`` in lower case; numerals such as ``Ⅷ`` or ``½`` are no letters and part them."""
+    counts = Counter(WORD.findall(text.lower()))
+    for w in [w for w in counts if not w.isalpha()]:
+        n = counts.pop(w)
+        for part in "".join(c if c.isalpha() else " " for c in w).split():
+            counts[part] += n
+    return counts
+
+
 @dataclass
 class Model:
     """Known words and n-grams as rows of two tables with a column for each language."""
@@ -58,7 +71,7 @@ class Model:
     def scores(self, text: str | None, cache: dict[str, np.ndarray]) -> tuple[str, float]:
         if not text or not self.languages:
             return UNDETERMINED, 0.0
-        counts = Counter(WORD.findall(text.lower()))
+        counts = words_of(text)
         if not counts:
             return UNDETERMINED, 0.0
         total, places, often = np.zeros(len(self.languages)), [], []
@@ -80,16 +93,16 @@ class Model:
         return self.languages[best], float(chance[best] / chance.sum())
 
 
-def fit(labelled: DataFrame, *, text: str = "text", lang: str = "lang", doc_id: str = "doc_id", max_docs: int = 4000, max_words: int = 60_000, max_n: int = 5) -> Model:
-    """Learn from ``max_docs`` labelled rows at most, those of the smallest hashed doc_id.
+def fit(labelled: DataFrame, *, text: str = "text", lang: str = "lang", doc_id: str = "doc_id", max_docs: int = 4000, max_bytes: int = 64 << 20, max_words: int = 60_000, max_n: int = 5) -> Model:
+    """Learn from ``max_docs`` labelled rows and ``max_bytes`` of text at most, those of the smallest hashed doc_id.
 
     ``max_words`` bounds the words and the n-grams kept for each language.
     """
     usable = labelled.where(F.col(text).isNotNull() & F.col(lang).isNotNull())
-    rows = hashed_sample(usable, max_docs, doc_id).select(text, lang).toArrow()
+    rows = hashed_sample(usable.select(doc_id, text, lang), max_docs, doc_id, F.octet_length(text), max_bytes).select(text, lang).toArrow()
     words: dict[str, Counter] = {}
     for t, language in zip(rows.column(0).to_pylist(), rows.column(1).to_pylist(), strict=True):
-        words.setdefault(language, Counter()).update(WORD.findall(t.lower()))
+        words.setdefault(language, Counter()).update(words_of(t))
     languages = sorted(k for k, v in words.items() if v)
     grams = {k: Counter() for k in languages}
     for k in languages:

@@ -3,19 +3,22 @@
 A text is the set of its shingles. In every run a set enters the buckets of a few shingles
 that a shared hash samples from it, with about ``1 / threshold`` expected choices. Buckets of up to
 ``bucket_limit`` sets are compared set by set on short sketches. The sets of larger ones are sampled
-again, in more runs, down to three levels, as a deeper path is shared less often. The numbers
+again, in more runs, down to ``levels`` choices, as a deeper path is shared less often, and then compared in tiles. The numbers
 of runs and the sketches' margin follow from ``target_recall``: a pair at the threshold, however large its buckets,
 shares no compared bucket or fails its sketches with at most a chance of ``1 - target_recall``. Sets
 whose sketches agree form clusters, and within a cluster every pair is compared exactly on
 its whole shingle sets, so links are never estimated.
 
-Texts with the same words are one class from the start: they are counted, not compared.
-Large buckets and clusters are split into pairs of tiles. Nothing emits a row for each pair:
-a tile returns a spanning forest and the number of links of each member.
+Texts with the same words are one class from the start: they are counted, not compared. A text
+is known by the 128-bit digest of its words and the row that stands for it, never by a document's id,
+so one id may have several texts. Large buckets and clusters are split into pairs of tiles. Nothing
+emits a row for each pair: a tile returns a spanning forest and the number of links of each member.
 
 Defined results: a document with null id, or without a word, links with nothing and is its
 own class; texts of one to four words have one shingle, all their words; repeated rows
-are copies; an empty table gives an empty table. Columns other than id and text are ignored.
+are copies; rows of one id with different texts are documents of their own, and links between them
+count; of the rows of a class that share its smallest id one stays; an empty table gives an empty
+table. Other columns pass through :func:`without_near_duplicates` and are ignored by the others.
 """
 
 from __future__ import annotations
@@ -33,8 +36,8 @@ from graphparts.operators.components import connected_components
 
 SLOTS = 64
 LEVELS = 3
-_PREPARED = "doc_id bigint, d1 bigint, d2 bigint, n int, p1 array<bigint>, sketch binary"
-_DEEP = "rep bigint, p1 array<bigint>, p2 array<struct<parent:bigint,key:bigint>>, p3 array<struct<parent:bigint,key:bigint>>"
+_ROW, _D1, _D2, _N, _FIRST, _SKETCH = "_nj_row", "_nj_d1", "_nj_d2", "_nj_n", "_nj_p1", "_nj_sketch"
+_OWN = f"{_D1} bigint, {_D2} bigint, {_N} int, {_FIRST} array<bigint>, {_SKETCH} binary"
 
 
 def shared_path(level: int) -> float:
@@ -93,16 +96,16 @@ def first_choices(tokens: np.ndarray, runs: int, threshold: float) -> np.ndarray
     return np.unique(np.concatenate([_chosen(tokens, root, limit) for root in odd_constants(runs, 12)]))
 
 
-def paths(tokens: np.ndarray, runs: int, threshold: float) -> tuple[list, list, list]:
+def paths(tokens: np.ndarray, runs: int, threshold: float, levels: int) -> tuple[list, list]:
+    """Keys of the first level, and for each further one its keys with their parents."""
     limit = _limit(tokens, threshold)
-    two, three = [], []
     one = first_choices(tokens, runs, threshold)
-    for a in one:
-        for b in np.unique(_chosen(tokens, a, limit)):
-            two.append((a, b))
-            three.extend((b, c) for c in np.unique(_chosen(tokens, b, limit)))
-    pair = lambda x: [{"parent": p, "key": k} for p, k in np.array(x, np.uint64).reshape(-1, 2).view(np.int64).tolist()]
-    return one.view(np.int64).tolist(), pair(two), pair(three)
+    level, deeper = one, []
+    for _ in range(levels - 1):
+        found = [(p, c) for p in level for c in np.unique(_chosen(tokens, p, limit))]
+        deeper.append([{"parent": p, "key": k} for p, k in np.array(found, np.uint64).reshape(-1, 2).view(np.int64).tolist()])
+        level = np.unique(np.array([c for _, c in found], np.uint64))
+    return one.view(np.int64).tolist(), deeper
 
 
 def sketch_of(tokens: np.ndarray) -> bytes:
@@ -112,30 +115,40 @@ def sketch_of(tokens: np.ndarray) -> bytes:
     return mix(least).astype(np.uint8).tobytes()
 
 
-def _prepare(runs: int, threshold: float, size: int) -> Callable[[pa.RecordBatch], dict]:
-    def run(batch: pa.RecordBatch) -> dict:
-        import xxhash
+def _digest(words: list[bytes]) -> list[int]:
+    import xxhash
+
+    return np.frombuffer(xxhash.xxh3_128_digest(b" ".join(words)), np.int64).tolist()
+
+
+def _shingled(docs: DataFrame, doc_id: str, text: str, runs: int, threshold: float, size: int) -> DataFrame:
+    """``docs`` written with a number, the digest, sketch and first choices of every row; nulls where there is nothing to compare."""
+    names = [c for c in docs.columns if not c.startswith("_nj_")]
+    plain = docs.select(*(F.col(f"`{c}`") for c in names))
+    at_id, at_text = names.index(doc_id), names.index(text)
 
-        out: dict = {k: [] for k in ("doc_id", "d1", "d2", "n", "p1", "sketch")}
-        for i, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+    def run(batch: pa.RecordBatch) -> dict:
+        out: dict = {k: [] for k in (_D1, _D2, _N, _FIRST, _SKETCH)}
+        for i, t in zip(batch.column(at_id).to_pylist(), batch.column(at_text).to_pylist(), strict=True):
             words = utf8(t).split()
             if i is None or not words:
-                row = (i, None, None, 0, [], None)
+                row = (None, None, 0, [], None)
             else:
-                d = np.frombuffer(xxhash.xxh3_128_digest(b" ".join(words)), np.int64).tolist()
                 tokens = shingles(words, size)
-                row = (i, *d, len(tokens), first_choices(tokens, runs, threshold).view(np.int64).tolist(), sketch_of(tokens))
+                row = (*_digest(words), len(tokens), first_choices(tokens, runs, threshold).view(np.int64).tolist(), sketch_of(tokens))
             for k, v in zip(out, row, strict=True):
                 out[k].append(v)
-        return out
+        return dict(zip(names, batch.columns, strict=True)) | out
 
-    return run
+    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in plain.schema), _OWN])
+    # Numbers drawn while writing are fixed from then on.
+    return written(mapped(plain, run, schema).withColumn(_ROW, F.monotonically_increasing_id()), "shingled")
 
 
-def _deepened(runs: int, threshold: float, size: int) -> Callable[[pa.RecordBatch], dict]:
+def _deepened(runs: int, threshold: float, size: int, levels: int) -> Callable[[pa.RecordBatch], dict]:
     def run(batch: pa.RecordBatch) -> dict:
-        found = [paths(shingles(utf8(t).split(), size), runs, threshold) for t in batch.column(1).to_pylist()]
-        return {"rep": batch.column(0).to_pylist()} | {f"p{k + 1}": [x[k] for x in found] for k in range(LEVELS)}
+        found = [paths(shingles(utf8(t).split(), size), runs, threshold, levels) for t in batch.column(1).to_pylist()]
+        return {"rep": batch.column(0).to_pylist(), "p1": [x[0] for x in found]} | {f"p{k + 2}": [x[1][k] for x in found] for k in range(levels - 1)}
 
     return run
 
@@ -256,9 +269,6 @@ def _exact(threshold: float, size: int) -> Callable[[pa.Table], list[dict]]:
     """Links of a pair of tiles: for each member its linked documents and texts, and a spanning forest."""
 
     def run(group: pa.Table) -> list[dict]:
-        v = group.column("rep").to_numpy()
-        _, once = np.unique(v, return_index=True)  # a repeated row is one text
-        group = group.take(np.sort(once))
         v, copies = group.column("rep").to_numpy(), group.column("copies").to_numpy()
         left, right, same = _sides(group)
         if len(left) == 0 or len(right) == 0 or (same and len(left) < 2):
@@ -297,6 +307,74 @@ def _exact(threshold: float, size: int) -> Callable[[pa.Table], list[dict]]:
     return run
 
 
+def _buckets(reps: DataFrame, texts: DataFrame, target_recall: float, threshold: float, size: int, bucket_limit: int, levels: int) -> DataFrame:
+    """``(rep, key, c)``: the sets of every bucket that is compared, and how many they are."""
+
+    def shared(rows: DataFrame, level: str) -> DataFrame:
+        counts = rows.groupBy("key").agg(F.count("*").alias("c")).where("c > 1")
+        return written(rows.join(counts, "key"), level)
+
+    first = shared(reps.select("rep", F.explode("p1").alias("key")), "level0")
+    buckets = first.where(F.col("c") <= bucket_limit)
+    large = first.where(F.col("c") > bucket_limit).select("rep").distinct()
+    if not large.take(1):
+        return buckets
+    # A pair that shares a large bucket has both its sets here: only they need more runs.
+    pair = "array<struct<parent:bigint,key:bigint>>"
+    schema = ", ".join(["rep bigint", "p1 array<bigint>", *(f"p{k} {pair}" for k in range(2, levels + 1))])
+    deep = written(mapped(large.join(texts, "rep"), _deepened(runs_for(target_recall, levels), threshold, size, levels), schema), "deep")
+    rows = deep.select("rep", F.explode("p1").alias("key"))
+    for level in range(1, levels + 1):
+        found = shared(rows, f"level{level}")
+        buckets = buckets.unionByName(found if level == levels else found.where(F.col("c") <= bucket_limit))
+        if level == levels:
+            break
+        # Only the choices made below a large bucket go on; a set is in a bounded number of them.
+        hot = found.where(F.col("c") > bucket_limit).groupBy("rep").agg(F.collect_list("key").alias("parents"))
+        below = F.filter(f"p{level + 1}", lambda x: F.array_contains("parents", x["parent"]))
+        rows = deep.join(hot, "rep").select("rep", F.explode(F.array_distinct(F.transform(below, lambda x: x["key"]))).alias("key"))
+    return buckets
+
+
+def _classes(every: DataFrame, doc_id: str, text: str, threshold: float, size: int, target_recall: float, bucket_limit: int, tile: int, levels: int) -> DataFrame:
+    """``(d1, d2, text_id, class_id, class_row, n_links, n_texts)`` of every distinct text."""
+    first = F.struct(F.col(doc_id).alias("doc_id"), F.col(_ROW).alias("row"))
+    reps = written(
+        every.where(F.col(_N) > 0)
+        .groupBy(F.col(_D1).alias("d1"), F.col(_D2).alias("d2"))
+        .agg(F.min(_ROW).alias("rep"), F.min(first).alias("first"), F.count("*").alias("copies"), F.min_by(F.struct(F.col(_N).alias("n"), F.col(_FIRST).alias("p1"), F.col(_SKETCH).alias("sketch")), _ROW).alias("x"))
+        .select("rep", "first", "copies", "d1", "d2", "x.*"),
+        "texts",
+    )
+    texts = every.where(F.col(_N) > 0).select(F.col(_ROW).alias("rep"), F.col(text).alias("text"))
+    buckets = _buckets(reps, texts, target_recall, threshold, size, bucket_limit, levels)
+    sketched = _tiled(buckets.join(reps.select("rep", "n", "sketch"), "rep"), "key", "rep", "c", tile)
+    alike = _in_groups(sketched, "key", _similar_sketches(threshold, least_agreement(target_recall, threshold)), "src bigint, dst bigint").distinct()
+    clusters = written(connected_components(alike).withColumnsRenamed({"v": "rep", "component": "cluster"}), "clusters")
+    sizes = clusters.groupBy("cluster").agg(F.count("*").alias("c"))
+    members = clusters.join(sizes, "cluster").join(reps.select("rep", "copies"), "rep").join(texts, "rep")
+    found = written(_in_groups(_tiled(members, "cluster", "rep", "c", tile), "cluster", _exact(threshold, size), "src bigint, dst bigint, documents bigint, texts bigint"), "links")
+
+    joined = connected_components(found.where("dst is not null")).withColumnsRenamed({"v": "rep", "component": "class"})
+    links = found.where("dst is null").groupBy(F.col("src").alias("rep")).agg(F.sum("documents").alias("documents"), F.sum("texts").alias("texts"))
+    of_class = joined.join(reps.select("rep", "first"), "rep").groupBy("class").agg(F.min("first").alias("lowest"))
+    linked = joined.join(of_class, "class").select("rep", "lowest").join(links, "rep", "left")
+    least = F.coalesce("lowest", "first")
+    return reps.join(linked, "rep", "left").select(
+        "d1", "d2", F.col("first.doc_id").alias("text_id"), least["doc_id"].alias("class_id"), least["row"].alias("class_row"),
+        (F.coalesce("documents", F.lit(0)) + F.col("copies") - 1).cast("bigint").alias("n_links"),
+        F.coalesce("texts", F.lit(0)).cast("bigint").alias("n_texts"),
+    )
+
+
+def _judged(docs: DataFrame, doc_id: str, text: str, threshold: float, size: int, target_recall: float, bucket_limit: int, tile: int, levels: int) -> tuple[DataFrame, DataFrame]:
+    """The written rows, and for each ``(row, doc_id, text_id, class_id, class_row, n_links, n_texts)``."""
+    every = _shingled(docs, doc_id, text, runs_for(target_recall, 1), threshold, size)
+    classes = _classes(every, doc_id, text, threshold, size, target_recall, bucket_limit, tile, levels)
+    rows = every.select(F.col(_ROW).alias("row"), F.col(doc_id).alias("doc_id"), F.col(_D1).alias("d1"), F.col(_D2).alias("d2"))
+    return every, rows.join(classes, ["d1", "d2"], "left").drop("d1", "d2")
+
+
 def near_duplicates(
     docs: DataFrame,
     *,
@@ -305,8 +383,9 @@ def near_duplicates(
     threshold: float = 0.8,
     size: int = 5,
     target_recall: float = 0.9998,
-    bucket_limit: int = 500,
+    bucket_limit: int = 2000,
     tile: int = 1000,
+    levels: int = LEVELS,
 ) -> DataFrame:
     """One row per document: ``doc_id, text_id, class_id, n_links, n_texts, kept``.
 
@@ -316,55 +395,31 @@ def near_duplicates(
     texts among them, and ``kept`` marks the one document of its class that stays.
     """
     plain = docs.select(F.col(doc_id).cast("bigint").alias("doc_id"), F.col(text).cast("string").alias("text"))
-    every = written(mapped(plain, _prepare(runs_for(target_recall, 1), threshold, size), _PREPARED), "shingled")
-    reps = written(
-        every.where("n > 0")
-        .groupBy("d1", "d2")
-        .agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.min_by(F.struct("n", "p1", "sketch"), "doc_id").alias("x"))
-        .select("rep", "copies", "d1", "d2", "x.*"),
-        "texts",
+    _, rows = _judged(plain, "doc_id", "text", threshold, size, target_recall, bucket_limit, tile, levels)
+    none = F.lit(0).cast("bigint")
+    return rows.select(
+        "doc_id",
+        F.coalesce("text_id", "doc_id").alias("text_id"),
+        F.coalesce("class_id", "doc_id").alias("class_id"),
+        F.coalesce("n_links", none).alias("n_links"),
+        F.coalesce("n_texts", none).alias("n_texts"),
+        F.coalesce(F.col("row") == F.col("class_row"), F.lit(True)).alias("kept"),
     )
 
-    def shared(rows: DataFrame, level: str) -> DataFrame:
-        counts = rows.groupBy("key").agg(F.count("*").alias("c")).where("c > 1")
-        return written(rows.join(counts, "key"), level)
-
-    first = shared(reps.select("rep", F.explode("p1").alias("key")), "level0")
-    buckets = first.where(F.col("c") <= bucket_limit)
-    large = first.where(F.col("c") > bucket_limit).select("rep").distinct()
-    if large.take(1):
-        # A pair that shares a large bucket has both its sets here: only they need more runs.
-        again = large.join(plain.withColumnRenamed("doc_id", "rep"), "rep").where("text is not null").select("rep", "text")
-        deep = written(mapped(again, _deepened(runs_for(target_recall, LEVELS), threshold, size), _DEEP), "deep")
-        hot = None
-        for level in range(1, LEVELS + 1):
-            if level == 1:
-                rows = deep.select("rep", F.explode("p1").alias("key"))
-            else:
-                rows = deep.select("rep", F.explode(f"p{level}").alias("x")).select("rep", "x.parent", "x.key").join(hot, "parent").select("rep", "key")
-            found = shared(rows.distinct(), f"level{level}")
-            buckets = buckets.unionByName(found if level == LEVELS else found.where(F.col("c") <= bucket_limit))
-            hot = found.where(F.col("c") > bucket_limit).select(F.col("key").alias("parent")).distinct()
-            if level < LEVELS and not hot.take(1):
-                break
-
-    sketched = _tiled(buckets.join(reps.select("rep", "n", "sketch"), "rep"), "key", "rep", "c", tile)
-    alike = _in_groups(sketched, "key", _similar_sketches(threshold, least_agreement(target_recall, threshold)), "src bigint, dst bigint").distinct()
-    clusters = written(connected_components(alike).withColumnsRenamed({"v": "rep", "component": "cluster"}), "clusters")
-    sizes = clusters.groupBy("cluster").agg(F.count("*").alias("c"))
-    members = clusters.join(sizes, "cluster").join(reps.select("rep", "copies"), "rep").join(plain.withColumnRenamed("doc_id", "rep"), "rep")
-    found = written(_in_groups(_tiled(members, "cluster", "rep", "c", tile), "cluster", _exact(threshold, size), "src bigint, dst bigint, documents bigint, texts bigint"), "links")
 
-    classes = connected_components(found.where("dst is not null")).withColumnsRenamed({"v": "rep", "component": "class_id"})
-    links = found.where("dst is null").groupBy(F.col("src").alias("rep")).agg(F.sum("documents").alias("documents"), F.sum("texts").alias("texts"))
-    about = reps.select("rep", "copies", "d1", "d2").join(classes, "rep", "left").join(links, "rep", "left")
-    joined = every.select("doc_id", "d1", "d2").join(about, ["d1", "d2"], "left")
-    class_id = F.coalesce("class_id", "rep", "doc_id")
-    return joined.select(
-        "doc_id",
-        F.coalesce("rep", "doc_id").alias("text_id"),
-        class_id.alias("class_id"),
-        (F.coalesce("documents", F.lit(0)) + F.coalesce("copies", F.lit(1)) - 1).cast("bigint").alias("n_links"),
-        F.coalesce("texts", F.lit(0)).cast("bigint").alias("n_texts"),
-        F.coalesce(F.col("doc_id") == class_id, F.lit(True)).alias("kept"),
-    )
+def without_near_duplicates(
+    docs: DataFrame,
+    *,
+    doc_id: str = "doc_id",
+    text: str = "text",
+    threshold: float = 0.8,
+    size: int = 5,
+    target_recall: float = 0.9998,
+    bucket_limit: int = 2000,
+    tile: int = 1000,
+    levels: int = LEVELS,
+) -> DataFrame:
+    """The rows of ``docs``, one of each class: rows are dropped, not ids, so no text goes that has not a near copy left."""
+    every, rows = _judged(docs, doc_id, text, threshold, size, target_recall, bucket_limit, tile, levels)
+    gone = rows.where(F.col("row") != F.col("class_row")).select(F.col("row").alias(_ROW))
+    return every.join(gone, _ROW, "left_anti").select(*(F.col(f"`{c}`") for c in docs.columns))

@@ -10,7 +10,10 @@ document labels, on the driver, from a bounded sample of labelled documents.
 Labels, language, source and doc_id never enter a score. Defined results: a null or
 wordless text has one passage of zeros and gets whatever score the model gives that;
 unlabelled or null-labelled rows are not learned from; with no labelled row, or labels of
-one kind only, every score is that kind's share (0.5 without labels).
+one kind only, every score is that kind's share (0.5 without labels). Repeated rows get the same score each,
+and labels that differ for one doc_id are learned from side by side; a score of exactly 0.5
+is predicted 1; a very long text is encoded whole, passage by passage; an empty table gives an empty table;
+other columns, whatever their names, are ignored by :func:`score` and kept by :func:`keep`.
 """
 
 from __future__ import annotations
@@ -23,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphparts.llm.common import fold_column, hashed_sample, held_out_column, mapped, odd_constants, utf8
+from graphparts.llm.common import fold_column, hashed_sample, held_out_column, mapped, odd_constants, utf8, written
 
 PASSAGE = 64
 _KINDS = ("space", "newline", "lower", "upper", "digit", "stop", "comma", "shout", "pipe", "symbol", "bracket", "quote", "other", "beyond")
@@ -210,11 +213,12 @@ def train(texts: list[str | None], labels: np.ndarray, *, hidden: int = 24, gate
     return m
 
 
-def fit(docs: DataFrame, labels: DataFrame, *, text: str = "text", doc_id: str = "doc_id", label: str = "quality", max_docs: int = 3000, **options) -> Model:
-    """Learn from at most about ``max_docs`` labelled documents, those of the smallest hashed doc_id."""
+def fit(docs: DataFrame, labels: DataFrame, *, text: str = "text", doc_id: str = "doc_id", label: str = "quality", max_docs: int = 3000, max_bytes: int = 64 << 20, **options) -> Model:
+    """Learn from at most ``max_docs`` labelled rows and ``max_bytes`` of text, those of the smallest hashed doc_id."""
     marks = labels.where(F.col(label).isNotNull() & F.col(doc_id).isNotNull()).select(F.col(doc_id).alias("_id"), F.col(label).cast("double").alias("_label")).distinct()
     chosen = hashed_sample(marks, max_docs, "_id")
-    rows = docs.select(F.col(doc_id).alias("_id"), F.col(text).cast("string").alias("_text")).join(F.broadcast(chosen), "_id").toPandas()
+    found = written(docs.select(F.col(doc_id).alias("_id"), F.col(text).cast("string").alias("_text")).join(F.broadcast(chosen.limit(max_docs)), "_id"), "labelled")
+    rows = hashed_sample(found, max_docs, "_id", F.octet_length("_text"), max_bytes).toPandas()
     rows = rows.sort_values(["_id", "_text", "_label"], kind="stable")
     return train(rows["_text"].tolist(), rows["_label"].to_numpy(), **options)
 

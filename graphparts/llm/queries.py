@@ -88,6 +88,35 @@ SELECT doc_id, len(w)::BIGINT AS n_words, (len(w) - coalesce(n, 0))::BIGINT AS n
 FROM d LEFT JOIN kept USING (doc_id)
 """
 
+OP4_SQL = """
+WITH RECURSIVE step AS (SELECT i, 0 AS k, i AS c FROM range(256) t(i) UNION ALL SELECT i, k + 1, CASE WHEN c % 2 = 1 THEN xor(c // 2, 3988292384) ELSE c // 2 END FROM step WHERE k < 8),
+crc AS (SELECT list(c ORDER BY i) AS t FROM step WHERE k = 8),
+d AS (SELECT doc_id, coalesce(text, '') AS text, strlen(coalesce(text, '')) AS n, hex(encode(coalesce(text, ''))) AS hx FROM documents),
+k AS (SELECT doc_id, n + 8 AS size,
+        xor(list_reduce(list_transform(range(0, n), lambda i: ('0x' || substr(hx, 2 * i + 1, 2))::BIGINT), lambda a, b: xor(a // 256, t[xor(a, b) % 256 + 1]), 4294967295::BIGINT), 4294967295) AS text_crc32,
+        ('0x' || substr(md5(text), 1, 10))::BIGINT * 1048576 + ('0x' || substr(md5(doc_id::VARCHAR), 1, 5))::BIGINT AS key
+      FROM d, crc),
+c AS (SELECT *, sum(size) OVER (ORDER BY key RANGE BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) - sum(size) OVER (PARTITION BY key) AS before, sum(size) OVER () AS total FROM k),
+s AS (SELECT *, (before * 24 // total)::INT AS shard FROM c)
+SELECT doc_id, size::BIGINT AS size, text_crc32, 'bytes' AS law, shard, row_number() OVER (PARTITION BY shard ORDER BY key % 64, key, doc_id, text_crc32) - 1 AS slot, NULL::INT AS grown_shard FROM s
+"""
+
+OP6_SQL = r"""
+WITH RECURSIVE d AS (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+t AS (SELECT md5(array_to_string(w, ' ')) AS k, min(doc_id) AS id, count(*) AS copies, any_value(w) AS w FROM d WHERE doc_id IS NOT NULL AND len(w) > 0 GROUP BY 1),
+g AS MATERIALIZED (SELECT DISTINCT id, md5(unnest(CASE WHEN len(w) < 5 THEN [array_to_string(w, ' ')] ELSE list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' ')) END)) AS s FROM t),
+n AS (SELECT id, count(*) AS n FROM g GROUP BY id),
+c AS (SELECT x.id AS a, y.id AS b, count(*) AS c FROM g x JOIN g y USING (s) WHERE x.id < y.id GROUP BY ALL),
+half AS (SELECT a, b FROM c JOIN n x ON x.id = a JOIN n y ON y.id = b WHERE c >= 0.8 * (x.n + y.n - c) - 1e-9),
+link AS MATERIALIZED (SELECT a, b FROM half UNION ALL SELECT b, a FROM half),
+reach AS (SELECT DISTINCT a, a AS r FROM link UNION SELECT l.a, reach.r FROM reach JOIN link l ON l.b = reach.a),
+low AS (SELECT a, min(r) AS c FROM reach GROUP BY a),
+deg AS (SELECT a, count(*) AS texts, sum(t.copies) AS documents FROM link JOIN t ON t.id = link.b GROUP BY a)
+SELECT d.doc_id, coalesce(t.id, d.doc_id) AS text_id, coalesce(low.c, t.id, d.doc_id) AS class_id, (coalesce(documents, 0) + coalesce(copies, 1) - 1)::BIGINT AS n_links,
+       coalesce(texts, 0)::BIGINT AS n_texts, d.doc_id = coalesce(low.c, t.id, d.doc_id) AS kept
+FROM d LEFT JOIN t ON d.doc_id IS NOT NULL AND t.k = md5(array_to_string(d.w, ' ')) LEFT JOIN low ON low.a = t.id LEFT JOIN deg ON deg.a = t.id
+"""
+
 OP10_SQL = """
 WITH RECURSIVE ok AS (
   SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings
@@ -105,4 +134,4 @@ FROM embeddings LEFT JOIN low ON low.a = vec_id LEFT JOIN deg ON deg.a = vec_id
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_substring_dedup": OP2_SQL, "op10_embedding_near_dedup": OP10_SQL}
+    return {"op2_substring_dedup": OP2_SQL, "op4_sharding": OP4_SQL, "op6_ngram_jaccard_join": OP6_SQL, "op10_embedding_near_dedup": OP10_SQL}

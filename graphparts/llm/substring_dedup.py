@@ -236,8 +236,9 @@ def remove_repeats(
     block_docs: int = 1024,
     slab_docs: int = 40_000,
     digest_only: bool = False,
+    prefix: str = "",
 ) -> DataFrame:
-    """``df`` with ``n_words``, ``n_removed`` and the kept words.
+    """``df`` with ``n_words``, ``n_removed`` and the kept words; ``prefix`` goes before the new columns' names.
 
     The kept words replace ``text`` (joined by single spaces), or with ``digest_only`` the
     column ``kept_sha256`` takes the place of ``text``. ``block_docs`` bounds what a block
@@ -249,10 +250,12 @@ def remove_repeats(
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     blocks = max(1, min(parts, n_docs), -(-n_docs // block_docs))
     slabs = max(1, min(blocks, 64), -(-n_docs // slab_docs))
-    results = ["n_words", "n_removed"] + (["kept_sha256"] if digest_only else [])
+    results = [f"{prefix}{c}" for c in ("n_words", "n_removed", *(("kept_sha256",) if digest_only else ()))]
     names = [c for c in df.columns if c not in results and c != _BLOCK]
     p = Plan(window, min(gram, window), rows, min(48, max(20, (n_docs * 1024).bit_length())), slabs, names.index(text))
-    dealt = df.select(*(F.col(f"`{c}`") for c in names)).withColumn(_BLOCK, F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(blocks)).cast("int"))
+    # A block follows from a row's values and its partition, so it is the same when a lost task runs again, in whatever order.
+    told = [f"`{f.name}`" for f in df.schema if f.name in names and not f.dataType.simpleString().startswith(("map", "variant"))]
+    dealt = df.select(*(F.col(f"`{c}`") for c in names)).withColumn(_BLOCK, F.pmod(F.xxhash64(*told, F.spark_partition_id()), F.lit(blocks)).cast("int"))
     grouped = dealt.groupBy(_BLOCK)
 
     def sketch(t: pa.Table) -> pa.Table:
@@ -268,7 +271,7 @@ def remove_repeats(
 
     kept_type = next(f for f in dealt.schema if f.name == text)
     outs = [f for f in dealt.schema if f.name not in (_BLOCK,) and not (digest_only and f.name == text)]
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in outs), "n_words bigint", "n_removed bigint"] + (["kept_sha256 string"] if digest_only else []))
+    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in outs), *(f"`{c}` {t}" for c, t in zip(results, ("bigint", "bigint", "string"), strict=False))])
     assert kept_type.dataType.simpleString() == "string", "the text column must be a string"
 
     def cut(t: pa.Table, answers: pa.Table) -> pa.Table:
@@ -286,8 +289,8 @@ def remove_repeats(
             kept.append(hashlib.sha256(joined).hexdigest() if digest_only else joined.decode("utf-8", "surrogatepass"))
         cols = {f.name: t.column(f.name) for f in outs}
         cols |= {} if digest_only else {text: pa.array(kept, pa.string())}
-        cols |= {"n_words": pa.array(block.n_words, pa.int64()), "n_removed": pa.array(n_removed, pa.int64())}
-        return pa.table(cols | ({"kept_sha256": pa.array(kept, pa.string())} if digest_only else {}))
+        counts = (pa.array(block.n_words, pa.int64()), pa.array(n_removed, pa.int64()), pa.array(kept, pa.string()))
+        return pa.table(cols | dict(zip(results, counts, strict=False)))
 
     marked = grouped.applyInArrow(sketch, _REQUEST).groupBy("slab").applyInArrow(_merge, _ANSWER)
     asked = grouped.cogroup(marked.groupBy("block")).applyInArrow(windows, _REQUEST)
