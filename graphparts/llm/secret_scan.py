@@ -13,7 +13,8 @@ findings are at hand.
 
 Defined results: a null or empty text has no finding; every place of a repeated secret in one word
 counts once; repeated rows have the same findings each; other columns pass through, and
-a column named like a result is replaced.
+a column named like a result is replaced by :func:`with_findings` and kept by :func:`redact`; a very long text is read
+whole, in time that grows with its length; an empty table gives an empty table.
 
 Candidates are narrow by default: long runs and short assigned ones, each with a digit. With
 ``wide`` every value after an assignment or a credential word is a candidate, of any characters and length,
@@ -252,33 +253,40 @@ def vote(forest: list[Tree], feature: Callable[[str], Column]) -> Column:
     return reduce(lambda a, b: a + b, map(case, forest)) / len(forest)
 
 
-def with_findings(df: DataFrame, forest: list[Tree], *, text: str = "text", keep: float = 0.5, wide: bool = False) -> DataFrame:
-    """``df`` with ``findings``: an array of ``(start, length, value, score, secret)`` for every candidate.
+#: Words of a block, within which starts are summed anew for every candidate.
+BLOCK = 128
+
+
+def with_findings(df: DataFrame, forest: list[Tree], *, text: str = "text", keep: float = 0.5, wide: bool = False, name: str = "findings") -> DataFrame:
+    """``df`` with the column ``name``: an array of ``(start, length, value, score, secret)`` for every candidate.
 
     ``start`` counts characters from 0; ``secret`` is whether the score exceeds ``keep``.
     """
     words = F.split(F.coalesce(F.col(text), F.lit("")), r"\s", -1)
 
-    def started(w: Column, i: Column) -> Column:
-        return F.aggregate(F.slice(w, F.lit(1), i), F.lit(0).cast("bigint"), lambda a, x: a + F.length(x) + 1)
+    def started(w: Column, before: Column, i: Column) -> Column:
+        """Where word ``i`` begins: the length of all earlier blocks, and of the earlier words of its own."""
+        block = F.floor(i / BLOCK).cast("int")
+        inside = F.slice(w, block * BLOCK + 1, (i - block * BLOCK).cast("int"))
+        return F.get(before, block) + F.aggregate(inside, F.lit(0).cast("bigint"), lambda a, x: a + F.length(x) + 1)
 
     def scored(found: Column) -> Column:
         voted = F.transform(found, lambda x: F.struct(x["start"].alias("start"), x["value"].alias("value"), vote(forest, lambda k: x[k]).alias("score")))
         return F.transform(voted, lambda x: F.struct(x["start"].alias("start"), F.length(x["value"]).alias("length"), x["value"].alias("value"), x["score"].alias("score"), (x["score"] > keep).alias("secret")))
 
-    def judged(w: Column) -> Column:
+    def judged(w: Column, before_block: Column) -> Column:
         at = lambda i: F.get(w, i)
         suspicious = lambda i: (F.length(at(i)) >= 8) & F.rlike(at(i), F.lit(_MAYBE)) & F.rlike(at(i), F.lit(CANDIDATE))
 
         def described(i: Column) -> Column:
             before = F.concat(F.coalesce(at(i - 2), F.lit("")), F.lit(" "), F.coalesce(at(i - 1), F.lit("")))
-            start = started(w, i)
+            start = started(w, before_block, i)
             return F.transform(_candidates(at(i)), lambda v: F.struct((start + F.position(v, at(i)) - 1).alias("start"), v.alias("value"), *_described(v, at(i), before)))
 
         places = F.filter(F.sequence(F.lit(0), F.size(w) - 1), suspicious)
         return scored(F.flatten(F.transform(places, described)))
 
-    def judged_wide(w: Column) -> Column:
+    def judged_wide(w: Column, before_block: Column) -> Column:
         """Blanks are no words here: the two before a value are those that are not empty."""
 
         def of(full: Column) -> Column:
@@ -288,7 +296,7 @@ def with_findings(df: DataFrame, forest: list[Tree], *, text: str = "text", keep
 
             def described(x: Column) -> Column:
                 word, before = x["word"], x["before"]
-                values = F.transform(F.array(started(w, x["at"])), lambda s: F.transform(_wide_candidates(word, before), lambda v: F.struct((s + _last(v, word)).alias("start"), v.alias("value"), *_described(v, word, before, True))))
+                values = F.transform(F.array(started(w, before_block, x["at"])), lambda s: F.transform(_wide_candidates(word, before), lambda v: F.struct((s + _last(v, word)).alias("start"), v.alias("value"), *_described(v, word, before, True))))
                 return F.get(values, 0)
 
             return scored(F.flatten(F.transform(places, described)))
@@ -296,8 +304,16 @@ def with_findings(df: DataFrame, forest: list[Tree], *, text: str = "text", keep
         full = F.filter(F.transform(w, lambda x, i: F.struct(x.alias("word"), i.alias("at"))), lambda x: x["word"] != "")
         return F.get(F.transform(F.array(full), of), 0)
 
+    judge = judged_wide if wide else judged
+
+    def with_blocks(w: Column) -> Column:
+        # Every lambda's variable is an array computed once: sums of blocks, then sums of all blocks before each.
+        sums = F.transform(F.sequence(F.lit(0), F.floor((F.size(w) - 1) / BLOCK).cast("int")), lambda k: F.aggregate(F.slice(w, k * BLOCK + 1, F.lit(BLOCK)), F.lit(0).cast("bigint"), lambda a, x: a + F.length(x) + 1))
+        before = lambda s: F.transform(s, lambda _, k: F.aggregate(F.slice(s, F.lit(1), k), F.lit(0).cast("bigint"), lambda a, x: a + x))
+        return F.get(F.transform(F.transform(F.array(sums), before), lambda b: judge(w, b)), 0)
+
     # The words are bound once, as a lambda's variable: as a column of their own the optimizer could split the text anew for every word.
-    return df.withColumn("findings", F.get(F.transform(F.array(words), judged_wide if wide else judged), 0))
+    return df.withColumn(name, F.get(F.transform(F.array(words), with_blocks), 0))
 
 
 def scan(df: DataFrame, forest: list[Tree], *, doc_id: str = "doc_id", text: str = "text", wide: bool = False) -> DataFrame:
@@ -311,8 +327,8 @@ def scan(df: DataFrame, forest: list[Tree], *, doc_id: str = "doc_id", text: str
 def redact(df: DataFrame, forest: list[Tree], *, text: str = "text", mark: str = "[SECRET]", wide: bool = False) -> DataFrame:
     """``df`` with every secret in ``text`` replaced by ``mark``; wide ones of under 12 characters only where no letter or digit touches them."""
     columns = df.columns
-    found = with_findings(df, forest, text=text, wide=wide)
-    secrets = F.array_sort(F.array_distinct(F.transform(F.filter("findings", lambda x: x["secret"]), lambda x: x["value"])), lambda a, b: F.length(b) - F.length(a))
+    found = with_findings(df, forest, text=text, wide=wide, name="_gp_findings")
+    secrets = F.array_sort(F.array_distinct(F.transform(F.filter("_gp_findings", lambda x: x["secret"]), lambda x: x["value"])), lambda a, b: F.length(b) - F.length(a))
 
     def replaced(t: Column, s: Column) -> Column:
         if not wide:
