@@ -2,13 +2,17 @@
 
 ``mux`` stores a payload as 188-byte transport packets: program association and map
 tables, then packetised elementary stream (PES) units with presentation timestamps, clock
-references and random-access marks. ``demux`` reads any such stream back: it verifies the
-tables' checksums, follows continuity counters, reassembles the elementary packets of
-every stream and lists their timestamps and random-access points.
+references and random-access marks. ``demux`` reads such streams back, those of other writers
+included: it joins tables that span packets, verifies their checksums, follows continuity counters,
+reassembles the elementary packets of every stream and lists their timestamps and random-access
+points. Not read: packets of other lengths than 188 bytes, scrambled payloads, and tables other than
+the program association and map tables.
 
 Defined results: a null text is the empty text; an empty payload is stored as 64 zero
 bytes; equal texts give equal bytes. Bytes that are no packet are skipped up to the next
-sync byte and counted; a unit whose continuity broke is returned and marked incomplete.
+sync byte and counted; a unit whose continuity broke is returned and marked incomplete; a table cut short
+is counted as an error. Repeated rows get a stream each; an empty table gives an empty table; other columns
+pass :func:`with_media`, where columns named like its results are replaced; a very long text is one long stream.
 """
 
 from __future__ import annotations
@@ -18,8 +22,9 @@ from dataclasses import dataclass, field
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-from graphparts.llm.common import crc32, mapped, utf8
+from graphparts.llm.common import crc32, mapped, utf8, written
 
 # Fixed values of the format.
 PACKET, SYNC, BODY = 188, 0x47, 184
@@ -152,13 +157,38 @@ def _tables(s: Stream, pid: int, section: bytes) -> None:
 
 
 def demux(data: bytes) -> Stream:
-    """Read a transport stream back, whatever wrote it."""
+    """Read a transport stream of 188-byte packets back; tables may span packets, and packets may hold several."""
     s = Stream()
     counters: dict[int, int] = {}
     pending: dict[int, list] = {}  # pid -> [parts, random access, whole so far]
     parts: dict[int, list[bytes]] = {}
     sizes: dict[int, int] = {}
     previous: dict[int, bytes] = {}
+    sections: dict[int, bytearray] = {}  # pid -> what has come of an unfinished table
+
+    def table_bytes(pid: int, body: bytes, begins: bool) -> None:
+        """Add a packet's body to the tables of ``pid``; every complete one is read."""
+        if begins and body:
+            if pid in sections:
+                sections[pid] += body[1 : 1 + body[0]]
+                whole(pid)
+                if sections.pop(pid, None):
+                    s.table_errors += 1  # it ended before its length
+            sections[pid] = bytearray(body[1 + body[0] :])
+        elif pid in sections:
+            sections[pid] += body
+        whole(pid)
+
+    def whole(pid: int) -> None:
+        held = sections.get(pid)
+        while held:
+            if held[0] == 0xFF:  # stuffing up to the next table
+                break
+            if len(held) < 3 or len(held) < (end := 3 + ((held[1] & 15) << 8 | held[2])):
+                return
+            _tables(s, pid, bytes(held[:end]))
+            del held[:end]
+        sections.pop(pid, None)
 
     def close(pid: int) -> None:
         if pid not in pending:
@@ -213,12 +243,13 @@ def demux(data: bytes) -> Stream:
             s.counter_errors += 1
             if pid in pending:
                 pending[pid][2] = False
+            if sections.pop(pid, None):
+                s.table_errors += 1
         counters[pid] = counter
         previous[pid] = data[stop - PACKET : stop]
         body = data[start:stop]
         if pid == PAT_PID or pid in s.programs.values():
-            if b1 & 0x40 and body:
-                _tables(s, pid, body[1 + body[0] :])
+            table_bytes(pid, body, bool(b1 & 0x40))
             continue
         if b1 & 0x40:
             close(pid)
@@ -226,6 +257,7 @@ def demux(data: bytes) -> Stream:
         elif pid in pending:
             pending[pid][0].append(body)
     s.skipped += n - at
+    s.table_errors += len(sections)
     for pid in list(pending):
         close(pid)
     s.payload = {pid: b"".join(p) for pid, p in parts.items()}
@@ -260,40 +292,42 @@ def feature(s: Stream) -> str:
 _UNITS = "array<struct<pid:int,pts:bigint,dts:bigint,offset:bigint,length:bigint,random_access:boolean,complete:boolean>>"
 
 
-def with_media(df: DataFrame, text: str = "text") -> DataFrame:
+def with_media(df: DataFrame, text: str = "text", carry: list[str] | None = None) -> DataFrame:
     """Every row with ``media`` (the stored stream) and ``media_units`` (timestamps and random-access points).
 
-    Columns of those names are replaced.
+    ``carry`` names the columns that stay, all by default. Columns named like the results are replaced.
     """
-    keep = [c for c in df.columns if c not in ("media", "media_units")]
-    kept = df.select(*(f"`{c}`" for c in keep))
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema), "media binary", f"media_units {_UNITS}"])
+    keep = [c for c in (df.columns if carry is None else carry) if c not in ("media", "media_units")]
+    read = list(dict.fromkeys([*keep, text]))
+    kept = df.select(*(F.col(f"`{c}`") for c in read))
+    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema if f.name in keep), "media binary", f"media_units {_UNITS}"])
 
     def run(batch: pa.RecordBatch) -> dict:
-        media = [mux(padded(utf8(t))) for t in batch.column(keep.index(text)).to_pylist()]
-        return dict(zip(keep, batch.columns, strict=True)) | {"media": media, "media_units": [[vars(u) for u in demux(m).units] for m in media]}
+        media = [mux(padded(utf8(t))) for t in batch.column(read.index(text)).to_pylist()]
+        return {c: batch.column(read.index(c)) for c in keep} | {"media": media, "media_units": [[vars(u) for u in demux(m).units] for m in media]}
 
     return mapped(kept, run, schema)
 
 
 def media_digests(df: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """Store every text, read the stored bytes back, and return digests and features."""
+    """Store every text as a media column with its units, read the stored columns back, and return digests and features."""
+    plain = df.select(F.col(doc_id).cast("bigint").alias("doc_id"), F.col(text).cast("string").alias("text"))
+    plain = plain.withColumn("n_bytes", F.coalesce(F.octet_length("text"), F.lit(0)).cast("bigint"))
+    stored = written(with_media(plain, "text", ["doc_id", "n_bytes"]), "media")
 
     def run(batch: pa.RecordBatch) -> dict:
-        out: dict = {k: [] for k in ("n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature")}
-        for t in batch.column(1).to_pylist():
-            raw = utf8(t)
-            media = mux(padded(raw))
+        out: dict = {k: [] for k in ("payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature")}
+        for media in batch.column(2).to_pylist():
             stream = demux(media)
             payload = stream.payload[DATA_PID]
-            for k, v in zip(out, (len(raw), len(payload), hashlib.sha256(payload).hexdigest(), crc32(payload[-64:]), len(media), hashlib.sha256(media).hexdigest(), feature(stream)), strict=True):
+            for k, v in zip(out, (len(payload), hashlib.sha256(payload).hexdigest(), crc32(payload[-64:]), len(media), hashlib.sha256(media).hexdigest(), feature(stream)), strict=True):
                 out[k].append(v)
-        return {"doc_id": batch.column(0)} | out
-
-    from pyspark.sql import functions as F
+        return {"doc_id": batch.column(0), "n_bytes": batch.column(1), "n_units": batch.column(3), "n_points": batch.column(4), "last_pts": batch.column(5)} | out
 
+    units = F.col("media_units")
+    about = [F.size(units).alias("n_units"), F.size(F.filter(units, lambda u: u["random_access"])).alias("n_points"), F.array_max(F.transform(units, lambda u: u["pts"])).alias("last_pts")]
     return mapped(
-        df.select(F.col(doc_id).cast("bigint").alias("doc_id"), F.col(text).cast("string").alias("text")),
+        stored.select("doc_id", "n_bytes", "media", *about),
         run,
-        "doc_id bigint, n_bytes bigint, payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, feature string",
+        "doc_id bigint, n_bytes bigint, payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, feature string, n_units int, n_points int, last_pts bigint",
     )
