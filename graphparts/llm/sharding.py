@@ -27,6 +27,8 @@ from graphparts.llm.common import written
 from graphparts.llm.numbering import numbered
 
 KEY_BITS, TEXT_BITS = 60, 40
+#: Parts of a shard that are sorted apart to number its rows; slots follow from it.
+PARTS = 64
 
 
 def key_column(doc_id: str, text: str) -> Column:
@@ -93,8 +95,7 @@ def shard(df: DataFrame, *, shards: int = 24, doc_id: str = "doc_id", text: str
 def _dealt(sized: DataFrame, cuts: list[int], shards: int, order: list[Column]) -> DataFrame:
     # The number of splitters at or below the key.
     number = sum(((F.col("_key") >= F.lit(c).cast("bigint")).cast("int") for c in cuts), F.lit(0))
-    parts = max(8, int(sized.sparkSession.conf.get("spark.sql.shuffle.partitions")) // 4)
-    placed = sized.withColumn("shard", number).withColumn("_part", F.col("_key") % F.lit(parts))
+    placed = sized.withColumn("shard", number).withColumn("_part", F.col("_key") % F.lit(PARTS))
     return numbered(placed, ["shard"], "_part", [F.col("_key"), *order], "slot").drop("_key", "_part")
 
 
