@@ -2,7 +2,14 @@
 
 Every stage takes ``(spark, docs, sf_dir)`` and works on all rows of ``docs``; all but the last
 return the columns of ``documents``. :func:`run` writes each stage's rows as Parquet in the
-session's shared folder and reads them again.
+session's shared folder, reads them again, and deletes them once the next stage is written.
+
+Defined results: rows with a null text, or an empty one, pass the classifier by its score of an empty text,
+are nobody's near duplicate, keep their text and are packed as one end mark; rows without a doc_id
+are documents of their own and pass all stages; rows repeated under one doc_id are judged
+row by row, so texts that differ both stay and of equal ones one does; ties go to the
+smallest doc_id; empty tables give an empty table; very long texts are read whole; other columns pass
+all stages but the last, whatever their names (only ``n_chars`` follows its text).
 """
 
 from __future__ import annotations
@@ -10,8 +17,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphparts.llm.common import fold_column, table, written
-from graphparts.llm.ngram_join import near_duplicates
+from graphparts.llm.common import dropped, fold_column, table, written
+from graphparts.llm.ngram_join import without_near_duplicates
 from graphparts.llm.packing import pack
 from graphparts.llm.quality_mil import fit, keep
 from graphparts.llm.secret_scan import labelled_findings, redact, train
@@ -32,20 +39,14 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates stays, the one of the smallest doc_id; rows without a doc_id stay."""
-    gone = near_duplicates(docs).where(~F.col("kept")).select("doc_id").distinct()
-    left = docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
-    # Rows repeated under one doc_id cannot be told apart by it; only where there are any, one is taken.
-    repeated = docs.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").limit(1).count()
-    if not repeated:
-        return left
-    return left.where("doc_id is not null").dropDuplicates(["doc_id"]).unionByName(left.where("doc_id is null"))
+    """One row of each group of near duplicates stays, that of the smallest doc_id; rows without a doc_id stay."""
+    return without_near_duplicates(docs)
 
 
 def substring_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Words in repeated windows go; a document that keeps no word goes."""
-    cut = remove_repeats(docs)
-    return _counted(cut.where("n_removed < n_words or n_words = 0").select(*docs.columns))
+    cut = remove_repeats(docs, prefix="_stage_")
+    return _counted(cut.where("_stage_n_removed < _stage_n_words or _stage_n_words = 0").select(*docs.columns))
 
 
 def secret_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -71,7 +72,10 @@ ORACLE_SQL: str | None = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
+    docs, before = table(spark, sf_dir, "documents"), None
     for k, (_, stage) in enumerate(STAGES):
         docs = written(stage(spark, docs, sf_dir), f"stage{k}")
+        if before is not None:
+            dropped(spark, before)
+        before = docs
     return docs
