@@ -3,9 +3,8 @@
 Every round hangs the larger neighbours of a vertex on the smallest vertex it knows, then
 does the same for the smaller ones, until the edge set is a set of stars. The number of
 rounds grows with the logarithm of the diameter. Minima are aggregated before the shuffle and
-joined back. Where a vertex has more than ``HUB`` edges, and more than one in ``SHARES`` of all, its
-edges meet its minimum by a broadcast of such vertices alone, at most ``2 * SHARES`` of them by that
-bound, so they are never gathered in one task.
+joined back. Where a vertex has a large share of all edges, they meet its minimum by a broadcast
+of such vertices alone (``plans.skew``), so they are never gathered in one task.
 """
 
 from __future__ import annotations
@@ -14,23 +13,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from graphparts.plans.scratch import dropped, written
-
-
-HUB, SHARES = 1000, 10_000
-
-
-def _with_low(rows: DataFrame, low: DataFrame, most: int) -> DataFrame:
-    """``rows(a, b)`` with ``low`` of their ``a``; vertices of more than ``most`` edges by broadcast, 0 if there are none."""
-    if not most:
-        return rows.join(low.select("a", "low"), "a")
-    hubs = F.broadcast(low.where(F.col("n") > most).select("a", "low"))
-    rest = rows.join(hubs.select("a"), "a", "left_anti").join(low.where(F.col("n") <= most).select("a", "low"), "a")
-    return rows.join(hubs, "a").unionByName(rest)
+from graphparts.plans.skew import hub_limit, join_per_key
 
 
 def _hang(edges: DataFrame, larger: bool, most: int, scratch: list[DataFrame]) -> DataFrame:
     """One contraction over (a, b) with a > b, as edges of the same form; ``scratch`` gets tables to delete when that is written."""
 
+    def with_low(rows: DataFrame, low: DataFrame) -> DataFrame:
+        return join_per_key(rows, low, "a", "n", most) if most else rows.join(low.select("a", "low"), "a")
+
     def kept(low: DataFrame) -> DataFrame:
         if most:
             scratch.append(low := written(low, "lows"))
@@ -39,10 +30,10 @@ def _hang(edges: DataFrame, larger: bool, most: int, scratch: list[DataFrame]) -
     if larger:
         both = edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
         low = kept(both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("low"), F.count("*").alias("n")))
-        out = _with_low(both.where("b > a"), low, most).select(F.col("b").alias("a"), F.col("low").alias("b"))
+        out = with_low(both.where("b > a"), low).select(F.col("b").alias("a"), F.col("low").alias("b"))
     else:
         low = kept(edges.groupBy("a").agg(F.min("b").alias("low"), F.count("*").alias("n")))
-        moved = _with_low(edges, low, most).where("b <> low").select(F.col("b").alias("a"), F.col("low").alias("b"))
+        moved = with_low(edges, low).where("b <> low").select(F.col("b").alias("a"), F.col("low").alias("b"))
         out = moved.unionByName(low.select("a", F.col("low").alias("b")))
     return out.where("a <> b").distinct()
 
@@ -51,7 +42,7 @@ def _state(edges: DataFrame) -> tuple[tuple, int]:
     """Number and checksum of the edges, and the limit above which a vertex is a hub (0: none is)."""
     ends = edges.select(F.explode(F.array("a", "b")).alias("v"), F.xxhash64("a", "b").cast("decimal(38,0)").alias("h"))
     one = ends.groupBy("v").agg(F.count("*").alias("n"), F.sum("h").alias("h")).agg(F.coalesce(F.max("n"), F.lit(0)), F.coalesce(F.sum("n"), F.lit(0)), F.sum("h")).first()
-    most = max(HUB, one[1] // (2 * SHARES))
+    most = hub_limit(one[1])
     return (one[1], one[2]), most if one[0] > most else 0
 
 
