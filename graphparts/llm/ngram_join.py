@@ -31,8 +31,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphparts.llm.common import mapped, mix, odd_constants, utf8, word_hashes, written
+from graphparts.llm.common import dropped, mapped, mix, odd_constants, utf8, word_hashes, written
 from graphparts.operators.components import connected_components
+from graphparts.plans.skew import hub_limit, join_per_key
 
 SLOTS = 64
 LEVELS = 3
@@ -311,8 +312,11 @@ def _buckets(reps: DataFrame, texts: DataFrame, target_recall: float, threshold:
     """``(rep, key, c)``: the sets of every bucket that is compared, and how many they are."""
 
     def shared(rows: DataFrame, level: str) -> DataFrame:
-        counts = rows.groupBy("key").agg(F.count("*").alias("c")).where("c > 1")
-        return written(rows.join(counts, "key"), level)
+        counts = written(rows.groupBy("key").agg(F.count("*").alias("c")).where("c > 1").withColumn("n", F.col("c")), f"{level}-counts")
+        total = counts.agg(F.sum("c")).first()[0] or 0
+        found = written(join_per_key(rows, counts, "key", "n", hub_limit(total)), level)
+        dropped(counts.sparkSession, counts)
+        return found
 
     first = shared(reps.select("rep", F.explode("p1").alias("key")), "level0")
     buckets = first.where(F.col("c") <= bucket_limit)
