@@ -68,11 +68,12 @@ def encode(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
     passage = base[doc] + nth // PASSAGE
     total = int(n_passages.sum())
 
-    # Bytes belong to the passage of the last word begun before them.
+    # Bytes belong to the passage of the last word begun before them in their text; blanks before its first word to none.
     spans = np.diff(np.append(start, len(data)))
     of_byte = np.repeat(passage, spans)
     tail = data[start[0] :]
-    counts = np.bincount(of_byte * len(_KINDS) + _OF[tail], minlength=total * len(_KINDS)).reshape(total, -1).astype(float)
+    own_text = np.repeat(np.arange(len(raw), dtype=np.int32), np.diff(ends, prepend=0))[start[0] :] == np.repeat(doc, spans)
+    counts = np.bincount((of_byte * len(_KINDS) + _OF[tail])[own_text], minlength=total * len(_KINDS)).reshape(total, -1).astype(float)
     words = np.bincount(passage, minlength=total).astype(float)
 
     solid = ~gap[start[0] :]
