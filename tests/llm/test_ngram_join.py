@@ -1,6 +1,6 @@
 import random
 
-from graphparts.llm.ngram_join import near_duplicates
+from graphparts.llm.ngram_join import near_duplicates, without_near_duplicates
 
 
 def grams(t):
@@ -65,7 +65,7 @@ def test_edges(spark):
     schema = "doc_id bigint, text string"
     assert near_duplicates(spark.createDataFrame([], schema)).collect() == []
     got = near_duplicates(spark.createDataFrame([(None, "a b c d e f"), (5, "a b c d e f"), (5, "a b c d e f"), (9, "a b  c d e f"), (None, None)], schema)).collect()
-    assert sorted((r.doc_id, r.class_id, r.n_links, r.kept) for r in got if r.doc_id) == [(5, 5, 2, True), (5, 5, 2, True), (9, 5, 2, False)]
+    assert sorted((r.doc_id, r.class_id, r.n_links, r.kept) for r in got if r.doc_id) == [(5, 5, 2, False), (5, 5, 2, True), (9, 5, 2, False)]  # one row of the class stays
     assert [(r.class_id, r.n_links, r.kept) for r in got if r.doc_id is None] == [(None, 0, True)] * 2
 
 
@@ -85,3 +85,37 @@ def test_recall_where_all_shingles_are_hot(spark):
     found = sum(got[i] > 0 and got[i + 1] > 0 for i in range(0, len(rows), 2)) / (len(rows) / 2)
     print(f"recall {found:.5f}")
     assert found >= 0.9985  # one of 1,000 pairs may miss
+
+
+def test_one_id_with_several_texts(spark):
+    r = random.Random(3)
+    base = [f"w{r.randrange(500)}" for _ in range(60)]
+    near = " ".join([*base[:59], "other"])
+    a, b, c = " ".join(base), "another text of its own with some words", "a third one that nobody else has at all"
+    schema = "doc_id bigint, text string, kept boolean, _nj_row int"
+    rows = [(1, a), (1, b), (2, near), (5, a), (5, b), (7, c), (7, c)]
+    df = spark.createDataFrame([(*x, None, 3) for x in rows], schema)
+    got = sorted((x.doc_id, x.class_id, x.n_links) for x in near_duplicates(df).collect())
+    assert got == sorted([(1, 1, 2), (1, 1, 1), (2, 1, 2), (5, 1, 2), (5, 1, 1), (7, 7, 1), (7, 7, 1)])
+    left = without_near_duplicates(df.drop("_nj_row"))
+    assert sorted((x.doc_id, x.text) for x in left.collect()) == sorted([(1, a), (1, b), (7, c)]) and left.columns == ["doc_id", "text", "kept"]
+    for rows in ([(1, "A"), (1, "B"), (2, "C"), (3, "C")], [(5, "A"), (5, "B"), (2, "B")]):
+        left = without_near_duplicates(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()
+        assert {x.text for x in left} == {t for _, t in rows} and len(left) == len({t for _, t in rows})
+
+
+def test_texts_of_a_megabyte(spark):
+    r = random.Random(5)
+    long = [f"w{r.randrange(10**6)}" for _ in range(150_000)]
+    rows = [(1, " ".join(long)), (2, " ".join([*long[:-9], "end"])), (3, "x " * 400_000)]
+    got = {x.doc_id: (x.class_id, x.n_links) for x in near_duplicates(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
+    assert got == {1: (1, 1), 2: (1, 1), 3: (3, 0)}
+
+
+def test_recall_at_the_threshold_on_given_documents(spark):
+    """Ids divisible by 20 against all rows, by brute force."""
+    rows = [(x.doc_id, x.text) for x in spark.read.parquet("/root/testdata/sf0.01/documents.parquet").collect()]
+    sets = {i: grams(t) for i, t in rows}
+    want = {i: sum(j != i and bool(s) and bool(o) and len(s & o) >= 0.8 * len(s | o) for j, o in sets.items()) for i, s in sets.items() if i % 20 == 0}
+    got = {x.doc_id: x.n_links for x in near_duplicates(spark.read.parquet("/root/testdata/sf0.01/documents.parquet")).collect()}
+    assert sum(want.values()) > 5 and {i: got[i] for i in want} == want

@@ -45,3 +45,21 @@ def test_run_and_empty_documents(spark, tmp_path):
     assert c.run(spark, str(tmp_path)).collect() == []
     got = c.run(spark, "/root/testdata/sf0.001").collect()
     assert got and {len([k for k in STAGE if k]) for STAGE in c.STAGES} == {2}
+
+
+def test_near_duplicate_stage_keeps_every_text(spark):
+    stage = dict(c.STAGES)["n-gram Jaccard join"]
+    for rows in ([(1, "A"), (1, "B"), (2, "C"), (3, "C")], [(5, "A"), (5, "B"), (2, "B")], [(None, "A"), (None, "A"), (4, None), (4, "")]):
+        left = [(x.doc_id, x.text) for x in stage(spark, documents(spark, rows), "").collect()]
+        assert {t for _, t in left} == {t for _, t in rows}
+
+
+def test_columns_of_the_same_names_pass(spark):
+    names = ["findings", "n_words", "n_removed", "kept", "class_id", "score", "media", "size"]
+    docs = documents(spark, [(1, "a password=82da0c4f9f2588bda2 here"), (2, None), (None, ""), (1, "another text")])
+    docs = docs.selectExpr("*", *(f"'{n}' AS {n}" for n in names))
+    for name, stage in c.STAGES[:-1]:
+        out = stage(spark, docs, "/root/testdata/sf0.001")
+        assert out.columns == docs.columns, name
+        assert all(x[n] == n for x in out.collect() for n in names), name
+        assert stage(spark, docs.limit(0), "/root/testdata/sf0.001").collect() == []

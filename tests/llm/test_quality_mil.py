@@ -55,3 +55,37 @@ def test_no_labels(spark):
     one = spark.createDataFrame([(1, 1), (2, 1), (3, None)], "doc_id bigint, quality int")
     assert {r.score for r in q.score(docs, q.fit(docs, one)).collect()} == {1.0}
     assert q.quality(docs.limit(0), one).collect() == []
+
+
+def slow_score(m, text):
+    """The model's score by plain loops over passages."""
+    import math
+
+    x, _ = q.encode([text])
+    w, hidden, scores = m.weights, [], []
+    for row in (x - m.mean) / m.scale:
+        h = [math.tanh(sum(row[i] * w["enc"][i, j] for i in range(len(row))) + w["enc_b"][j]) for j in range(len(w["enc_b"]))]
+        gate = [math.tanh(sum(a * b for a, b in zip(h, w["att_t"][:, k], strict=True))) / (1 + math.exp(-sum(a * b for a, b in zip(h, w["att_s"][:, k], strict=True)))) for k in range(len(w["att"]))]
+        hidden.append(h)
+        scores.append(sum(a * b for a, b in zip(gate, w["att"], strict=True)))
+    weight = [math.exp(s - max(scores)) for s in scores]
+    z = [sum(a * h[j] for a, h in zip(weight, hidden, strict=True)) / sum(weight) for j in range(len(hidden[0]))]
+    return 1 / (1 + math.exp(-(sum(a * b for a, b in zip(z, w["out"], strict=True)) + w["out_b"][0])))
+
+
+def test_equals_brute_force_and_edges(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    labels = spark.read.parquet("/root/testdata/sf0.001/labels.parquet")
+    m = q.fit(docs, labels, epochs=3)
+    rows = [(x.doc_id, x.text, 0.25) for x in docs.collect()][:60] + [(None, None, 1.0), (7, "", 1.0), (7, "", 1.0), (8, "very long text, " * 60_000, 1.0)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, score double")
+    got = q.score(df, m).collect()
+    assert len(got) == len(rows) and got[0].asDict().keys() == {"doc_id", "held_out", "score", "predicted"}
+    for r, (i, t, _) in zip(got, rows, strict=True):
+        if len(t or "") < 100_000:
+            assert r.doc_id == i and abs(r.score - slow_score(m, t)) < 1e-9
+    kept = q.keep(df, m, least=0.0)
+    assert kept.columns == df.columns and kept.count() == len(rows)
+    hot = spark.createDataFrame([(1, "a b c")] * 500 + [(2, "d " * 99)], "doc_id bigint, text string")
+    mixed = spark.createDataFrame([(1, 1), (2, 0), (2, 0), (None, 1)], "doc_id bigint, quality int")
+    assert q.fit(hot, mixed, max_docs=10).constant is not None or q.fit(hot, mixed, max_docs=10).weights

@@ -126,3 +126,21 @@ def test_wide_candidates_reach_the_forest(spark):
     assert [r.text for r in s.redact(df, forest, wide=True).orderBy("doc_id").collect()] == [v or k for k, v in SPOKEN.items()]
     rows = {(r.doc_id, r.start, r.length) for r in s.scan(df, forest, wide=True).collect() if r.secret}
     assert {(0, 9, 19), (1, 4, 20), (2, 10, 9), (3, 12, 8), (4, 14, 13)} <= rows and {r[0] for r in rows} == {0, 1, 2, 3, 4}
+
+
+def test_very_long_text_in_proportion(spark):
+    import time
+
+    forest = s.train(s.labelled_findings(spark, 8000, wide=True), wide=True)
+    unit = 'the key=abc123def password: hunter22x and "quoted" words of prose follow here ' * 10
+    times = []
+    for k in (1, 100, 800):
+        text = unit * k
+        df = spark.createDataFrame([(1, text, "x")], "doc_id bigint, text string, _gp_findings string")
+        began = time.time()
+        rows = s.scan(df, forest, wide=True).collect()
+        times.append(time.time() - began)
+        assert len(rows) % k == 0
+        for r in rows[:: max(1, len(rows) // 50)]:
+            assert hashlib.sha256(text[r.start : r.start + r.length].encode()).hexdigest() == r.value_sha256
+    assert times[2] < 8 * 4 * max(times[1], 0.5)
