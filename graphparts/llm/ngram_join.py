@@ -36,7 +36,7 @@ from graphparts.operators.components import connected_components
 from graphparts.plans.skew import hub_limit, join_per_key
 
 SLOTS = 64
-LEVELS = 3
+LEVELS = 2
 _ROW, _D1, _D2, _N, _FIRST, _SKETCH = "_nj_row", "_nj_d1", "_nj_d2", "_nj_n", "_nj_p1", "_nj_sketch"
 _OWN = f"{_D1} bigint, {_D2} bigint, {_N} int, {_FIRST} array<bigint>, {_SKETCH} binary"
 
