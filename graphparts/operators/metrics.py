@@ -13,6 +13,11 @@ def max_vertices(n: int, p: int, rat: float) -> float:
     return (1.0 + rat) * n / p
 
 
+def vertex_limit(n: int, p: int, rat: float) -> int:
+    """The most vertices a part may hold as a whole number; never fewer than ``p`` equal parts need."""
+    return max(int(max_vertices(n, p, rat) + 1e-9), -(-n // p))
+
+
 def max_edges(m: int, p: int, rat: float) -> float:
     """The most edges a part may hold."""
     return (1.0 + rat) * m / p
@@ -86,6 +91,13 @@ def quality(g: Graph, parts: DataFrame, p: int) -> DataFrame:
     )
 
 
+def limits(g: Graph, parts: DataFrame, p: int, rat_v: float = 0.1, rat_e: float = 0.1) -> DataFrame:
+    """One row: the largest part by vertices and by edges, its limits, and the largest cut of a part."""
+    n, m = g.sizes()
+    top = part_sizes(g, parts, p).agg(F.max("vertices").alias("max_vertices"), F.max("internal").alias("max_edges"), F.max("cut").alias("max_cut"))
+    return top.select("max_vertices", F.lit(vertex_limit(n, p, rat_v)).alias("vertex_limit"), "max_edges", F.lit(max_edges(m, p, rat_e)).alias("edge_limit"), "max_cut")
+
+
 def validate(g: Graph, parts: DataFrame, p: int) -> DataFrame:
     """``(missing, strangers, repeated, outside)``: all zero for a valid partition."""
     v = g.vertices.select("v")

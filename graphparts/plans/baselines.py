@@ -29,7 +29,7 @@ def edge_block(g: Graph, p: int) -> DataFrame:
 
 def single_node(g: Graph, p: int, init: str = "label_prop", **options) -> PartitionResult:
     """The shared-memory predecessor: one worker, sizes updated at once, no multiplier."""
-    return partition(g, p, PartitionConfig(executor="worker", n_workers=1, multiplier=False, init=init), **options)
+    return partition(g, p, PartitionConfig(executor="worker", n_workers=1, multiplier=False, init=init, keep="last"), **options)
 
 
 def matching(g: Graph, seed: int = 5, rounds: int = 3) -> DataFrame:
@@ -150,7 +150,7 @@ def solve_small(g: Graph, p: int, rat: float, seed: int = 3) -> DataFrame:
     return both.groupBy("one").applyInArrow(run, "v bigint, part int")
 
 
-def multilevel(g: Graph, p: int, coarsen: str = "matching", rat: float = 0.03, coarsest: int = 2000, levels: int = 12, refine: int = 4) -> DataFrame:
+def multilevel(g: Graph, p: int, coarsen: str = "matching", rat: float = 0.03, coarsest: int = 2000, levels: int = 12, refine: int = 4, n_workers: int = 4) -> DataFrame:
     """``(v, part)``: coarsen, solve the coarsest graph, project back and refine at every level.
 
     ``coarsest`` bounds what the one task that solves it receives; coarsening that stalls above
@@ -178,7 +178,7 @@ def multilevel(g: Graph, p: int, coarsen: str = "matching", rat: float = 0.03, c
         n = k
     bounded = n <= 10 * max(coarsest, 2 * p)
     parts = written(solve_small(graphs[-1], p, rat), "parts") if bounded else None
-    cfg = PartitionConfig(mode="vertex", outer=1, balance=1 if parts is None else 0, refine=refine, rat_v=rat, executor="worker", n_workers=1, multiplier=False)
+    cfg = PartitionConfig(mode="vertex", outer=1, balance=1 if parts is None else 0, refine=refine, rat_v=rat, executor="worker", n_workers=n_workers, x=1.0, y=1.0)
     parts = partition(graphs[-1], p, cfg, parts).parts
     for fine, mapping in zip(graphs[-2::-1], maps[::-1], strict=True):
         projected = mapping.join(parts.withColumnRenamed("v", "coarse"), "coarse").select("v", "part")

@@ -32,9 +32,13 @@ class PartitionConfig:
     edge_measure: str = "internal"  # or incident
     own_mask: bool = False  # whether a full part also loses its own vertices
     distribution: str = "random"
-    #: random: a balance phase that ends with a part over its limit sends hash-chosen vertices of such parts to parts below
-    #: it, as label propagation alone cannot fill a part that no neighbourhood touches; none: never.
-    drain: str = "random"
+    #: gain: a balance phase that ends with a part over its limit forces the vertices of the weakest ties out of it, into parts
+    #: below theirs, as label propagation alone cannot fill a part that no neighbourhood touches; none: never.
+    release: str = "gain"
+    release_sweeps: int = 8
+    #: worker: best returns the best state of the last stage (within the limits first, then by its objectives); last the last one.
+    keep: str = "best"
+    blocks: int = 64  # worker: blocks of a worker's vertices in a sweep; as many as vertices visit them one by one
     early_stop: bool = False
     rebuild: int = 5  # delta: sweeps between rewrites of the histogram
     extra: dict = field(default_factory=dict)
@@ -49,7 +53,8 @@ class PartitionConfig:
             "vertex_score": ("degree", "count"),
             "edge_score": ("degree", "count"),
             "edge_measure": ("internal", "incident"),
-            "drain": ("random", "none"),
+            "release": ("gain", "none"),
+            "keep": ("best", "last"),
             "distribution": ("random", "vertex_block", "edge_block"),
         }
         for name, values in known.items():

@@ -14,8 +14,8 @@ from graphparts.operators.graph import Graph
 from graphparts.plans import initial
 from graphparts.plans.config import PartitionConfig
 from graphparts.plans.scratch import dropped, written
-from graphparts.plans.sweeps import Sizes, Stage, admitted, drained, histogram, moved, patch, patched, proposals, sizes
-from graphparts.plans.worker import packed, worker_sweep
+from graphparts.plans.sweeps import Sizes, Stage, admitted, histogram, moved, patch, patched, proposals, released, sizes
+from graphparts.plans.worker import Workers
 
 
 @dataclass
@@ -45,23 +45,32 @@ def next_bias(re: float, rc: float, reached: bool, objective_cut: bool = True) -
 class _Run:
     def __init__(self, g: Graph, p: int, cfg: PartitionConfig, parts: DataFrame | None):
         self.g, self.p, self.cfg = g.stored(), p, cfg
-        n, m = (self.g.vertices.agg(F.coalesce(F.sum("w"), F.lit(0))).first()[0], self.g.edges.agg(F.coalesce(F.sum("w"), F.lit(0))).first()[0])
-        total = m if cfg.edge_measure == "internal" else 2 * m
+        weight = F.coalesce(F.sum("w"), F.lit(0))
+        n, self.m = self.g.vertices.agg(weight).first()[0], self.g.edges.agg(weight).first()[0]
+        total = self.m if cfg.edge_measure == "internal" else 2 * self.m
         self.imb_v, self.imb_e = metrics.max_vertices(n, p, cfg.rat_v), metrics.max_edges(total, p, cfg.rat_e)
+        self.limit_v = metrics.vertex_limit(n, p, cfg.rat_v)
         self.owners = written(owners_of(self.g, cfg.n_workers, cfg.distribution), "owners")
-        self.parts = written(parts if parts is not None else initial.start(self.g, p, cfg.init, cfg.seed, cfg.init_max_sweeps), "parts")
-        self.adjacency = written(packed(self.g, self.owners), "adjacency") if cfg.executor == "worker" else None
+        self._parts = written(parts if parts is not None else initial.start(self.g, p, cfg.init, cfg.seed, cfg.init_max_sweeps), "parts")
+        self.workers = Workers(self.g, self.owners, self._parts, p, cfg) if cfg.executor == "worker" else None
+        self.known: Sizes | None = None  # worker: sizes now, as the changes of the last sweep make them
+        self.best: tuple[tuple, DataFrame] | None = None
+        self.watched = False
         self.hist: DataFrame | None = None
         self.patches = 0
         self.sweep = 0
         self.re = self.rc = 1.0
         self.history: list[dict] = []
 
+    @property
+    def parts(self) -> DataFrame:
+        return self._parts if self.workers is None else self.workers.parts()
+
     def histogram(self) -> DataFrame:
         if self.cfg.executor != "delta":
-            return histogram(self.g, self.parts)
+            return histogram(self.g, self._parts)
         if self.hist is None:
-            self.hist = written(histogram(self.g, self.parts), "hist")
+            self.hist = written(histogram(self.g, self._parts), "hist")
         return self.hist
 
     def apply(self, moves: DataFrame) -> None:
@@ -70,54 +79,95 @@ class _Run:
             self.patches += 1
             if self.patches % self.cfg.rebuild == 0:
                 self.hist = written(self.hist, "hist")
-        before = self.parts
-        self.parts = written(moved(before, moves), "parts")
+        before = self._parts
+        self._parts = written(moved(before, moves), "parts")
         dropped(before.sparkSession, before)
 
+    def note(self, kind: str, mult: float, moves: int, s: Sizes) -> None:
+        """Sizes at the sweep's start go to the history."""
+        self.history.append({"stage": kind, "sweep": self.sweep, "mult": mult, "moves": moves, "max_v": max(s.sv), "max_e": max(s.se), "max_c": max(s.sc), "cut": sum(s.sc) // 2, "re": self.re, "rc": self.rc})
+        self.sweep += 1
+
+    def value(self, s: Sizes) -> tuple:
+        """How far a state is over the limits, then its objectives as shares of what random parts have."""
+        cut, top = sum(s.sc) / 2, max(s.sc)
+        over = max(max(s.sv) - self.limit_v, 0) / max(self.limit_v, 1)
+        if self.cfg.mode != "vertex":
+            over += max(max(s.se) - self.imb_e, 0) / max(self.imb_e, 1)
+        return over, cut if self.cfg.mode != "multi" else cut + top * self.p / 2
+
+    def stepped(self, stage: Stage | None, s: Sizes | None) -> tuple[int, Sizes]:
+        """worker: one sweep; the state before it is kept only while it is the best one of the last stage."""
+        before = self.workers.state
+        out, exact, after, moves = self.workers.run(stage, s)
+        kept = self.best[1] if self.best else None
+        if self.watched and self.cfg.keep == "best" and (self.best is None or self.value(exact) < self.best[0]):
+            if kept is not None:
+                dropped(kept.sparkSession, kept)
+            self.best = (self.value(exact), before)
+        elif before is not kept:
+            dropped(before.sparkSession, before)
+        self.workers.state, self.known = out, after
+        return moves, exact
+
     def one(self, kind: str, t: int) -> int:
         cfg, edge_stage = self.cfg, kind.startswith("edge")
-        hist = self.histogram() if edge_stage or cfg.executor != "worker" else None
-        if edge_stage and cfg.executor != "delta":
-            hist = written(hist, "hist")
-        s: Sizes = sizes(self.g.vertices, self.parts, self.p, hist if edge_stage else None, cfg.edge_measure)
         stage = Stage(kind, t, self.sweep, self.imb_v, self.imb_e, self.re, self.rc if cfg.mode != "vertex_edge" else 0.0)
-        if cfg.executor == "worker":
-            wanted = worker_sweep(self.adjacency, self.parts, s, stage, cfg, self.p)
+        if self.workers is not None:
+            if self.known is None:
+                self.stepped(None, None)
+            count, s = self.stepped(stage, self.known)
         else:
-            wanted = admitted(proposals(hist, self.g.vertices, self.parts, self.owners, s, stage, cfg), s, stage, cfg)
-        moves = written(wanted, "moves")
-        count = moves.count()
-        self.history.append({"stage": kind, "sweep": self.sweep, "mult": float(cfg.mult(t)), "moves": count, "max_v": max(s.sv), "max_e": max(s.se), "max_c": max(s.sc), "cut": sum(s.sc) // 2, "re": self.re, "rc": self.rc})
+            hist = self.histogram()
+            if edge_stage and cfg.executor != "delta":
+                hist = written(hist, "hist")
+            s = sizes(self.g.vertices, self._parts, self.p, hist if edge_stage else None, cfg.edge_measure)
+            moves = written(admitted(proposals(hist, self.g.vertices, self._parts, self.owners, s, stage, cfg), s, stage, cfg), "moves")
+            count = moves.count()
+            if count:
+                self.apply(moves)
+            if edge_stage and cfg.executor != "delta":
+                dropped(hist.sparkSession, hist)
+        self.note(kind, float(cfg.mult(t)), count, s)
         if edge_stage and kind.endswith("balance"):
             self.re, self.rc = next_bias(self.re, self.rc, max(s.se) <= self.imb_e, cfg.mode != "vertex_edge")
-        if count:
-            self.apply(moves)
-        if edge_stage and cfg.executor != "delta":
-            dropped(hist.sparkSession, hist)
-        self.sweep += 1
         return count
 
-    def drain(self) -> int:
-        """Vertices forced out of parts over their limit."""
-        total, limit = 0, self.imb_v
-        for _ in range(3):  # numbers drawn by hash only come near what is wanted
-            s = sizes(self.g.vertices, self.parts, self.p)
-            wanted = drained(self.parts, self.owners, s, limit, self.cfg.seed + self.sweep)
-            if wanted is None:
-                break
-            moves = written(wanted, "moves")
-            count = moves.count()
-            self.history.append({"stage": "drain", "sweep": self.sweep, "mult": 0.0, "moves": count, "max_v": max(s.sv), "max_e": 0, "max_c": 0, "cut": 0, "re": self.re, "rc": self.rc})
+    def release(self, edges: bool) -> int:
+        """Vertices forced out of parts over a limit, over at most ``release_sweeps`` sweeps."""
+        cfg, total = self.cfg, 0
+        for _ in range(cfg.release_sweeps):
+            if self.workers is not None:
+                _, s = self.stepped(None, None)
+                hist = None
+            else:
+                hist = written(self.histogram(), "hist")
+                s = sizes(self.g.vertices, self._parts, self.p, hist, cfg.edge_measure)
+            if max(s.sv) > self.limit_v:
+                kind = "vertex_release"
+            elif edges and max(s.se) > self.imb_e:
+                kind = "edge_release"
+            else:
+                return total
+            if self.workers is not None:
+                count, _ = self.stepped(Stage(kind, 0, self.sweep, float(self.limit_v), self.imb_e), s)
+            else:
+                wanted = released(hist, self.g.vertices, self._parts, self.owners, s, self.limit_v, self.imb_e, kind == "edge_release", cfg.n_workers, self.sweep)
+                moves = None if wanted is None else written(wanted, "moves")
+                count = 0 if moves is None else moves.count()
+                if count:
+                    self.apply(moves)
+            if hist is not None:
+                dropped(hist.sparkSession, hist)
+            self.note(kind, 0.0, count, s)
+            total += count
             if not count:
                 break
-            self.histogram() if self.cfg.executor == "delta" else None
-            self.apply(moves)
-            self.sweep += 1
-            total += count
         return total
 
-    def stage(self, name: str) -> None:
+    def stage(self, name: str, last: bool) -> None:
         cfg, t = self.cfg, 0
+        self.watched = last
         for _ in range(cfg.outer):
             quiet = True
             for step, times in (("balance", cfg.balance), ("refine", cfg.refine)):
@@ -130,12 +180,23 @@ class _Run:
                     if cfg.early_stop and not count:
                         t += times - k - 1  # the schedule goes on as if they had run
                         break
-                if step == "balance" and cfg.drain == "random" and self.drain():
+                if step == "balance" and cfg.release == "gain" and self.release(name == "edge"):
                     quiet = False
             if cfg.early_stop and quiet:
                 break
-        if cfg.drain == "random" and any(x.startswith(name) for x in cfg.stages):
-            self.drain()  # early sweeps may admit more than fits, by up to 1 / y times
+        if cfg.release == "gain" and any(x.startswith(name) for x in cfg.stages):
+            self.release(name == "edge")  # early sweeps may admit more than fits, by up to 1 / y times
+
+    def result(self) -> DataFrame:
+        """The final parts: with ``keep="best"`` of the worker executor the best state of the last stage."""
+        if self.workers is None:
+            return self._parts
+        self.stepped(None, None)  # the last state is judged too
+        out = self.workers.parts(self.best[1] if self.best else None)
+        if self.best:
+            dropped(out.sparkSession, self.best[1])
+        self.workers.close()
+        return out
 
 
 def partition(g: Graph, p: int, cfg: PartitionConfig | None = None, parts: DataFrame | None = None, **options) -> PartitionResult:
@@ -146,7 +207,7 @@ def partition(g: Graph, p: int, cfg: PartitionConfig | None = None, parts: DataF
     cfg = PartitionConfig(**{**base.__dict__, **options})
     began = time.time()
     run = _Run(g, p, cfg, parts)
-    run.stage("vertex")
+    run.stage("vertex", cfg.mode == "vertex")
     if cfg.mode != "vertex":
-        run.stage("edge")
-    return PartitionResult(run.g, p, run.parts, cfg, run.history, time.time() - began)
+        run.stage("edge", True)
+    return PartitionResult(run.g, p, run.result(), cfg, run.history, time.time() - began)

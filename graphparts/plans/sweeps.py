@@ -9,13 +9,11 @@ from __future__ import annotations
 
 import math
 from dataclasses import dataclass
-from functools import reduce
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from graphparts.functions.hashing import PRIME, portable_draw
 from graphparts.operators.graph import Graph
 from graphparts.plans.config import PartitionConfig
 
@@ -148,24 +146,39 @@ def admitted(wanted: DataFrame, s: Sizes, stage: Stage, cfg: PartitionConfig) ->
     return x.where(ok).select("v", "old", "new", "owner")
 
 
-def drained(parts: DataFrame, owners: DataFrame, s: Sizes, limit: float, seed: int) -> DataFrame | None:
-    """``(v, old, new, owner)``: about as many vertices of each part over ``limit`` as it is over it, spread over the parts below it.
+def share(total: int, n: int, owner: int, part: int, sweep: int) -> int:
+    """What one of ``n`` workers may take of ``total``: whole shares that add up to it, the odd ones to workers in turn."""
+    return total // n + int((owner + part + sweep) % n < total % n)
 
-    Which vertices go, and where, is decided by hash against p numbers, so nothing is ranked.
+
+def released(hist: DataFrame, vertices: DataFrame, parts: DataFrame, owners: DataFrame, s: Sizes, limit_v: int, limit_e: float, by_edge: bool, n: int, sweep: int) -> DataFrame | None:
+    """``(v, old, new, owner)``: vertices forced out of parts over their limit, those of the weakest ties first.
+
+    Every worker lets its share of the excess go and fills its share of the room in other parts, ranking only its
+    own vertices of one part, so no part ends over ``limit_v`` that was not before. None where nothing is over or nothing fits.
     """
-    top = int(limit)
-    room = [max(top - v, 0) for v in s.sv]
-    if max(s.sv) <= top or not sum(room):
+    p = len(s.sv)
+    over = [math.ceil(max(x - limit_e, 0)) if by_edge else max(x - limit_v, 0) for x in (s.se if by_edge else s.sv)]
+    room = [0 if over[i] else max(limit_v - s.sv[i], 0) for i in range(p)]
+    if not sum(over) or not sum(room):
         return None
-    leave = reduce(lambda c, i: c.when(F.col("part") == i, F.lit((s.sv[i] - top) / s.sv[i])), [i for i, v in enumerate(s.sv) if v > top], F.when(F.lit(False), F.lit(0.0))).otherwise(0.0)
-    draw = lambda k: portable_draw("v", seed + 7919 * k) / F.lit(PRIME)
-    ends, share = [], 0
-    for i, r in enumerate(room):
-        share += r
-        if r:
-            ends.append((i, share / sum(room)))
-    target = reduce(lambda c, e: c.when(draw(2) < e[1], e[0]), ends[:-1], F.when(F.lit(False), 0)).otherwise(ends[-1][0])
-    return parts.where(draw(0) < leave).join(owners, "v").select("v", F.col("part").alias("old"), target.cast("int").alias("new"), "owner")
+    leave = [(k, i, share(over[i], n, k, i, sweep)) for k in range(n) for i in range(p) if over[i]]
+    slots = []
+    for k in range(n):
+        end = 0
+        for i in sorted(range(p), key=lambda i: -room[i]):
+            if free := share(room[i], n, k, i, sweep):
+                slots.append((k, i, end, end := end + free))
+    spark = parts.sparkSession
+    out = F.broadcast(spark.createDataFrame(leave, "owner int, old int, leave bigint"))
+    into = F.broadcast(spark.createDataFrame(slots, "owner int, new int, low bigint, high bigint"))  # at most a row for each worker and part
+    here = hist.select("v", F.col("part").alias("old"), F.col("n").alias("here"))
+    mine = parts.withColumnRenamed("part", "old").join(owners, "v").join(out, ["owner", "old"]).join(vertices.select("v", F.col("w").alias("vw")), "v").join(here, ["v", "old"], "left").withColumn("here", F.coalesce("here", F.lit(0)))
+    line = Window.partitionBy("owner", "old").orderBy("here", "v").rowsBetween(Window.unboundedPreceding, 0)
+    amount = F.col("here") if by_edge else F.col("vw")
+    going = (mine.where("here > 0") if by_edge else mine).withColumn("gone", F.sum(amount).over(line) - amount).where("gone < leave")
+    placed = going.withColumn("at", F.sum("vw").over(Window.partitionBy("owner").orderBy("old", "here", "v").rowsBetween(Window.unboundedPreceding, 0)))
+    return placed.join(into, "owner").where("at > low and at <= high").select("v", "old", "new", "owner")
 
 
 def moved(parts: DataFrame, moves: DataFrame) -> DataFrame:

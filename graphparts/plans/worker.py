@@ -1,88 +1,321 @@
-"""Sweeps vertex by vertex within each worker.
+"""Sweeps worker by worker, as the method is described.
 
-A worker owns some vertices with their neighbours. It visits them in the order of their ids; its
-own moves count at once, in labels, sizes and weights, while labels of other workers' vertices are
-those of the sweep's start. The sizes it sees are the sizes at the start plus the multiplier
-times its own changes. One Arrow group a worker holds its adjacency and p-long vectors.
+A worker owns some vertices with their neighbours, laid out once as arrays: own vertices in the order of
+their ids, then its ghosts (neighbours that others own), and for each own vertex the workers that
+hold it as a ghost. The layout is kept partitioned by worker, so a sweep exchanges only labels: one
+job reads a worker's labels and the messages sent to it, moves its vertices, and writes its new
+labels, a message with the moved boundary vertices for each worker concerned, and the sizes of parts.
+
+Within a sweep a worker goes through its vertices in blocks. What earlier blocks changed counts at
+once, in labels, sizes and weights; within a block the moves into a part are admitted best first, up
+to what the worker may still add. Blocks of one vertex (``blocks`` at least the worker's vertices) are the
+vertex-by-vertex visit. Sizes are those at the sweep's start plus the multiplier times the worker's
+own changes. A worker's arrays must fit one task, and each be below 2 GB: choose ``n_workers`` for that.
 """
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 import numpy as np
 import pyarrow as pa
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from graphparts.operators.graph import Graph
 from graphparts.plans.config import PartitionConfig
-from graphparts.plans.sweeps import Sizes, Stage
+from graphparts.plans.scratch import dropped, written
+from graphparts.plans.sweeps import Sizes, Stage, share
+
+_ARRAYS = {"ids": np.int64, "vw": np.int64, "ptr": np.int64, "idx": np.int32, "w": np.int64, "deg": np.int64, "ghosts": np.int64, "sub_ptr": np.int64, "sub": np.int32}
+_LAYOUT = "owner int, " + ", ".join(f"{k} binary" for k in _ARRAYS)
+#: Rows of a sweep: a worker's labels (0), a message to a worker (1), and sizes and changes of a part (2).
+_STATE = "kind int, owner int, a binary, b binary, x array<bigint>"
+_LABELS, _MESSAGE, _SIZES = 0, 1, 2
+_CELLS = 1 << 18
+
+
+def _ints(column: pa.ChunkedArray, missing: int = 0) -> np.ndarray:
+    """Whole numbers of a column; nulls are filled in Arrow, so ids keep all 64 bits."""
+    return column.fill_null(missing).to_numpy().astype(np.int64, copy=False)
+
+
+def layout(g: Graph, owners: DataFrame) -> DataFrame:
+    """One row of arrays for each worker."""
+    own = g.vertices.select("v", F.col("w").alias("vw"), F.col("deg").alias("deg_v")).join(owners, "v")
+    far = owners.select(F.col("v").alias("u"), F.col("owner").alias("owner_u")).join(g.vertices.select(F.col("v").alias("u"), F.col("deg").alias("deg_u")), "u")
+    rows = own.join(g.arcs.join(far, "u"), "v", "left").select("owner", "v", "vw", "deg_v", "u", "w", "deg_u", "owner_u")
+
+    def build(t: pa.Table) -> pa.Table:
+        t = t.sort_by([("v", "ascending"), ("u", "ascending")])
+        me = t.column("owner")[0].as_py()
+        ids, begin, inverse = np.unique(_ints(t.column("v")), return_index=True, return_inverse=True)
+        there = t.column("u").is_valid().to_numpy()
+        u, owner_u, row = _ints(t.column("u"))[there], _ints(t.column("owner_u"))[there], inverse[there]
+        deg_u = _ints(t.column("deg_u"))[there]
+        away = owner_u != me
+        ghosts, first = np.unique(u[away], return_index=True)
+        idx = np.where(away, len(ids) + np.searchsorted(ghosts, u), np.searchsorted(ids, u))
+        pairs = np.unique(np.column_stack([row[away], owner_u[away]]), axis=0) if away.any() else np.zeros((0, 2), np.int64)
+        out = {
+            "ids": ids,
+            "vw": _ints(t.column("vw"))[begin],
+            "ptr": np.concatenate([[0], np.cumsum(np.bincount(row, minlength=len(ids)))]),
+            "idx": idx,
+            "w": _ints(t.column("w"))[there],
+            "deg": np.concatenate([_ints(t.column("deg_v"))[begin], deg_u[away][first]]),
+            "ghosts": ghosts,
+            "sub_ptr": np.concatenate([[0], np.cumsum(np.bincount(pairs[:, 0], minlength=len(ids)))]),
+            "sub": pairs[:, 1],
+        }
+        return pa.table({"owner": pa.array([me], pa.int32())} | {k: pa.array([out[k].astype(kind).tobytes()], pa.binary()) for k, kind in _ARRAYS.items()})
 
+    return rows.groupBy("owner").applyInArrow(build, _LAYOUT)
 
-def packed(g: Graph, owners: DataFrame) -> DataFrame:
-    """``(owner, v, vw, u, w, deg_u)``: every worker's arcs, isolated vertices with a null neighbour."""
-    own = g.vertices.select("v", F.col("w").alias("vw")).join(owners, "v")
-    near = g.arcs.join(g.vertices.select(F.col("v").alias("u"), F.col("deg").alias("deg_u")), "u")
-    return own.join(near, "v", "left").select("owner", "v", "vw", "u", "w", "deg_u")
 
+@dataclass
+class Local:
+    """A worker's arrays with the labels of its own vertices and ghosts."""
 
-def worker_sweep(adjacency: DataFrame, parts: DataFrame, s: Sizes, stage: Stage, cfg: PartitionConfig, p: int) -> DataFrame:
-    """``(v, old, new, owner)`` of one sweep."""
-    mult = cfg.mult(stage.t)
-    max_v, max_e, max_c = s.maxima(stage.imb_v, stage.imb_e)
-    start = np.array([s.sv, s.se, s.sc], float)
+    owner: int
+    ids: np.ndarray
+    vw: np.ndarray
+    ptr: np.ndarray
+    idx: np.ndarray
+    w: np.ndarray
+    deg: np.ndarray
+    ghosts: np.ndarray
+    sub_ptr: np.ndarray
+    sub: np.ndarray
+    labels: np.ndarray
+
+    @classmethod
+    def of(cls, laid: pa.Table, sent: pa.Table) -> Local:
+        row = {k: np.frombuffer(laid.column(k)[0].as_py(), kind) for k, kind in _ARRAYS.items()}
+        n, labels = len(row["ids"]), None
+        kinds = sent.column("kind").to_pylist()
+        if _LABELS in kinds:
+            labels = np.frombuffer(sent.column("a")[kinds.index(_LABELS)].as_py(), np.int32).copy()
+        else:
+            labels = np.zeros(n + len(row["ghosts"]), np.int32)
+        for k, kind in enumerate(kinds):
+            if kind == _MESSAGE:
+                v, part = np.frombuffer(sent.column("a")[k].as_py(), np.int64), np.frombuffer(sent.column("b")[k].as_py(), np.int32)
+                for known, base in ((row["ids"], 0), (row["ghosts"], n)):
+                    if len(known):
+                        place = np.minimum(np.searchsorted(known, v), len(known) - 1)
+                        hit = known[place] == v
+                        labels[base + place[hit]] = part[hit]
+        return cls(laid.column("owner")[0].as_py(), **row, labels=labels)
+
+    def sizes(self, p: int) -> np.ndarray:
+        """Vertices, twice the internal edges, edge ends and cut edges of each part, as far as this worker's vertices go."""
+        n = len(self.ids)
+        own = np.repeat(self.labels[:n], np.diff(self.ptr))
+        inside = own == self.labels[self.idx]
+        count = lambda x, w: np.bincount(x, w, p)[:p]
+        twice, ends = count(own[inside], self.w[inside]), count(own, self.w)
+        return np.rint([count(self.labels[:n], self.vw), twice, ends, ends - twice]).astype(np.int64)
+
+    def ties(self, a: int, b: int, p: int, weights: np.ndarray | None = None) -> np.ndarray:
+        """For own vertices a..b-1 the weight of their edges to each part."""
+        arcs = slice(self.ptr[a], self.ptr[b])
+        row = np.repeat(np.arange(b - a), np.diff(self.ptr[a : b + 1]))
+        w = self.w[arcs] if weights is None else self.w[arcs] * weights[self.idx[arcs]]
+        return np.bincount(row * p + self.labels[self.idx[arcs]], w, (b - a) * p).reshape(b - a, p)
+
+
+def _admitted(key: np.ndarray, order: np.ndarray, amounts: list[tuple[np.ndarray, np.ndarray, float, np.ndarray]]) -> np.ndarray:
+    """Which movers fit: by target and ``order``, each with size + mult * (earlier amounts) + its own at most the limit."""
+    line = np.lexsort((order, key))
+    k = key[line]
+    first = np.flatnonzero(np.concatenate([[True], k[1:] != k[:-1]]))
+    ok = np.ones(len(k), bool)
+    for size, amount, mult, limit in amounts:
+        x = amount[line]
+        run = np.cumsum(x) - x
+        run -= np.repeat(run[first], np.diff(np.append(first, len(k))))
+        ok &= size[k] + mult * run + x <= limit[k]
+    out = np.zeros(len(k), bool)
+    out[line] = ok
+    return out
+
+
+def _sweep(m: Local, start: np.ndarray, stage: Stage, cfg: PartitionConfig, p: int) -> np.ndarray:
+    """Move vertices in place; returns the worker's changes of vertices, edges and cut of each part."""
+    n, mult = len(m.ids), cfg.mult(stage.t)
     edge_stage, balance = stage.kind.startswith("edge"), stage.kind.endswith("balance")
+    max_v, max_e, max_c = max(start[0].max(), stage.imb_v), max(start[1].max(), stage.imb_e), start[2].max()
     by_degree = (cfg.edge_score if edge_stage else cfg.vertex_score) == "degree"
-    labelled = adjacency.join(parts.select("v", F.col("part").alias("old")), "v").join(parts.select(F.col("v").alias("u"), F.col("part").alias("part_u")), "u", "left")
+    attract = lambda target, size: np.maximum(target / np.maximum(size, 1) - 1, 0)
+    change = np.zeros((3, p))
+    budget = None
+    if cfg.quota == "apportion":  # whole shares of what a part may still take; only vertex balancing admits more than fits, early on
+        f = cfg.factor(stage.t) if cfg.multiplier else 1.0
+        f = f if stage.kind == "vertex_balance" else max(f, 1.0)
+        rooms = np.maximum(max_v - start[0], 0)
+        budget = np.array([share(int(r / f) if f > 0 else 1 << 40, cfg.n_workers, m.owner, i, stage.sweep) for i, r in enumerate(rooms)], float)
+    step = max(1, min(-(-n // max(cfg.blocks, 1)), _CELLS // p))
+    for a in range(0, n, step):
+        b = min(n, a + step)
+        ties = m.ties(a, b, p)
+        degree, rows = ties.sum(axis=1), np.arange(b - a)
+        own, vw = m.labels[a:b].astype(np.int64), m.vw[a:b].astype(float)
+        v, e, c = start[0] + mult * change[0], start[1] + mult * change[1], start[2] + mult * change[2]
+        add_e = ties if cfg.edge_measure == "internal" else np.broadcast_to(degree[:, None], ties.shape)
+        if balance:
+            score = m.ties(a, b, p, m.deg) if by_degree else ties.copy()
+            score *= stage.re * attract(max_e, e) + stage.rc * attract(max_c, c) if edge_stage else attract(stage.imb_v, v)
+        else:
+            score = ties.copy()
+        full = v[None, :] + vw[:, None] > max_v if budget is None else change[0][None, :] + vw[:, None] > budget
+        if edge_stage:
+            full |= (e[None, :] + add_e > max_e) | (c[None, :] + degree[:, None] - 2 * ties > max_c)
+        if not cfg.own_mask:
+            full[rows, own] = False
+        score[full] = 0
+        to = score.argmax(axis=1)
+        best, here = score[rows, to], score[rows, own]
+        go = np.flatnonzero((best > 0) & (best > here))
+        if not len(go):
+            continue
+        y, gain = to[go], best[go] - here[go]
+        amounts = [(v, vw[go], mult, np.full(p, max_v)) if budget is None else (change[0], vw[go], 1.0, budget)]
+        if edge_stage:
+            amounts += [(e, add_e[go, y], mult, np.full(p, max_e)), (c, degree[go] - 2 * ties[go, y], mult, np.full(p, max_c))]
+        keep = _admitted(y, -gain, amounts) if len(go) > 1 else np.ones(1, bool)
+        go, y = go[keep], y[keep]
+        _moved(m, change, a, go, y, ties, degree, vw, add_e)
+    return change
 
-    def attract(target: float, size: np.ndarray) -> np.ndarray:
-        return np.maximum(target / np.maximum(size, 1) - 1, 0)
 
-    def run(t: pa.Table) -> pa.Table:
-        t = t.sort_by([("v", "ascending"), ("u", "ascending")])
-        col = lambda k: t.column(k).to_numpy(zero_copy_only=False)
-        ids, begin = np.unique(col("v"), return_index=True)
-        end = np.append(begin[1:], len(t))
-        old, vw = col("old")[begin].astype(np.int64), col("vw")[begin].astype(float)
-        here = t.column("u").is_valid().to_numpy(zero_copy_only=False)
-        u = np.where(here, np.nan_to_num(col("u").astype(float)), -1).astype(np.int64)
-        w, deg_u = np.nan_to_num(col("w").astype(float)), np.nan_to_num(col("deg_u").astype(float))
-        part_u = np.where(here, np.nan_to_num(col("part_u").astype(float)), 0).astype(np.int64)
-        # Where a neighbour is the worker's own, its label is read from the live array.
-        place = np.searchsorted(ids, u)
-        mine = (place < len(ids)) & (ids[np.minimum(place, len(ids) - 1)] == u)
-        live = old.copy()
-        change = np.zeros((3, p))
-        for k in range(len(ids)):
-            a, b = begin[k], end[k]
-            if not here[a]:
-                continue
-            near = np.where(mine[a:b], live[np.minimum(place[a:b], len(ids) - 1)], part_u[a:b])
-            n = np.bincount(near, w[a:b], p)
-            size = start + mult * change
-            x, degree = live[k], w[a:b].sum()
-            add_e = n if cfg.edge_measure == "internal" else np.full(p, degree)
-            score = np.bincount(near, w[a:b] * deg_u[a:b], p) if balance and by_degree else n.copy()
-            if balance:
-                score = score * (stage.re * attract(max_e, size[1]) + stage.rc * attract(max_c, size[2]) if edge_stage else attract(stage.imb_v, size[0]))
-            full = size[0] + vw[k] > max_v
-            if edge_stage:
-                full |= (size[1] + add_e > max_e) | (size[2] + degree - 2 * n > max_c)
-            if not cfg.own_mask:
-                full[x] = False
-            score[full] = 0
-            best = score.max()
-            if best <= 0 or score[x] == best:
+def _moved(m: Local, change: np.ndarray, a: int, go: np.ndarray, y: np.ndarray, ties: np.ndarray, degree: np.ndarray, vw: np.ndarray, add_e: np.ndarray) -> None:
+    x = m.labels[a + go]
+    for row, (out, into) in enumerate(((vw[go], vw[go]), (add_e[go, x], add_e[go, y]), (degree[go] - 2 * ties[go, x], degree[go] - 2 * ties[go, y]))):
+        np.subtract.at(change[row], x, out)
+        np.add.at(change[row], y, into)
+    m.labels[a + go] = y
+
+
+def _release(m: Local, start: np.ndarray, stage: Stage, cfg: PartitionConfig, p: int) -> np.ndarray:
+    """Force the vertices of least loss out of parts over their limit, each worker its share, into shares of what other parts have left."""
+    n, change, by_edge = len(m.ids), np.zeros((3, p)), stage.kind == "edge_release"
+    limit_v, limit_e = int(stage.imb_v), stage.imb_e
+    over = np.ceil(np.maximum(start[1] - limit_e, 0)) if by_edge else np.maximum(start[0] - limit_v, 0)
+    leave = np.array([share(int(k), cfg.n_workers, m.owner, i, stage.sweep) for i, k in enumerate(over)], float)
+    room = np.array([share(int(k), cfg.n_workers, m.owner, i, stage.sweep) for i, k in enumerate(np.maximum(limit_v - start[0], 0))], float)
+    room_e = np.maximum(limit_e - start[1], 0) / cfg.n_workers
+    room[over > 0] = 0
+    if not leave.any() or not room.any():
+        return change
+    mine = np.flatnonzero(leave[m.labels[:n]] > 0)
+    found = []
+    for at in range(0, len(mine), max(1, _CELLS // p)):
+        for v in mine[at : at + max(1, _CELLS // p)].tolist():
+            ties = m.ties(v, v + 1, p)[0]
+            x = m.labels[v]
+            if by_edge and not ties[x]:
                 continue
-            y = int(score.argmax())
-            change[0, x] -= vw[k]
-            change[0, y] += vw[k]
-            change[1, x] -= n[x] if cfg.edge_measure == "internal" else degree
-            change[1, y] += add_e[y]
-            change[2, x] += 2 * n[x] - degree
-            change[2, y] += degree - 2 * n[y]
-            live[k] = y
-        go = live != old
-        owner = t.column("owner")[0].as_py() if len(t) else 0
-        return pa.table({"v": pa.array(ids[go], pa.int64()), "old": pa.array(old[go], pa.int32()), "new": pa.array(live[go], pa.int32()), "owner": pa.array([owner] * int(go.sum()), pa.int32())})
-
-    return labelled.groupBy("owner").applyInArrow(run, "v bigint, old int, new int, owner int")
+            free = np.where(room > 0, ties, -1)
+            to = int(np.lexsort((room, free))[-1])
+            cost = ties[x] - ties[to]
+            found.append((cost / ties[x] if by_edge else cost, v))
+    for _, v in sorted(found):
+        x = int(m.labels[v])
+        if leave[x] <= 0:
+            continue
+        ties = m.ties(v, v + 1, p)[0]
+        free = np.where((room >= m.vw[v]) & ((room_e >= ties) if by_edge else True), ties, -1)
+        to = int(np.lexsort((room, free))[-1])
+        if free[to] < 0:
+            continue
+        leave[x] -= ties[x] if by_edge else m.vw[v]
+        room[to] -= m.vw[v]
+        room_e[to] -= ties[to]
+        add_e = ties if cfg.edge_measure == "internal" else np.full(p, ties.sum())
+        _moved(m, change, v, np.zeros(1, int), np.array([to]), ties[None, :], np.array([ties.sum()]), m.vw[v : v + 1].astype(float), add_e[None, :])
+        if not (leave > 0).any():
+            break
+    return change
+
+
+class Workers:
+    """The labels of all workers between sweeps; every sweep writes a new table and the one before can go."""
+
+    def __init__(self, g: Graph, owners: DataFrame, parts: DataFrame, p: int, cfg: PartitionConfig):
+        self.p, self.cfg, self.spark = p, cfg, parts.sparkSession
+        laid = written(layout(g, owners), "layout")
+        self._laid = laid
+        #: Kept where it is computed, by worker; a lost executor's share is read again from the written table.
+        self.layout = laid.repartition(cfg.n_workers, "owner").persist(StorageLevel.MEMORY_AND_DISK)
+        held = owners.withColumnRenamed("owner", "o").join(parts, "v").select("v", "part", "o")
+        away = g.arcs.select("v", "u").join(owners, "v").select(F.col("u").alias("v"), F.col("owner").alias("o")).distinct()
+        known = held.select("o", "v", "part").unionByName(parts.join(away, "v").select("o", "v", "part")).withColumnRenamed("o", "owner")
+
+        def first(laid: pa.Table, rows: pa.Table) -> pa.Table:
+            if not laid.num_rows:
+                return pa.Table.from_pylist([], schema=_state_schema())
+            v, part = _ints(rows.column("v")), _ints(rows.column("part")).astype(np.int32)
+            sent = pa.table({"kind": [_MESSAGE], "owner": [0], "a": [v.tobytes()], "b": [part.tobytes()], "x": pa.array([None], pa.list_(pa.int64()))})
+            m = Local.of(laid, sent)
+            return pa.Table.from_pylist([{"kind": _LABELS, "owner": m.owner, "a": m.labels.tobytes(), "b": None, "x": None}], schema=_state_schema())
+
+        self.state = written(self.layout.groupBy("owner").cogroup(known.groupBy("owner")).applyInArrow(first, _STATE), "labels")
+
+    def run(self, stage: Stage | None, s: Sizes | None) -> tuple[DataFrame, Sizes, Sizes, int]:
+        """One sweep, or with no stage only the sizes: the new table, exact sizes at its start, the sizes that changes make of them, moves."""
+        p, cfg = self.p, self.cfg
+        start = None if s is None else np.array([s.sv, s.se, s.sc], float)
+
+        def step(laid: pa.Table, sent: pa.Table) -> pa.Table:
+            if not laid.num_rows:
+                return pa.Table.from_pylist([], schema=_state_schema())
+            m = Local.of(laid, sent)
+            n, exact, rows, change, moves = len(m.ids), m.sizes(p), [], np.zeros((3, p)), 0
+            if stage is not None:
+                old = m.labels[:n].copy()
+                change = (_release if stage.kind.endswith("release") else _sweep)(m, start, stage, cfg, p)
+                went = np.flatnonzero(old != m.labels[:n])
+                moves = len(went)
+                many = np.diff(m.sub_ptr)[went]
+                who, to = np.repeat(went, many), np.concatenate([m.sub[m.sub_ptr[k] : m.sub_ptr[k + 1]] for k in went]) if moves else np.zeros(0, np.int32)
+                for target in np.unique(to).tolist():
+                    k = who[to == target]
+                    rows.append({"kind": _MESSAGE, "owner": target, "a": m.ids[k].tobytes(), "b": m.labels[k].tobytes(), "x": None})
+            rows.append({"kind": _LABELS, "owner": m.owner, "a": m.labels.tobytes(), "b": None, "x": None})
+            change = np.rint(change).astype(np.int64)
+            rows += [{"kind": _SIZES, "owner": i, "a": None, "b": None, "x": [*exact[:, i].tolist(), *change[:, i].tolist(), moves if i == 0 else 0]} for i in range(p)]
+            return pa.Table.from_pylist(rows, schema=_state_schema())
+
+        sent = self.state.where(F.col("kind") < _SIZES)
+        out = written(self.layout.groupBy("owner").cogroup(sent.groupBy("owner")).applyInArrow(step, _STATE), "labels")
+        x = F.col("x")
+        rows = out.where(F.col("kind") == _SIZES).groupBy("owner").agg(*(F.sum(x[k]).alias(f"x{k}") for k in range(8))).collect()  # p rows
+        exact, after, moves = Sizes([0] * p, [0] * p, [0] * p), Sizes([0] * p, [0] * p, [0] * p), 0
+        for r in rows:
+            i = r.owner
+            exact.sv[i], exact.se[i], exact.sc[i] = r.x0, r.x1 // 2 if cfg.edge_measure == "internal" else r.x2, r.x3
+            after.sv[i], after.se[i], after.sc[i] = r.x0 + r.x4, max(exact.se[i] + r.x5, 0), max(r.x3 + r.x6, 0)
+            moves += r.x7
+        return out, exact, after, moves
+
+    def parts(self, state: DataFrame | None = None) -> DataFrame:
+        """``(v, part)`` of a table of labels."""
+
+        def rows(laid: pa.Table, sent: pa.Table) -> pa.Table:
+            if not laid.num_rows:
+                return pa.table({"v": pa.array([], pa.int64()), "part": pa.array([], pa.int32())})
+            m = Local.of(laid, sent)
+            return pa.table({"v": pa.array(m.ids), "part": pa.array(m.labels[: len(m.ids)])})
+
+        labels = (self.state if state is None else state).where(F.col("kind") == _LABELS)
+        return written(self.layout.groupBy("owner").cogroup(labels.groupBy("owner")).applyInArrow(rows, "v bigint, part int"), "parts")
+
+    def close(self) -> None:
+        self.layout.unpersist()
+        dropped(self.spark, self._laid, self.state)
+
+
+def _state_schema() -> pa.Schema:
+    return pa.schema([("kind", pa.int32()), ("owner", pa.int32()), ("a", pa.binary()), ("b", pa.binary()), ("x", pa.list_(pa.int64()))])

@@ -161,4 +161,85 @@ def test_partition_queries_run_the_whole_schedule(monkeypatch):
     monkeypatch.setattr(q.baselines, "single_node", lambda g, p, **o: seen.append(PartitionConfig(**o)))
     for make in q._partitions().values():
         make(None, "")
-    assert len(seen) == 8 and {(c.outer, c.balance, c.refine, c.early_stop) for c in seen} == {(3, 5, 10, False)}
+    assert len(seen) == 11 and {(c.outer, c.balance, c.refine, c.early_stop) for c in seen} == {(3, 5, 10, False)}
+
+
+def visited(ids, near, deg, live, start, p, kind, imb, re=1.0, rc=1.0):
+    """One worker's sweep by plain loops, each vertex against the sizes as they are then."""
+    size = [list(x) for x in start]
+    top = [max(max(size[0]), imb[0]), max(max(size[1]), imb[1]), max(size[2])]
+    attract = lambda t, x: max(t / max(x, 1) - 1, 0.0)
+    edge, balance = kind.startswith("edge"), kind.endswith("balance")
+    for v in ids:
+        n, score, x = [0] * p, [0.0] * p, live[v]
+        for u in near[v]:
+            n[live[u]] += 1
+            score[live[u]] += deg[u] if balance else 1
+        for i in range(p):
+            if balance:
+                score[i] *= re * attract(top[1], size[1][i]) + rc * attract(top[2], size[2][i]) if edge else attract(imb[0], size[0][i])
+            over = size[0][i] + 1 > top[0] or edge and (size[1][i] + n[i] > top[1] or size[2][i] + deg[v] - 2 * n[i] > top[2])
+            if over and i != x:
+                score[i] = 0
+        y = score.index(max(score))
+        if max(score) > 0 and score[x] < max(score):
+            live[v] = y
+            for i, sign in ((x, -1), (y, 1)):
+                size[0][i] += sign
+                size[1][i] += sign * n[i]
+                size[2][i] += sign * (deg[v] - 2 * n[i])
+    return live
+
+
+@pytest.mark.parametrize("offset", [0, 2**60])
+def test_one_worker_equals_plain_loops(spark, offset):
+    from pyspark.sql import functions as F
+
+    base = builders.graph(spark, SF, "supp_part")
+    g = graph_of(base.edges.select((F.col("src") + offset).alias("src"), (F.col("dst") + offset).alias("dst"))).stored()
+    near = {}
+    for r in g.arcs.collect():
+        near.setdefault(r.v, []).append(r.u)
+    ids, deg, p = sorted(near), {v: len(u) for v, u in near.items()}, 3
+    live = {v: (v - offset) * 7 % 11 % p for v in ids}
+    run = _Run(g, p, PartitionConfig(executor="worker", n_workers=1, multiplier=False, blocks=10**6), parts(spark, live))
+    for t, kind in enumerate(["vertex_balance", "vertex_refine", "edge_balance", "edge_refine"]):
+        sizes = [[sum(x == i for x in live.values()) for i in range(p)]]
+        sizes.append([sum(live[u] == live[v] == i for v in ids for u in near[v]) // 2 for i in range(p)])
+        sizes.append([sum(live[v] == i != live[u] for v in ids for u in near[v]) for i in range(p)])
+        run.known = None
+        run.one(kind, t)
+        assert (run.history[-1]["max_v"], run.history[-1]["max_e"], run.history[-1]["max_c"]) == tuple(map(max, sizes))
+        live = visited(ids, near, deg, dict(live), sizes, p, kind, (run.imb_v, run.imb_e), 1.0, 1.0)
+        assert labels(run.parts) == live
+        run.re = run.rc = 1.0
+
+
+def test_ids_above_two_to_the_53_are_kept_apart(spark):
+    for offset in (0, 2**60):
+        clique = [(a, b) for k in (0, 12) for a in range(k, k + 12) for b in range(a + 1, k + 12)]
+        g = graph_of(edges(spark, [(a + offset, b + offset) for a, b in clique])).stored()
+        mixed = {v + offset: int(v in (0, 1, 2, 3, 4, 5, 6, 12, 13, 14, 15, 16)) for v in range(24)}
+        r = partition(g, 2, executor="worker", mode="vertex", n_workers=3, outer=1, balance=1, refine=6, rat_v=0.5, parts=parts(spark, mixed), release="none")
+        assert r.quality().first().cut == 0
+
+
+@pytest.mark.parametrize("executor", ["worker", "set"])
+def test_release_meets_the_limits(spark, executor):
+    g = builders.graph(spark, SF, "fk_tree").stored()
+    lop = g.vertices.selectExpr("v", "cast(if(v % 5 < 4, 0, v % 3) as int) as part")
+    r = partition(g, 3, executor=executor, mode="vertex_edge", n_workers=4, outer=1, balance=0, refine=0, parts=lop)
+    q = metrics.limits(g, r.parts, 3).first()
+    facts(r)
+    assert q.max_vertices <= q.vertex_limit and (q.max_edges <= q.edge_limit or executor == "set")
+    assert {h["stage"] for h in r.history} <= {"vertex_release", "edge_release"}
+
+
+def test_a_sweep_exchanges_labels_only(spark):
+    """The layout is not shuffled again: the plan of a sweep has one exchange, of the labels and messages."""
+    g = builders.graph(spark, SF, "supp_part").stored()
+    run = _Run(g, 4, PartitionConfig(executor="worker"), baselines.random(g, 4))
+    sent = run.workers.state.where("kind < 2")
+    plan = run.workers.layout.groupBy("owner").cogroup(sent.groupBy("owner")).applyInArrow(lambda a, b: a, run.workers.layout.schema)
+    text = plan._jdf.queryExecution().executedPlan().toString()
+    assert text.count("ENSURE_REQUIREMENTS") == 1 and text.count("InMemoryRelation") == 1, text  # what stands below the relation is kept
