@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -16,7 +17,8 @@ from graphparts.plans import baselines, experiments, initial
 from graphparts.plans import sweeps as sw
 from graphparts.plans.config import PartitionConfig
 from graphparts.plans.partitioner import PartitionResult, _Run, partition
-from graphparts.sources import builders, generators
+from graphparts.plans.scratch import shared_folder
+from graphparts.sources import builders, files, generators
 from graphparts.streaming import edges as streams
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -101,6 +103,7 @@ query("init_roots", sql.graph(MAIN, *sql.grown(P, 42, 0)[0]) + "SELECT v, part F
 query("init_grow", sql.graph(MAIN, *sql.grown(P, 42, 10)[0]) + "SELECT * FROM parts")(lambda s, d: initial.grow(main_graph(s, d).stored(), P, 42))
 query("init_grow_capped", sql.graph("fk_tree", *sql.grown(P, 42, 2)[0]) + "SELECT * FROM parts")(lambda s, d: initial.grow(builders.graph(s, d, "fk_tree").stored(), P, 42, max_sweeps=2))
 query("init_bfs_grow", sql.graph(MAIN, *sql.grown(P, 42, 10, True)[0]) + "SELECT * FROM parts")(lambda s, d: initial.bfs(main_graph(s, d).stored(), P, 42))
+query("init_grow_majority", sql.graph(MAIN, *sql.grown(P, 42, 10, "majority")[0]) + "SELECT * FROM parts")(lambda s, d: initial.start(main_graph(s, d).stored(), P, "grow_majority", 42))
 query("init_lp_3", sql.graph(MAIN, *sql.majority(3)) + f"SELECT v, ({sql.h('part', 42)} % {P})::INT AS part FROM lab3")(lambda s, d: initial.label_prop(main_graph(s, d).stored(), P, 42, 3))
 
 # --- sweeps ----------------------------------------------------------------------------------
@@ -119,8 +122,8 @@ def mult_variants(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame([(x, y, t, float(PartitionConfig(n_workers=16, x=x, y=y).mult(t))) for x, y in ((1.0, 0.25), (0.5, 0.5), (0.25, 1.0), (2.0, 0.0)) for t in range(0, 45, 5)], "x double, y double, t bigint, mult double")
 
 
-def _sweep_sql(kinds: list[str], select: str, quota: str = "apportion") -> str:
-    return sql.graph(MAIN, START, OWNERS, *sql.sweeps(kinds, P, N, [CFG.factor(t) for t in range(len(kinds))], quota=quota)) + select
+def _sweep_sql(kinds: list[str], select: str, quota: str = "apportion", by: str = "degree") -> str:
+    return sql.graph(MAIN, START, OWNERS, *sql.sweeps(kinds, P, N, sql.factors(len(kinds)), quota=quota, by=by)) + select
 
 
 def _sweeps(s: SparkSession, d: str, kinds: list[str], **options) -> _Run:
@@ -131,6 +134,11 @@ def _sweeps(s: SparkSession, d: str, kinds: list[str], **options) -> _Run:
     return run
 
 
+def _ramp(s: SparkSession, d: str) -> DataFrame:
+    run = _sweeps(s, d, ["edge_balance"] * 3)
+    return s.createDataFrame([(k, h["re"], h["rc"]) for k, h in enumerate([*run.history, {"re": run.re, "rc": run.rc}])], "sweep int, re double, rc double")
+
+
 for _name, _kinds in {
     "balance_sweep1": ["vertex_balance"],
     "balance_sweep3": ["vertex_balance"] * 3,
@@ -139,8 +147,12 @@ for _name, _kinds in {
     "balance_then_refine": ["vertex_balance", "vertex_balance", "vertex_refine"],
     "edge_balance_sweep1": ["edge_balance"],
     "edge_refine_sweep1": ["edge_refine"],
+    "edge_balance_sweep3": ["edge_balance"] * 3,
+    "edge_balance_then_refine": ["edge_balance", "edge_balance", "edge_refine"],
 }.items():
     query(_name, _sweep_sql(_kinds, f"SELECT * FROM parts{len(_kinds)}"))(lambda s, d, k=_kinds: _sweeps(s, d, k).parts)
+query("balance_sweep_count", _sweep_sql(["vertex_balance"] * 2, "SELECT * FROM parts2", by="count"))(lambda s, d: _sweeps(s, d, ["vertex_balance"] * 2, vertex_score="count").parts)
+query("edge_bias_ramp", _sweep_sql(["edge_balance"] * 3, " UNION ALL ".join(f"SELECT {k} AS sweep, re, rc FROM bias{k}" for k in range(4))))(lambda s, d: _ramp(s, d))
 query("strict_quota_sweep1", _sweep_sql(["vertex_refine"], "SELECT * FROM parts1", "strict"))(lambda s, d: _sweeps(s, d, ["vertex_refine"], quota="strict").parts)
 query("delta_sweep3", _sweep_sql(["vertex_balance", "vertex_refine", "vertex_refine"], "SELECT * FROM parts3"))(lambda s, d: _sweeps(s, d, ["vertex_balance", "vertex_refine", "vertex_refine"], executor="delta").parts)
 query("hist_full", _sweep_sql(["vertex_refine"], "SELECT * FROM hist0"))(lambda s, d: sw.histogram(main_graph(s, d), start(main_graph(s, d))))
@@ -295,6 +307,12 @@ def speedup(s: SparkSession, d: str) -> DataFrame:
     return metrics.speedups(s.createDataFrame([("a", "m", 1, 8.0), ("a", "m", 2, 5.0), ("a", "m", 4, 2.5)], "graph string, method string, workers int, seconds double"))
 
 
+@query("absolute_speedup", "SELECT 'a' AS graph, w::INT AS workers, s::DOUBLE AS seconds, round(10.0::DOUBLE / s, 6) AS absolute_speedup, round(w / (10.0::DOUBLE / s), 6) AS per_core_ratio FROM (VALUES (1, 20.0::DOUBLE), (2, 8.0), (16, 2.5)) r(w, s)")
+def absolute_speedup(s: SparkSession, d: str) -> DataFrame:
+    runs = s.createDataFrame([("a", 1, 20.0), ("a", 2, 8.0), ("a", 16, 2.5)], "graph string, workers int, seconds double")
+    return metrics.absolute_speedups(runs, s.createDataFrame([("a", 10.0)], "graph string, single double"))
+
+
 @query("random_cut_expectation", "SELECT p::INT AS p, (p - 1) / p AS expected FROM (VALUES (2), (4), (8), (16)) r(p)")
 def random_cut_expectation(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame([(p, metrics.random_cut_expectation(p)) for p in (2, 4, 8, 16)], "p int, expected double")
@@ -363,18 +381,13 @@ query("gen_planted", sql.planted(8, 50, 6, 1))(lambda s, d: _edges(generators.pl
 # --- what a user needs around them --------------------------------------------------------------------
 
 
-@query("asof_event", "SELECT o.o_orderkey, max(e.event_id) AS event_id FROM orders o ASOF JOIN (SELECT ts, max(event_id) AS event_id FROM events GROUP BY ts) e ON o.o_orderdate >= e.ts GROUP BY o.o_orderkey")
+@query("asof_event", "SELECT p.event_id, v.event_id AS before FROM events p ASOF JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events WHERE event_type = 'view' GROUP BY ALL) v ON p.user_id = v.user_id AND p.ts >= v.ts WHERE p.event_type = 'purchase'")
 def asof_event(s: SparkSession, d: str) -> DataFrame:
-    """The last event at or before each order, by one sort of both and a running maximum within a month."""
-    o = builders.table(s, d, "orders").select(F.col("o_orderdate").alias("ts"), F.col("o_orderkey"), F.lit(None).cast("bigint").alias("event_id"), F.lit(1).alias("kind"))
-    e = builders.table(s, d, "events").select("ts", F.lit(None).cast("bigint").alias("o_orderkey"), "event_id", F.lit(0).alias("kind"))
-    both = o.unionByName(e).withColumn("month", F.date_trunc("month", "ts"))
-    line = Window.partitionBy("month").orderBy("ts", "kind").rowsBetween(Window.unboundedPreceding, 0)
-    inside = both.withColumn("last", F.max(F.when(F.col("kind") == 0, F.struct("ts", "event_id"))).over(line))
-    months = both.where("kind = 0").groupBy("month").agg(F.max(F.struct("ts", "event_id")).alias("of_month"))  # one row a month
-    before = months.join(both.select(F.col("month").alias("m")).distinct(), F.col("month") < F.col("m")).groupBy("m").agg(F.max("of_month").alias("earlier"))
-    found = inside.where("kind = 1").join(F.broadcast(before), F.col("month") == F.col("m"), "left")
-    return found.select("o_orderkey", F.coalesce("last.event_id", "earlier.event_id").alias("event_id")).where("event_id is not null")
+    """The last view at or before each purchase of the same user, by one sort of a user's events."""
+    e = builders.table(s, d, "events").where(F.col("event_type").isin("view", "purchase")).select("user_id", "ts", "event_id", (F.col("event_type") == "purchase").alias("wanted"))
+    line = Window.partitionBy("user_id").orderBy("ts", "wanted").rowsBetween(Window.unboundedPreceding, 0)
+    last = e.withColumn("last", F.max(F.when(~F.col("wanted"), F.struct("ts", "event_id"))).over(line))
+    return last.where("wanted and last is not null").select("event_id", F.col("last.event_id").alias("before"))
 
 
 @query("range_coactivity", "SELECT a.user_id AS a, b.user_id AS b, count(*) AS n FROM events a JOIN events b ON a.event_type = b.event_type AND a.user_id < b.user_id AND abs(epoch(a.ts) - epoch(b.ts)) <= 60 GROUP BY ALL")
@@ -415,8 +428,63 @@ query("degree_percentiles", sql.graph(MAIN) + "SELECT v, deg, round((rank() OVER
     lambda s, d: main_graph(s, d).vertices.join(degree_histogram(main_graph(s, d)).withColumn("below", F.coalesce(F.sum("n").over(Window.orderBy("deg").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))), "deg")
     .crossJoin(main_graph(s, d).vertices.agg((F.count("*") - 1).alias("rest"))).select("v", "deg", F.round(F.col("below") / F.col("rest"), 9).alias("share"))
 )
+_LINE = "OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)"
+
+
+@query("window_chain", f"""SELECT o_orderkey, row_number() {_LINE} AS nth, ntile(4) {_LINE} AS quarter, rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority) AS urgent, dense_rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority) AS level,
+  coalesce(date_diff('day', lag(o_orderdate) {_LINE}::DATE, o_orderdate::DATE), -1)::INT AS days, sum((o_totalprice * 100)::BIGINT) {_LINE}::BIGINT AS spent,
+  max((o_totalprice * 100)::BIGINT) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS top3, first(o_orderkey) {_LINE} AS first_order,
+  round(cume_dist() {_LINE}, 9) AS share FROM orders""")
+def window_chain(s: SparkSession, d: str) -> DataFrame:
+    """A customer's orders in a line: places, tiles, ranks, gaps, running sums and frames, over one sort for each order of rows."""
+    o = builders.table(s, d, "orders")
+    line, level = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey"), Window.partitionBy("o_custkey").orderBy("o_orderpriority")
+    cents = F.round(F.col("o_totalprice") * 100).cast("bigint")
+    return o.select(
+        "o_orderkey", F.row_number().over(line).cast("bigint").alias("nth"), F.ntile(4).over(line).cast("bigint").alias("quarter"), F.rank().over(level).cast("bigint").alias("urgent"), F.dense_rank().over(level).cast("bigint").alias("level"),
+        F.coalesce(F.date_diff(F.col("o_orderdate").cast("date"), F.lag("o_orderdate").over(line).cast("date")), F.lit(-1)).alias("days"), F.sum(cents).over(line.rowsBetween(Window.unboundedPreceding, 0)).alias("spent"),
+        F.max(cents).over(line.rowsBetween(-2, 0)).alias("top3"), F.first("o_orderkey").over(line).alias("first_order"), F.round(F.cume_dist().over(line), 9).alias("share"),
+    )
+
+
+query("degree_summary", sql.graph(MAIN) + "SELECT (v % 2)::INT AS kind, count(DISTINCT deg) AS degrees, round(quantile_cont(deg, 0.5), 6) AS median, round(quantile_cont(deg, 0.9), 6) AS high, round(stddev_pop(deg), 6) AS spread, min(deg) AS least, arg_max(v, struct_pack(d := deg, v := -v)) AS hub FROM vertices GROUP BY kind")(
+    lambda s, d: main_graph(s, d).vertices.groupBy((F.col("v") % 2).cast("int").alias("kind")).agg(F.countDistinct("deg").alias("degrees"), F.round(F.percentile("deg", 0.5), 6).alias("median"), F.round(F.percentile("deg", 0.9), 6).alias("high"), F.round(F.stddev_pop("deg"), 6).alias("spread"), F.min("deg").alias("least"), F.max_by("v", F.struct("deg", -F.col("v"))).alias("hub"))
+)
+
+for _name in files.FORMATS:
+
+    @query(f"file_{_name}", sql.graph(MAIN) + "SELECT src, dst, 1::BIGINT AS w FROM edges")
+    def _written_and_read(s: SparkSession, d: str, fmt=_name) -> DataFrame:
+        path = f"{shared_folder(s)}/file-{fmt}-{uuid.uuid4().hex}"
+        files.write_edges(main_graph(s, d), path, fmt)
+        return files.read_edges(s, path, fmt)
+
+
+for _name in ("vector", "parquet"):
+
+    @query(f"file_parts_{_name}", sql.graph(MAIN, START) + "SELECT * FROM parts")
+    def _parts_written_and_read(s: SparkSession, d: str, fmt=_name) -> DataFrame:
+        path = f"{shared_folder(s)}/parts-{fmt}-{uuid.uuid4().hex}"
+        files.write_parts(start(main_graph(s, d)), path, fmt)
+        return files.read_parts(s, path, fmt)
+
+
 query("stream_edges", "SELECT user_id, date_trunc('hour', ts) AS hour, count(*) AS events FROM events GROUP BY ALL")(lambda s, d: streams.drained(streams.hourly_edges(streams.event_stream(s, d)), "hourly").select("user_id", F.col("hour").cast("timestamp_ntz").alias("hour"), "events"))
 
+query("stream_sliding", "SELECT user_id, hour, count(*) AS events FROM (SELECT user_id, unnest([date_trunc('hour', ts), date_trunc('hour', ts) - INTERVAL 1 HOUR]) AS hour FROM events) GROUP BY ALL")(lambda s, d: streams.drained(streams.sliding_edges(streams.event_stream(s, d)), "sliding").select("user_id", F.col("hour").cast("timestamp_ntz").alias("hour"), "events"))
+query("stream_sessions", """SELECT user_id, min(ts) AS begun, count(*) AS events FROM (SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM
+  (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS new FROM events)) GROUP BY user_id, s""")(lambda s, d: streams.drained(streams.session_edges(streams.event_stream(s, d)), "sessions").select("user_id", F.col("begun").cast("timestamp_ntz").alias("begun"), "events"))
+_USER_PART = f"({sql.h('user_id', SEED)} % {P})::INT"
+query("stream_alert", f"SELECT part, events, round(events * {P} / total, 6) AS imbalance, events * {P} > 1.02 * total AS alert FROM (SELECT {_USER_PART} AS part, count(*) AS events FROM events GROUP BY ALL), (SELECT count(*) AS total FROM events)")(
+    lambda s, d: streams.alerts(streams.drained(streams.part_load(streams.event_stream(s, d).select(F.col("user_id").alias("v")), builders.table(s, d, "events").select(F.col("user_id").alias("v")).distinct().select("v", (portable_hash("v", SEED) % P).cast("int").alias("part"))), "load"), P, 0.02)
+)
+query("stream_late", "SELECT count(*) AS late FROM (SELECT ts, max(ts) OVER (ORDER BY event_id * 48271 % 10007, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS top FROM events) WHERE ts < top - INTERVAL 20 DAY")(
+    lambda s, d: streams.late_rows(builders.table(s, d, "events").withColumn("at", F.struct(F.col("event_id") * 48271 % 10007, "event_id")), "at", "ts", 20 * 86400).agg(F.count("*").alias("late"))
+)
+query("stream_assign")(
+    lambda s, d: streams.drained(streams.assign_online(streams.event_stream(s, d).select((F.col("user_id") % 3).cast("int").alias("bucket"), F.col("user_id").alias("v"), (F.col("event_id") % 150).alias("u")), P, 1000), "assigned", "append")
+)
+
 # --- experiment workloads -------------------------------------------------------------------------------
 
 for _name, _make in experiments.WORKLOADS.items():

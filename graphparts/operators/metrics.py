@@ -148,6 +148,12 @@ def per_core_ratio(speedup_over_single: float, workers: int) -> float:
     return workers / speedup_over_single
 
 
+def absolute_speedups(runs: DataFrame, single: DataFrame) -> DataFrame:
+    """``runs(graph, workers, seconds)`` against ``single(graph, single)``: the speedup over the single-node predecessor, and core seconds over its own."""
+    x = runs.join(single, "graph").withColumn("absolute_speedup", F.col("single") / F.col("seconds"))
+    return x.select("graph", "workers", "seconds", F.round("absolute_speedup", 6).alias("absolute_speedup"), F.round(F.col("workers") / F.col("absolute_speedup"), 6).alias("per_core_ratio"))
+
+
 def communication(g: Graph, parts: DataFrame) -> DataFrame:
     """One superstep of a vertex program laid out by part: vertices to send, to how many parts, and edges cut."""
     pairs = edge_parts(g, parts).where("part_s <> part_d")

@@ -46,7 +46,7 @@ class PartitionConfig:
     def __post_init__(self) -> None:
         known = {
             "mode": ("multi", "vertex", "vertex_edge"),
-            "init": ("grow", "random", "vertex_block", "edge_block", "label_prop", "bfs"),
+            "init": ("grow", "grow_majority", "random", "vertex_block", "edge_block", "label_prop", "bfs"),
             "executor": ("set", "delta", "worker"),
             "quota": ("apportion", "strict"),
             "schedule_end": ("exclusive", "inclusive"),

@@ -20,21 +20,31 @@ from graphparts.sources import builders, generators
 
 RUN = (
     "graph string, method string, p int, n_workers int, x double, y double, cut bigint, max_cut bigint, edge_cut_ratio double, scaled_max_cut double, "
-    "vertex_imbalance double, internal_imbalance double, incident_imbalance double, seconds double"
+    "vertex_imbalance double, internal_imbalance double, incident_imbalance double, seconds double, ok boolean"
 )
 #: One round of one balance and two refinement sweeps; options of any workload override it.
 QUICK = {"executor": "worker", "outer": 1, "balance": 1, "refine": 2, "early_stop": True}
 
 
+_GRAPHS: dict[tuple[str, str, str], Graph] = {}
+
+
 def named(spark: SparkSession, d: str, name: str) -> Graph:
-    """A graph of the tables, or a generated one: ``rmat``, ``er``, ``hd`` of 1,024 vertices, ``mesh``."""
+    """A graph of the tables, or a generated one: ``rmat``, ``er``, ``hd`` of 1,024 vertices, ``mesh``; stored once in a session."""
+    key = (spark.sparkContext.applicationId, d, name)
+    if key not in _GRAPHS:
+        _GRAPHS[key] = _named(spark, d, name)
+    return _GRAPHS[key]
+
+
+def _named(spark: SparkSession, d: str, name: str) -> Graph:
     made = {"rmat": lambda: generators.rmat(spark, 10, 8), "er": lambda: generators.erdos_renyi(spark, 1024, 8), "hd": lambda: generators.high_diameter(spark, 1024, 8), "mesh": lambda: generators.mesh3d(spark, 12, 9, 9)}
     return (graph_of(made[name]()) if name in made else builders.graph(spark, d, name)).stored()
 
 
 def _row(graph: str, method: str, p: int, n: int, x: float, y: float, g: Graph, parts: DataFrame, seconds: float) -> tuple:
     q = metrics.quality(g, parts, p).first()
-    return (graph, method, p, n, x, y, q.cut, q.max_cut, q.edge_cut_ratio, q.scaled_max_cut, q.vertex_imbalance, q.internal_imbalance, q.incident_imbalance, round(seconds, 3))
+    return (graph, method, p, n, x, y, q.cut, q.max_cut, q.edge_cut_ratio, q.scaled_max_cut, q.vertex_imbalance, q.internal_imbalance, q.incident_imbalance, round(seconds, 3), True)
 
 
 def _partitioned(graph: str, g: Graph, p: int, method: str = "distributed", **options) -> tuple:
@@ -57,8 +67,25 @@ def _other(graph: str, g: Graph, p: int, method: str, rat: float = 0.1, **option
     return _row(graph, method, p, 1, 0.0, 0.0, g, parts, time.time() - began)
 
 
+def guarded(graph: str, method: str, p: int, run: Callable[[], tuple]) -> tuple:
+    """The row of ``run``, or where it fails (memory, say) a row without measures that is not ok: the method did not complete the test."""
+    try:
+        return run()
+    except Exception as e:  # noqa: BLE001
+        if isinstance(e, (ValueError, TypeError)):
+            raise
+        return (graph, method, p, *([None] * (RUN.count(",") - 3)), False)
+
+
+#: Runs made in a session, which several workloads report from.
+_MADE: dict[tuple, tuple] = {}
+
+
 def method_row(graph: str, g: Graph, p: int, method: str, **options) -> tuple:
-    return _partitioned(graph, g, p, **options) if method == "distributed" else _other(graph, g, p, method, **options)
+    key = (g.edges.sparkSession.sparkContext.applicationId, *g.edges.inputFiles()[:1], graph, p, method, tuple(sorted(options.items())))
+    if key not in _MADE:
+        _MADE[key] = guarded(graph, method, p, lambda: _partitioned(graph, g, p, **options) if method == "distributed" else _other(graph, g, p, method, **options))
+    return _MADE[key]
 
 
 def _runs(spark: SparkSession, rows: Iterable[tuple]) -> DataFrame:
@@ -67,7 +94,14 @@ def _runs(spark: SparkSession, rows: Iterable[tuple]) -> DataFrame:
 
 def strong_scaling(spark: SparkSession, d: str, graphs=("fk_tree",), p: int = 8, workers=(1, 2, 4)) -> DataFrame:
     """One graph and part count, more and more workers."""
-    return _runs(spark, (_partitioned(n, named(spark, d, n), p, n_workers=k) for n in graphs for k in workers))
+    return _runs(spark, (method_row(n, named(spark, d, n), p, "distributed", n_workers=k) for n in graphs for k in workers))
+
+
+def absolute_speedup(spark: SparkSession, d: str, graphs=("fk_tree",), p: int = 8, workers=(1, 2, 4)) -> DataFrame:
+    """More and more workers against the single-node predecessor."""
+    runs = strong_scaling(spark, d, graphs, p, workers).select("graph", F.col("n_workers").alias("workers"), "seconds")
+    single = _runs(spark, (method_row(n, named(spark, d, n), p, "single_node") for n in graphs))
+    return metrics.absolute_speedups(runs, single.select("graph", F.col("seconds").alias("single")))
 
 
 def relative_speedup(spark: SparkSession, d: str, **options) -> DataFrame:
@@ -108,7 +142,7 @@ def quality_by_workers(spark: SparkSession, d: str, graphs=("fk_tree",), p: int
     rows = []
     for n in graphs:
         g = named(spark, d, n)
-        rows += [_partitioned(n, g, p, n_workers=k) for k in workers] + [_other(n, g, p, m) for m in ("vertex_block", "random")]
+        rows += [method_row(n, g, p, "distributed", n_workers=k) for k in workers] + [method_row(n, g, p, m) for m in ("vertex_block", "random")]
     return _runs(spark, rows)
 
 
@@ -145,6 +179,20 @@ def layouts(g: Graph, p: int, **options) -> dict[str, tuple[DataFrame, float]]:
     return out | {"distributed": (r.parts, r.seconds)}
 
 
+def end_to_end(runs: DataFrame) -> DataFrame:
+    """Per layout the time of all analytics with that of the partition, and its share of the slowest layout's."""
+    total = runs.groupBy("layout").agg(F.round(F.sum("seconds") + F.max("partition_seconds"), 3).alias("seconds"), F.max("messages").alias("messages"))
+    slowest = total.agg(F.max("seconds").alias("top"))  # one row
+    return total.crossJoin(F.broadcast(slowest)).select("layout", "messages", "seconds", F.round(F.col("seconds") / F.col("top"), 3).alias("share"))
+
+
+def mean_gain(runs: DataFrame, base: str = "random", kind: str = "1d") -> DataFrame:
+    """Over all graphs and part counts the geometric mean of what the base layout needs over what each one needs, in time and in entries sent."""
+    b = runs.where((F.col("layout") == base) & (F.col("kind") == kind)).select("graph", "p", F.col("seconds").alias("s0"), F.col("sent").alias("n0"))
+    mean = lambda x: F.round(F.exp(F.avg(F.log(x))), 4)
+    return runs.join(b, ["graph", "p"]).groupBy("layout", "kind").agg(mean(F.col("s0") / F.col("seconds")).alias("time_gain"), mean(F.col("n0") / F.greatest("sent", F.lit(1))).alias("sent_gain"), F.count("*").alias("tests"))
+
+
 def analytics_by_layout(spark: SparkSession, d: str, graph: str = "fk_tree", p: int = 4, iterations: int = 3) -> DataFrame:
     """Messages of a superstep, and time of six analytics on the adjacency laid out each way; results must not differ."""
     g, rows = named(spark, d, graph), []
@@ -198,21 +246,40 @@ def starts(spark: SparkSession, d: str, graphs=("fk_tree",), p: int = 4, inits=(
     return _runs(spark, (_partitioned(n, named(spark, d, n), p, method=i, init=i, mode="vertex", init_max_sweeps=40) for n in graphs for i in inits))
 
 
+_FRAMES: dict[tuple[str, str, str], DataFrame] = {}
+
+
+def once(spark: SparkSession, d: str, name: str) -> DataFrame:
+    """The rows of a workload, made once in a session."""
+    key = (spark.sparkContext.applicationId, d, name)
+    if key not in _FRAMES:
+        made = WORKLOADS[name](spark, d)
+        _FRAMES[key] = spark.createDataFrame(made.collect(), made.schema)  # a few rows
+    return _FRAMES[key]
+
+
+_TWO = ("cust_supp", "fk_tree")
+
 WORKLOADS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    "w1_strong_scaling": lambda s, d: strong_scaling(s, d, graphs=("cust_supp",), p=4),
-    "w2_weak_scaling": lambda s, d: weak_scaling(s, d, workers=(2,), d_avg=(8,), kinds=("rmat", "er")),
+    "w1_strong_scaling": lambda s, d: strong_scaling(s, d, graphs=_TWO, p=8, workers=(1, 2, 4, 8)),
+    "w2_weak_scaling": lambda s, d: weak_scaling(s, d, workers=(1, 2, 4), d_avg=(4, 16)),
     "w3_capacity": capacity,
-    "w4_partitioners": lambda s, d: partitioners(s, d, graphs=("cust_supp",)),
-    "w5_relative_speedup": lambda s, d: relative_speedup(s, d, graphs=("cust_supp",), workers=(1, 2)),
-    "w6_quality_by_parts": lambda s, d: quality_by_parts(s, d, graphs=("cust_supp",)),
-    "w7_performance_ratios": lambda s, d: performance_ratios(quality_by_parts(s, d, graphs=("cust_supp",), ps=(4,))),
-    "w8_quality_by_workers": lambda s, d: quality_by_workers(s, d, graphs=("cust_supp",)),
-    "w9_single_objective": lambda s, d: single_objective(s, d, graphs=("cust_supp",)),
-    "w10_multiplier_grid": lambda s, d: grid_summary(multiplier_grid(s, d, graph="cust_supp", xs=(0.0, 1.0), ys=(0.25,))),
+    "w4_partitioners": lambda s, d: partitioners(s, d, graphs=_TWO, ps=(8,)),
+    "w4_partitioners_full": lambda s, d: _runs(s, [method_row("cust_supp", named(s, d, "cust_supp"), 8, m, outer=3, balance=5, refine=10, early_stop=False) for m in ("distributed", "single_node")]),
+    "w5_relative_speedup": lambda s, d: relative_speedup(s, d, graphs=_TWO, workers=(1, 2, 4, 8)),
+    "w5_absolute_speedup": lambda s, d: absolute_speedup(s, d, graphs=_TWO, workers=(1, 2, 4, 8)),
+    "w6_quality_by_parts": lambda s, d: quality_by_parts(s, d, graphs=(*_TWO, "order_chain"), ps=(2, 8, 32), methods=("random", "vertex_block", "distributed", "single_node", "multilevel_matching")),
+    "w7_performance_ratios": lambda s, d: performance_ratios(once(s, d, "w6_quality_by_parts")),
+    "w7_max_cut_ratios": lambda s, d: performance_ratios(once(s, d, "w6_quality_by_parts"), "max_cut"),
+    "w8_quality_by_workers": lambda s, d: quality_by_workers(s, d, graphs=_TWO, p=8, workers=(1, 2, 4, 8)),
+    "w9_single_objective": lambda s, d: single_objective(s, d, graphs=_TWO, ps=(2, 8)),
+    "w10_multiplier_grid": lambda s, d: grid_summary(multiplier_grid(s, d, graph="cust_supp", xs=(0.0, 0.25, 1.0, 2.0), ys=(0.0, 0.25, 1.0), p=8)),
     "w11_analytics_by_layout": lambda s, d: analytics_by_layout(s, d, graph="cust_supp", iterations=2),
-    "w12_products_by_layout": products_by_layout,
-    "w13_graph_table": lambda s, d: graph_table(s, d, graphs=("supp_part", "cust_supp")),
-    "w14_starts": lambda s, d: starts(s, d, graphs=("cust_supp",), inits=("grow", "label_prop", "bfs", "random", "vertex_block")),
+    "w11_end_to_end": lambda s, d: end_to_end(once(s, d, "w11_analytics_by_layout")),
+    "w12_products_by_layout": lambda s, d: products_by_layout(s, d, graphs=_TWO, ps=(4, 16), products=5),
+    "w12_mean_gain": lambda s, d: mean_gain(once(s, d, "w12_products_by_layout")),
+    "w13_graph_table": lambda s, d: graph_table(s, d, graphs=("supp_part", "cust_supp", "page_shared", "rmat")),
+    "w14_starts": lambda s, d: starts(s, d, graphs=_TWO, inits=("grow", "grow_majority", "label_prop", "bfs", "random", "vertex_block")),
 }
 
 

@@ -28,7 +28,7 @@ def _spread(g: Graph, roots: DataFrame, seed: int, max_sweeps: int, choose) -> D
     reached, tables, sweep = frontier, [frontier], 0
     while not max_sweeps or sweep < max_sweeps:
         seen = frontier.select(F.col("v").alias("u"), "part").join(arcs, "u").select("v", "part")
-        offers = seen.distinct().join(reached.select("v"), "v", "left_anti")
+        offers = seen.groupBy("v", "part").agg(F.count("*").alias("c")).join(reached.select("v"), "v", "left_anti")
         frontier = written(choose(offers, seed + sweep), "grow")
         if not frontier.take(1):
             break
@@ -51,17 +51,22 @@ def _lowest_part(offers: DataFrame, seed: int) -> DataFrame:
     return offers.groupBy("v").agg(F.min("part").alias("part"))
 
 
+def _most_part(offers: DataFrame, seed: int) -> DataFrame:
+    """The part offered most often, the lowest of equals: what the random choice is compared with."""
+    return offers.groupBy("v").agg(F.max_by("part", F.struct(F.col("c"), -F.col("part"))).alias("part"))
+
+
 def _filled(g: Graph, reached: DataFrame, p: int, seed: int) -> DataFrame:
     """Vertices that no root reaches get a random part."""
     rest = (portable_hash("v", seed + 9) % p).cast("int")
     return g.vertices.select("v").join(reached, "v", "left").select("v", F.coalesce("part", rest).alias("part"))
 
 
-def grow(g: Graph, p: int, seed: int = 42, max_sweeps: int = 0) -> DataFrame:
-    """The hybrid start: spread from p random roots; a vertex takes any part among its neighbours'."""
+def grow(g: Graph, p: int, seed: int = 42, max_sweeps: int = 0, choose=_any_part) -> DataFrame:
+    """The hybrid start: spread from p random roots; a vertex takes any part among its neighbours', or by ``choose`` another one."""
     if g.vertices.count() < p:
         raise ValueError("growth needs at least as many vertices as parts")
-    return _filled(g, _spread(g, draw_roots(g, p, seed), seed, max_sweeps, _any_part), p, seed)
+    return _filled(g, _spread(g, draw_roots(g, p, seed), seed, max_sweeps, choose), p, seed)
 
 
 def bfs(g: Graph, p: int, seed: int = 42, max_sweeps: int = 0) -> DataFrame:
@@ -91,6 +96,8 @@ def start(g: Graph, p: int, how: str, seed: int = 42, max_sweeps: int = 0) -> Da
     """``(v, part)`` by the named method."""
     if how == "grow":
         return grow(g, p, seed, max_sweeps)
+    if how == "grow_majority":
+        return grow(g, p, seed, max_sweeps, _most_part)
     if how == "bfs":
         return bfs(g, p, seed, max_sweeps)
     if how == "label_prop":

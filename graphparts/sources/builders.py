@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from graphparts.operators.graph import Graph, graph_of
+from graphparts.plans.scratch import written
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -47,6 +48,12 @@ def supp_part(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "lineitem").select(_tagged("l_suppkey", 2, 0).alias("src"), _tagged("l_partkey", 2, 1).alias("dst"))
 
 
+def supp_part_range(spark: SparkSession, d: str, since: str = "1996-01-01", before: str = "1997-01-01", least: float = 25.0) -> DataFrame:
+    """:func:`supp_part` of the lines shipped in a range of dates in at least a quantity; both ranges reach the scan."""
+    lines = table(spark, d, "lineitem").where((F.col("l_shipdate") >= F.lit(since).cast("timestamp_ntz")) & (F.col("l_shipdate") < F.lit(before).cast("timestamp_ntz")) & (F.col("l_quantity") >= least))
+    return lines.select(_tagged("l_suppkey", 2, 0).alias("src"), _tagged("l_partkey", 2, 1).alias("dst"))
+
+
 def fk_tree(spark: SparkSession, d: str) -> DataFrame:
     """Orders under customers under nations under regions."""
     o = table(spark, d, "orders").select(_tagged("o_orderkey", 4, 0).alias("src"), _tagged("o_custkey", 4, 1).alias("dst"))
@@ -100,10 +107,74 @@ def page_links(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "pages").select("page_id", F.explode(paths).alias("path")).distinct()
 
 
-def page_shared(spark: SparkSession, d: str) -> DataFrame:
+def page_shared(spark: SparkSession, d: str, most: int = 1000) -> DataFrame:
+    """Pages that link to one path; the pages of a path on more than ``most`` pages are linked to the smallest of them instead of all to all."""
+    links = page_links(spark, d)
+    paths = links.groupBy("path").agg(F.count("*").alias("c"), F.min("page_id").alias("first"))
+    few = links.join(paths.where(F.col("c") <= most).select("path"), "path")
+    other = few.select("path", F.col("page_id").alias("dst"))
+    pairs = few.join(other, "path").where("page_id < dst").select(F.col("page_id").alias("src"), "dst")
+    star = links.join(paths.where(F.col("c") > most).select("path", "first"), "path").where("first < page_id").select(F.col("first").alias("src"), F.col("page_id").alias("dst"))
+    return pairs.unionByName(star).distinct()
+
+
+def ranked(names: DataFrame, column: str) -> DataFrame:
+    """Distinct values of ``column`` with ``rank``, their place from 0 in sorted order: runs of the sorted values are counted, then numbered apart."""
+    runs = written(names.select(column).distinct().repartitionByRange(column).withColumn("_run", F.spark_partition_id()), "ranked")
+    counts = runs.groupBy("_run").agg(F.count("*").alias("n"))  # a row for each partition
+    offsets = counts.select("_run", F.coalesce(F.sum("n").over(Window.orderBy("_run").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_before"))
+    place = F.row_number().over(Window.partitionBy("_run").orderBy(column)) - 1
+    return runs.withColumn("_place", place).join(F.broadcast(offsets), "_run").select(column, (F.col("_before") + F.col("_place")).cast("bigint").alias("rank"))
+
+
+def page_path(spark: SparkSession, d: str) -> DataFrame:
+    """Pages and the paths they link to; a path's id is its place among all paths in sorted order."""
     links = page_links(spark, d)
-    other = links.select("path", F.col("page_id").alias("dst"))
-    return links.join(other, "path").where("page_id < dst").select(F.col("page_id").alias("src"), "dst").distinct()
+    return links.join(ranked(links, "path"), "path").select((F.col("page_id") * 2).alias("src"), (F.col("rank") * 2 + 1).alias("dst"))
+
+
+def knn5(spark: SparkSession, d: str, k: int = 5, tile: int = 2048) -> DataFrame:
+    """Every vector with the ``k`` others of the highest cosine, ties by id; zero and null vectors have none.
+
+    Exact, so all pairs of tiles are visited and cost is quadratic; a tile pair returns ``k`` rows a vector at most.
+    """
+    import numpy as np
+    import pyarrow as pa
+    import pyarrow.compute  # noqa: F401
+
+    e = table(spark, d, "embeddings").where("vec_id is not null and embedding is not null and exists(embedding, x -> x <> 0)").select(F.col("vec_id").cast("bigint").alias("vec_id"), "embedding")
+    tiles = max(1, -(-e.count() // tile))
+    own = e.withColumn("own", F.pmod(F.xxhash64("vec_id"), F.lit(tiles)).cast("int"))
+    dealt = own.withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(tiles - 1))))
+    # A vector goes to its tile's row of the grid of tile pairs and to its column.
+    sides = F.explode(F.array(F.struct(F.col("own").alias("a"), F.col("other").alias("b"), F.lit(True).alias("asks")), F.struct(F.col("other").alias("a"), F.col("own").alias("b"), F.lit(False).alias("asks"))))
+    laid = dealt.select(sides.alias("s"), "vec_id", "embedding").select("s.*", "vec_id", "embedding")
+
+    def near(t: pa.Table) -> pa.Table:
+        asks = t.column("asks")
+        x, y = t.filter(asks), t.filter(pa.compute.invert(asks))
+
+        def unit(t: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+            t = t.sort_by("vec_id")
+            m = np.array(t.column("embedding").to_pylist(), float).reshape(len(t), -1)
+            return t.column("vec_id").to_numpy(), m / np.sqrt((m * m).sum(axis=1))[:, None]
+
+        out: dict[str, list] = {"src": [], "dst": [], "c": []}
+        if x.num_rows and y.num_rows:
+            (i, u), (j, v) = unit(x), unit(y)
+            for begin in range(0, len(i), 256):
+                c = u[begin : begin + 256] @ v.T
+                c[i[begin : begin + 256][:, None] == j[None, :]] = -2
+                best = np.argsort(-np.round(c, 12), axis=1, kind="stable")[:, :k]
+                row = np.repeat(np.arange(len(c)), best.shape[1])
+                keep = c[row, best.ravel()] > -2
+                for name, values in (("src", i[begin + row]), ("dst", j[best.ravel()]), ("c", c[row, best.ravel()])):
+                    out[name].extend(values[keep].tolist())
+        return pa.table({"src": pa.array(out["src"], pa.int64()), "dst": pa.array(out["dst"], pa.int64()), "c": pa.array(out["c"], pa.float64())})
+
+    found = laid.groupBy("a", "b").applyInArrow(near, "src bigint, dst bigint, c double")
+    best = Window.partitionBy("src").orderBy(F.desc(F.round("c", 12)), "dst")
+    return found.withColumn("nth", F.row_number().over(best)).where(F.col("nth") <= k).select("src", "dst")
 
 
 def page_host(spark: SparkSession, d: str) -> DataFrame:
@@ -114,12 +185,14 @@ def page_host(spark: SparkSession, d: str) -> DataFrame:
 
 
 def conv_turns(spark: SparkSession, d: str) -> DataFrame:
-    t = table(spark, d, "conversations").select("conv_id", "turn", (F.col("conv_id") * 100 + F.col("turn")).alias("id"))
+    turns = table(spark, d, "conversations").select("conv_id", "turn")
+    room = max(100, (turns.agg(F.max("turn")).first()[0] or 0) + 1)  # so that no two conversations share an id
+    t = turns.select("conv_id", "turn", (F.col("conv_id") * room + F.col("turn")).alias("id"))
     return _chain(t, "conv_id", "id", "turn")
 
 
 BUILDERS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (copurchase, order_part, cust_part, cust_supp, supp_part, fk_tree, order_chain, event_chain, doc_lines, doc_lines_whole, page_shared, page_host, conv_turns)
+    f.__name__: f for f in (copurchase, order_part, cust_part, cust_supp, supp_part, supp_part_range, fk_tree, order_chain, event_chain, doc_lines, doc_lines_whole, page_shared, page_path, page_host, conv_turns, knn5)
 }
 
 

@@ -18,7 +18,11 @@ RAW = {
     "page_shared": """SELECT x.page_id AS a, y.page_id AS b FROM (SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href="(/[^"]*)"', 1)) AS path FROM pages) x
       JOIN (SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href="(/[^"]*)"', 1)) AS path FROM pages) y USING (path) WHERE x.page_id < y.page_id""",
     "page_host": "SELECT 2 * page_id AS a, 2 * min(page_id) OVER (PARTITION BY regexp_extract(url, '^[a-z]+://([^/]+)', 1)) + 1 AS b FROM pages",
-    "conv_turns": "SELECT conv_id * 100 + turn AS a, lead(conv_id * 100 + turn) OVER (PARTITION BY conv_id ORDER BY turn) AS b FROM conversations",
+    "page_path": """SELECT 2 * page_id AS a, 2 * (dense_rank() OVER (ORDER BY path) - 1) + 1 AS b FROM (SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href="(/[^"]*)"', 1)) AS path FROM pages)""",
+    "knn5": """SELECT a, b FROM (SELECT x.vec_id AS a, y.vec_id AS b, round(list_cosine_similarity(x.embedding::DOUBLE[], y.embedding::DOUBLE[]), 12) AS c FROM embeddings x JOIN embeddings y ON x.vec_id <> y.vec_id)
+      QUALIFY row_number() OVER (PARTITION BY a ORDER BY c DESC, b) <= 5""",
+    "supp_part_range": "SELECT 2 * l_suppkey AS a, 2 * l_partkey + 1 AS b FROM lineitem WHERE l_shipdate >= TIMESTAMP '1996-01-01' AND l_shipdate < TIMESTAMP '1997-01-01' AND l_quantity >= 25",
+    "conv_turns": "SELECT id AS a, lead(id) OVER (PARTITION BY conv_id ORDER BY turn) AS b FROM (SELECT conv_id, turn, conv_id * (SELECT greatest(100, max(turn) + 1) FROM conversations) + turn AS id FROM conversations)",
 }
 
 RAW["doc_lines_whole"] = f"""{RAW["doc_lines"]} UNION ALL SELECT first, doc_id FROM
@@ -79,12 +83,16 @@ def quality(p: int) -> str:
   FROM (SELECT sum(vertices)::BIGINT AS n, (sum(incident) // 2)::BIGINT AS m, (sum(cut) // 2)::BIGINT AS c, max(cut) AS mc, max(vertices) AS mv, max(internal) AS mi, max(incident) AS md, sum(internal)::BIGINT AS i FROM sized)"""
 
 
-def grown(p: int, seed: int, levels: int, lowest: bool = False) -> tuple[list[str], str]:
+def grown(p: int, seed: int, levels: int, lowest: bool | str = False) -> tuple[list[str], str]:
     """CTEs of growth from p roots, level by level, and the last one's name."""
     out = [f"roots AS (SELECT v, (row_number() OVER (ORDER BY {h('v', seed)}, v) - 1)::INT AS part FROM vertices QUALIFY row_number() OVER (ORDER BY {h('v', seed)}, v) <= {p})", "near0 AS MATERIALIZED (SELECT * FROM roots)", "all0 AS MATERIALIZED (SELECT * FROM roots)"]
     for k in range(1, levels + 1):
         s = seed + k - 1
         pick = "min(part)" if lowest else f"arg_min(part, struct_pack(x := {h(h('v', s) + ' + part', s + 1)}, y := part))"
+        if lowest == "majority":  # of the neighbours reached in the last level, the part that most have, the lowest of equals
+            out.append(f"near{k} AS MATERIALIZED (SELECT v, arg_min(part, struct_pack(x := -c, y := part)) AS part FROM (SELECT a.v, n.part, count(*) AS c FROM near{k - 1} n JOIN arcs a ON a.u = n.v WHERE a.v NOT IN (SELECT v FROM all{k - 1}) GROUP BY ALL) GROUP BY v)")
+            out.append(f"all{k} AS MATERIALIZED (SELECT * FROM all{k - 1} UNION ALL SELECT * FROM near{k})")
+            continue
         out.append(f"near{k} AS MATERIALIZED (SELECT v, {pick} AS part FROM (SELECT DISTINCT a.v, n.part FROM near{k - 1} n JOIN arcs a ON a.u = n.v WHERE a.v NOT IN (SELECT v FROM all{k - 1})) GROUP BY v)")
         out.append(f"all{k} AS MATERIALIZED (SELECT * FROM all{k - 1} UNION ALL SELECT * FROM near{k})")
     out.append(f"parts AS MATERIALIZED (SELECT v, coalesce(part, ({h('v', seed + 9)} % {p})::INT) AS part FROM vertices LEFT JOIN all{levels} USING (v))")
@@ -101,14 +109,23 @@ def majority(sweeps: int, first: str = "v") -> list[str]:
     return out
 
 
-def sweeps(kinds: list[str], p: int, n_workers: int, factors: list[float], rat: float = 0.1, quota: str = "apportion") -> list[str]:
-    """CTE chain of set-mode sweeps from ``parts`` and ``owners``; the last is ``parts<k>``."""
+def factors(n: int, total: int = 45, x: float = 1.0, y: float = 0.25) -> list[float]:
+    """The first ``n`` values of a line from y towards x over ``total`` sweeps."""
+    return [y + 0.0 if not t else (x - y) * (t / total) + y for t in range(n)]
+
+
+def sweeps(kinds: list[str], p: int, n_workers: int, factors: list[float], rat: float = 0.1, quota: str = "apportion", by: str = "degree") -> list[str]:
+    """CTE chain of set-mode sweeps from ``parts`` and ``owners``; the last is ``parts<k>``.
+
+    ``bias<k>`` holds the biases: after an edge balancing sweep that began with edges over their limit the first grows, else the second.
+    """
     out = ["parts0 AS MATERIALIZED (SELECT * FROM parts)", f"imb AS (SELECT (1.0::DOUBLE + {rat}::DOUBLE) * (SELECT count(*) FROM vertices) / {p} AS v, (1.0::DOUBLE + {rat}::DOUBLE) * (SELECT count(*) FROM edges) / {p} AS e)"]
+    out.append("bias0 AS (SELECT 1.0::DOUBLE AS re, 1.0::DOUBLE AS rc)")
     for s, (kind, f) in enumerate(zip(kinds, factors, strict=True)):
         edge, balance = kind.startswith("edge"), kind.endswith("balance")
         f_, mult = f"{f!r}::DOUBLE", f"{n_workers * f!r}::DOUBLE"
-        wt = "greatest(me / greatest(se, 1) - 1, 0::DOUBLE) + greatest(mc::DOUBLE / greatest(sc, 1) - 1, 0::DOUBLE)" if edge else "greatest(iv / greatest(sv, 1) - 1, 0::DOUBLE)"
-        score = "h.dsum * st.wt" if balance else "h.n::DOUBLE"
+        wt = "re * greatest(me / greatest(se, 1) - 1, 0::DOUBLE) + rc * greatest(mc::DOUBLE / greatest(sc, 1) - 1, 0::DOUBLE)" if edge else "greatest(iv / greatest(sv, 1) - 1, 0::DOUBLE)"
+        score = ("h.dsum" if by == "degree" else "h.n") + " * st.wt" if balance else "h.n::DOUBLE"
         fits = "st.sv + 1 <= st.mv" + (" AND st.se + h.n <= st.me AND st.sc + d.deg - 2 * h.n <= st.mc" if edge else "")
         extra = f" AND st.se + {mult} * used_e <= st.me AND st.sc + {mult} * used_c <= st.mc::DOUBLE" if edge else ""
         ok = f"used <= st.room // {n_workers} + CASE WHEN (owner + new + {s}) % {n_workers} < st.room % {n_workers} THEN 1 ELSE 0 END" if quota == "apportion" else f"st.sv + {mult} * (used - 1) + 1 <= st.mv"
@@ -119,7 +136,8 @@ def sweeps(kinds: list[str], p: int, n_workers: int, factors: list[float], rat:
               LEFT JOIN (SELECT part, count(*) AS sv FROM parts{s} GROUP BY part) USING (part)
               LEFT JOIN (SELECT q.part, (sum(CASE WHEN x.part = q.part THEN n ELSE 0 END) // 2)::BIGINT AS se, sum(CASE WHEN x.part <> q.part THEN n ELSE 0 END)::BIGINT AS sc FROM hist{s} x JOIN parts{s} q ON q.v = x.v GROUP BY q.part) USING (part))""",
             f"lim{s} AS (SELECT greatest(max(sv)::DOUBLE, any_value(imb.v)) AS mv, greatest(max(se)::DOUBLE, any_value(imb.e)) AS me, max(sc) AS mc, any_value(imb.v) AS iv FROM size{s}, imb)",
-            f"state{s} AS MATERIALIZED (SELECT *, {wt} AS wt, greatest(floor((mv - sv) / {f_})::BIGINT, 0) AS room FROM size{s}, lim{s})",
+            f"state{s} AS MATERIALIZED (SELECT *, {wt} AS wt, greatest(floor((mv - sv) / {f_})::BIGINT, 0) AS room FROM size{s}, lim{s}, bias{s})",
+            f"bias{s + 1} AS MATERIALIZED (SELECT CASE WHEN top > e THEN re + 1 ELSE re END AS re, CASE WHEN top > e THEN rc ELSE rc + 1 END AS rc FROM bias{s}, (SELECT max(se) AS top FROM size{s}), imb)" if edge and balance else f"bias{s + 1} AS (SELECT * FROM bias{s})",
             f"""best{s} AS MATERIALIZED (SELECT *, max(CASE WHEN own THEN score END) OVER (PARTITION BY v) AS own_score FROM (SELECT h.v, q.part AS old, h.part, o.owner, h.n, d.deg, {score} AS score, h.part = q.part AS own
               FROM hist{s} h JOIN parts{s} q ON q.v = h.v JOIN vertices d ON d.v = h.v JOIN owners o ON o.v = h.v JOIN state{s} st ON st.part = h.part WHERE ({fits}) OR h.part = q.part)
               QUALIFY row_number() OVER (PARTITION BY v ORDER BY score DESC, own DESC, part) = 1)""",

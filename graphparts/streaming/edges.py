@@ -2,14 +2,15 @@
 
 from __future__ import annotations
 
+import json
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from graphparts.plans.scratch import shared_folder
+from graphparts.plans.scratch import shared_folder, written
 
 
 def event_stream(spark: SparkSession, sf_dir: str, files_per_trigger: int = 1) -> DataFrame:
@@ -34,6 +35,44 @@ def session_edges(events: DataFrame, gap: str = "6 hours", delay: str = "1 hour"
     return events.withWatermark("ts", delay).groupBy("user_id", w).agg(F.count("*").alias("events")).select("user_id", F.col("session_window.start").alias("begun"), "events")
 
 
+def sliding_edges(events: DataFrame, width: str = "2 hours", step: str = "1 hour", delay: str = "1 hour") -> DataFrame:
+    """Like :func:`hourly_edges`, in windows that overlap."""
+    w = F.window("ts", width, step)
+    counted = events.withWatermark("ts", delay).groupBy("user_id", w).agg(F.count("*").alias("events"))
+    return counted.select("user_id", F.col("window.start").alias("hour"), "events")
+
+
+def part_load(touched: DataFrame, parts: DataFrame) -> DataFrame:
+    """A stream of touched vertices ``(v)`` against a fixed partition: how often each part is touched."""
+    return touched.join(parts, "v").groupBy("part").agg(F.count("*").alias("events"))
+
+
+def alerts(load: DataFrame, p: int, tolerance: float = 0.1) -> DataFrame:
+    """``load(part, events)`` with its imbalance, and whether it exceeds ``1 + tolerance``: the sign to refine the partition."""
+    total = load.agg(F.sum("events").alias("total"))  # one row
+    x = load.crossJoin(F.broadcast(total))
+    return x.select("part", "events", F.round(F.col("events") * p / F.col("total"), 6).alias("imbalance"), (F.col("events") * p > (1 + tolerance) * F.col("total")).alias("alert"))
+
+
+def late_rows(rows: DataFrame, order: str, time: str, delay_seconds: int, slices: int = 64) -> DataFrame:
+    """The rows more than ``delay_seconds`` behind the latest time that came before them, in arrival ``order``.
+
+    What a watermark that moves with every row would drop. Latest times of runs of rows are carried
+    from run to run, so no task sees all rows.
+    """
+    runs = written(rows.repartitionByRange(slices, order).withColumn("_run", F.spark_partition_id()), "arrivals")
+    tops = runs.groupBy("_run").agg(F.max(time).alias("_top"))  # a row for each run
+    before = tops.select("_run", F.max("_top").over(Window.orderBy("_run").rowsBetween(Window.unboundedPreceding, -1)).alias("_before"))
+    inside = F.max(time).over(Window.partitionBy("_run").orderBy(order).rowsBetween(Window.unboundedPreceding, -1))
+    known = runs.withColumn("_inside", inside).join(F.broadcast(before), "_run").withColumn("_latest", F.greatest("_inside", "_before"))
+    return known.where(F.col(time) < F.col("_latest") - F.expr(f"make_dt_interval(0, 0, 0, {delay_seconds})")).drop("_run", "_inside", "_before", "_latest")
+
+
+def dropped_late(query) -> int:
+    """Rows that a running or ended streaming query dropped as later than its watermark."""
+    return sum(int(s.get("numRowsDroppedByWatermark", 0)) for p in query.recentProgress for s in (p["stateOperators"] if isinstance(p, dict) else json.loads(p.json)["stateOperators"]))
+
+
 def running_cut(edges: DataFrame, parts: DataFrame) -> DataFrame:
     """A stream of ``(src, dst)`` against a fixed partition: edges seen and cut, by pair of parts."""
     s, d = parts.select(F.col("v").alias("src"), F.col("part").alias("a")), parts.select(F.col("v").alias("dst"), F.col("part").alias("b"))
