@@ -138,8 +138,9 @@ class _Run:
         cfg, total = self.cfg, 0
         for _ in range(cfg.release_sweeps):
             if self.workers is not None:
-                _, s = self.stepped(None, None)
-                hist = None
+                hist, s = None, self.known
+                if edges or s is None:  # vertices are counted exactly as they move, edges are not
+                    _, s = self.stepped(None, None)
             else:
                 hist = written(self.histogram(), "hist")
                 s = sizes(self.g.vertices, self._parts, self.p, hist, cfg.edge_measure)
