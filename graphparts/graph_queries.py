@@ -487,5 +487,5 @@ query("stream_assign")(
 
 # --- experiment workloads -------------------------------------------------------------------------------
 
-for _name, _make in experiments.WORKLOADS.items():
-    query(_name)(_make)
+for _name in experiments.WORKLOADS:
+    query(_name)(lambda s, d, n=_name: experiments.once(s, d, n))
