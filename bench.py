@@ -46,6 +46,7 @@ def main() -> None:
         began = time.time()
         out = run()
         times[name] = round(time.time() - began, 3)
+        print(name, times[name], file=sys.stderr, flush=True)
         return out
 
     spark.range(1000).selectExpr("sum(id)").collect()
