@@ -18,6 +18,7 @@ from graphparts.plans.scratch import written
 class Graph:
     edges: DataFrame
     vertices: DataFrame
+    kept: bool = False
 
     @property
     def arcs(self) -> DataFrame:
@@ -26,8 +27,8 @@ class Graph:
         return self.edges.select(both.alias("x"), "w").select("x.v", "x.u", "w")
 
     def stored(self) -> Graph:
-        """The same graph written once in the shared folder, for plans that read it many times."""
-        return Graph(written(self.edges, "edges"), written(self.vertices, "vertices"))
+        """The same graph written once in the shared folder, for plans that read it many times; a graph that is ``kept`` there already is itself."""
+        return self if self.kept else Graph(written(self.edges, "edges"), written(self.vertices, "vertices"), True)
 
     def sizes(self) -> tuple[int, int]:
         """Numbers of vertices and edges."""

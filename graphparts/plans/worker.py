@@ -50,14 +50,19 @@ def layout(g: Graph, owners: DataFrame) -> DataFrame:
     def build(t: pa.Table) -> pa.Table:
         t = t.sort_by([("v", "ascending"), ("u", "ascending")])
         me = t.column("owner")[0].as_py()
-        ids, begin, inverse = np.unique(_ints(t.column("v")), return_index=True, return_inverse=True)
+        v = _ints(t.column("v"))
+        new = np.concatenate([[True], v[1:] != v[:-1]])
+        begin, inverse = np.flatnonzero(new), np.cumsum(new) - 1
+        ids = v[begin]
         there = t.column("u").is_valid().to_numpy()
         u, owner_u, row = _ints(t.column("u"))[there], _ints(t.column("owner_u"))[there], inverse[there]
         deg_u = _ints(t.column("deg_u"))[there]
         away = owner_u != me
-        ghosts, first = np.unique(u[away], return_index=True)
-        idx = np.where(away, len(ids) + np.searchsorted(ghosts, u), np.searchsorted(ids, u))
-        pairs = np.unique(np.column_stack([row[away], owner_u[away]]), axis=0) if away.any() else np.zeros((0, 2), np.int64)
+        ghosts, first, place = np.unique(u[away], return_index=True, return_inverse=True)
+        idx = np.empty(len(u), np.int64)
+        idx[away], idx[~away] = len(ids) + place, np.searchsorted(ids, u[~away])
+        many = int(owner_u.max(initial=0)) + 1
+        pairs = np.unique(row[away] * many + owner_u[away])
         out = {
             "ids": ids,
             "vw": _ints(t.column("vw"))[begin],
@@ -66,8 +71,8 @@ def layout(g: Graph, owners: DataFrame) -> DataFrame:
             "w": _ints(t.column("w"))[there],
             "deg": np.concatenate([_ints(t.column("deg_v"))[begin], deg_u[away][first]]),
             "ghosts": ghosts,
-            "sub_ptr": np.concatenate([[0], np.cumsum(np.bincount(pairs[:, 0], minlength=len(ids)))]),
-            "sub": pairs[:, 1],
+            "sub_ptr": np.concatenate([[0], np.cumsum(np.bincount(pairs // many, minlength=len(ids)))]),
+            "sub": pairs % many,
         }
         return pa.table({"owner": pa.array([me], pa.int32())} | {k: pa.array([out[k].astype(kind).tobytes()], pa.binary()) for k, kind in _ARRAYS.items()})
 
