@@ -17,8 +17,8 @@ def draw_roots(g: Graph, p: int, seed: int) -> DataFrame:
     return drawn.select("v", (F.row_number().over(Window.orderBy("h", "v")) - 1).cast("int").alias("part"))
 
 
-def _spread(g: Graph, n: int, roots: DataFrame, seed: int, max_sweeps: int, choose) -> DataFrame:
-    """Grow from ``roots`` until all ``n`` vertices are reached or no more can be; only those reached in the last sweep are looked at in the next.
+def _spread(g: Graph, roots: DataFrame, seed: int, max_sweeps: int, choose) -> DataFrame:
+    """Grow from ``roots`` until all vertices are reached or no more can be; only those reached in the last sweep are looked at in the next.
 
     A vertex is unassigned only while none of its neighbours was assigned before, so all
     assigned neighbours it has were reached in the sweep just ended.
@@ -26,7 +26,7 @@ def _spread(g: Graph, n: int, roots: DataFrame, seed: int, max_sweeps: int, choo
     arcs = g.arcs.select("v", "u")
     frontier = written(roots, "grow")
     reached, tables, sweep = frontier, [frontier], 0
-    left = n - frontier.count()
+    left = g.vertices.count() - frontier.count()
     while left and (not max_sweeps or sweep < max_sweeps):
         seen = frontier.select(F.col("v").alias("u"), "part").join(arcs, "u").select("v", "part")
         offers = seen.groupBy("v", "part").agg(F.count("*").alias("c")).join(reached.select("v"), "v", "left_anti")
@@ -67,18 +67,16 @@ def _filled(g: Graph, reached: DataFrame, p: int, seed: int) -> DataFrame:
 
 def grow(g: Graph, p: int, seed: int = 42, max_sweeps: int = 0, choose=_any_part) -> DataFrame:
     """The hybrid start: spread from p random roots; a vertex takes any part among its neighbours', or by ``choose`` another one."""
-    n = g.vertices.count()
-    if n < p:
+    if g.vertices.count() < p:
         raise ValueError("growth needs at least as many vertices as parts")
-    return _filled(g, _spread(g, n, draw_roots(g, p, seed), seed, max_sweeps, choose), p, seed)
+    return _filled(g, _spread(g, draw_roots(g, p, seed), seed, max_sweeps, choose), p, seed)
 
 
 def bfs(g: Graph, p: int, seed: int = 42, max_sweeps: int = 0) -> DataFrame:
     """Level by level from p random roots; a vertex takes the lowest part that reaches it first."""
-    n = g.vertices.count()
-    if n < p:
+    if g.vertices.count() < p:
         raise ValueError("growth needs at least as many vertices as parts")
-    return _filled(g, _spread(g, n, draw_roots(g, p, seed), seed, max_sweeps, _lowest_part), p, seed)
+    return _filled(g, _spread(g, draw_roots(g, p, seed), seed, max_sweeps, _lowest_part), p, seed)
 
 
 def majority_sweep(g: Graph, labels_now: DataFrame) -> DataFrame:
