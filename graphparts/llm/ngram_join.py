@@ -28,7 +28,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from graphparts.llm.common import dropped, mapped, mix, odd_constants, utf8, word_hashes, written
@@ -204,7 +204,7 @@ def _forest(left: np.ndarray, right: np.ndarray, n: int) -> list[tuple[int, int]
     return out
 
 
-def _tiled(rows: DataFrame, key: str, member: str, count: str, tile: int) -> DataFrame:
+def _tiled(rows: DataFrame, key: str, member: str, count: str, tile: int | Column) -> DataFrame:
     """Rows of groups with more than ``tile`` members, copied to the pairs of tiles they belong to."""
     g = F.ceil(F.col(count) / F.lit(tile)).cast("int")
     own = F.pmod(F.xxhash64(F.lit(5), member), g).cast("int")

@@ -54,3 +54,28 @@ def test_equals_brute_force(spark):
     assert e.near_duplicate_vectors(df.limit(0)).collect() == []
     odd = spark.createDataFrame([(None, [1.0]), (4, [1.0]), (4, [1.0])], "vec_id bigint, embedding array<float>")
     assert sorted((x.n_links, x.component_id or 0) for x in e.near_duplicate_vectors(odd).collect()) == [(0, 0), (1, 4), (1, 4)]
+
+
+def test_a_large_group_of_near_copies(spark):
+    r = np.random.default_rng(5)
+    x = np.concatenate([r.normal(size=32) + r.normal(size=(700, 32)) * 0.05, r.normal(size=(300, 32))])
+    df = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "vec_id bigint, embedding array<double>")
+    u = x / np.linalg.norm(x, axis=1)[:, None]
+    near = (u @ u.T >= 0.95).sum(axis=1) - 1
+    for tile in (8192, 300):
+        got = {y.vec_id: y for y in e.near_duplicate_vectors(df, tile=tile).collect()}
+        assert [got[k].n_links for k in range(1000)] == near.tolist()
+        assert all(got[k].component_id == 0 for k in range(700)) and all(got[k].kept for k in range(700, 1000))
+
+
+def test_joining_keeps_a_forest():
+    r = np.random.default_rng(2)
+    for n, m in ((50, 30), (50, 400), (1, 0)):
+        a, b = r.integers(0, n, m), r.integers(0, n, m)
+        label = np.arange(n)
+        edges = [x for at in range(0, m, 100) for x in e._joining(label, a[at : at + 100], b[at : at + 100])]
+        want = np.arange(n)
+        for _ in range(n):
+            np.minimum.at(want, a, want[b])
+            np.minimum.at(want, b, want[a])
+        assert label.tolist() == want.tolist() and len(edges) == n - len(set(want.tolist()))
