@@ -148,13 +148,23 @@ def sweeps(kinds: list[str], p: int, n_workers: int, factors: list[float], rat:
     return out
 
 
-def levels(sources: str, n: int) -> list[str]:
+def levels(sources: str, n: int, name: str = "bfs") -> list[str]:
     """BFS from ``sources`` (a query of source), up to n levels: ``bfs(source, v, dist)``."""
-    out = [f"f0 AS MATERIALIZED (SELECT source, source AS v, 0 AS dist FROM ({sources}))", "s0 AS MATERIALIZED (SELECT * FROM f0)"]
+    f, s = f"{name}_f", f"{name}_s"
+    out = [f"{f}0 AS MATERIALIZED (SELECT source, source AS v, 0 AS dist FROM ({sources}))", f"{s}0 AS MATERIALIZED (SELECT * FROM {f}0)"]
     for k in range(1, n + 1):
-        out.append(f"f{k} AS MATERIALIZED (SELECT DISTINCT f.source, a.u AS v, {k} AS dist FROM f{k - 1} f JOIN arcs a ON a.v = f.v WHERE NOT EXISTS (SELECT 1 FROM s{k - 1} s WHERE s.source = f.source AND s.v = a.u))")
-        out.append(f"s{k} AS MATERIALIZED (SELECT * FROM s{k - 1} UNION ALL SELECT * FROM f{k})")
-    out.append(f"bfs AS MATERIALIZED (SELECT * FROM s{n})")
+        out.append(f"{f}{k} AS MATERIALIZED (SELECT DISTINCT f.source, a.u AS v, {k} AS dist FROM {f}{k - 1} f JOIN arcs a ON a.v = f.v WHERE NOT EXISTS (SELECT 1 FROM {s}{k - 1} s WHERE s.source = f.source AND s.v = a.u))")
+        out.append(f"{s}{k} AS MATERIALIZED (SELECT * FROM {s}{k - 1} UNION ALL SELECT * FROM {f}{k})")
+    out.append(f"{name} AS MATERIALIZED (SELECT * FROM {s}{n})")
+    return out
+
+
+def farthest(rounds: int, n: int, seed: int = 17) -> list[str]:
+    """Rounds of BFS of up to n levels, each from one of the vertices farthest from the last source: ``far0``, ``far1`` and so on."""
+    out, source = [], f"SELECT v AS source FROM vertices ORDER BY {h('v', seed)}, v LIMIT 1"
+    for k in range(rounds):
+        out += levels(source, n, f"far{k}")
+        source = f"SELECT v AS source FROM far{k} WHERE dist = (SELECT max(dist) FROM far{k}) ORDER BY {h('v', seed + k)}, v LIMIT 1"
     return out
 
 
