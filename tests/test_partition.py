@@ -2,7 +2,7 @@ import itertools
 
 import pytest
 
-from graphparts.operators import metrics
+from graphparts.operators import distribution, metrics
 from graphparts.operators.graph import graph_of
 from graphparts.plans import baselines, initial
 from graphparts.plans.config import PartitionConfig
@@ -243,3 +243,20 @@ def test_a_sweep_exchanges_labels_only(spark):
     plan = run.workers.layout.groupBy("owner").cogroup(sent.groupBy("owner")).applyInArrow(lambda a, b: a, run.workers.layout.schema)
     text = plan._jdf.queryExecution().executedPlan().toString()
     assert text.count("ENSURE_REQUIREMENTS") == 1 and text.count("InMemoryRelation") == 1, text  # what stands below the relation is kept
+
+
+def test_arcs_of_a_worker_are_laid_out_in_chunks(spark, monkeypatch):
+    """No task that builds them sees a worker's arcs all at once, and the parts are the same for chunks of any size; weights of 1 are left out."""
+    from graphparts.plans import worker
+
+    g = builders.graph(spark, SF, "cust_supp").stored()
+    found = []
+    for chunk in (1 << 20, 300):
+        monkeypatch.setattr(worker, "_CHUNK", chunk)
+        owners = distribution.owners(g, 3)
+        laid = worker.layout(g, worker.sides(g, owners)).where("chunk >= 0").selectExpr("owner", "length(idx) div 4 as arcs", "w").collect()
+        assert sum(r.arcs for r in laid) == 2 * g.edges.count() and all(r.w is None for r in laid)
+        degree = g.vertices.selectExpr("max(deg)").first()[0]
+        assert all(r.arcs < chunk + degree for r in laid) and (len(laid) == 3) == (chunk > 300)
+        found.append(labels(partition(g, 3, executor="worker", **{**QUICK, "n_workers": 3}).parts))
+    assert found[0] == found[1]
