@@ -5,6 +5,7 @@ from graphparts.functions.hashing import portable_hash, portable_hash_of
 from graphparts.operators import analytics, distribution, metrics, spmv
 from graphparts.operators.components import connected_components
 from graphparts.operators.graph import graph_of, induced, stats
+from graphparts.sources import builders
 
 
 def edges(spark, pairs):
@@ -150,3 +151,18 @@ def test_analytics_queries_run_in_full(spark, monkeypatch):
     q.QUERIES["diameter"](spark, "")
     q.QUERIES["harmonic_100"](spark, "")
     assert asked == [10, 100]
+
+
+def test_pages_of_a_frequent_path_are_all_linked(spark):
+    """The pages of a path in several tiles have the same links as those in one, each pair once a path."""
+    d = "/root/testdata/sf0.001"
+    links = [(r.page_id, r.path) for r in builders.page_links(spark, d).collect()]
+    pages = {}
+    for page, path in links:
+        pages.setdefault(path, []).append(page)
+    wanted = {(a, b) for x in pages.values() for a in x for b in x if a < b}
+    assert max(map(len, pages.values())) == 6
+    for most in (2, 1000):
+        found = [(min(r), max(r)) for r in builders.page_shared(spark, d, most).collect()]
+        assert set(found) == wanted
+        assert len(found) == sum(len(x) * (len(x) - 1) // 2 for x in pages.values())
