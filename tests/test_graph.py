@@ -166,3 +166,14 @@ def test_pages_of_a_frequent_path_are_all_linked(spark):
         found = [(min(r), max(r)) for r in builders.page_shared(spark, d, most).collect()]
         assert set(found) == wanted
         assert len(found) == sum(len(x) * (len(x) - 1) // 2 for x in pages.values())
+
+
+def test_queries_of_the_library_itself_read_given_tables(spark):
+    """Generators, schedules and measures work on rows of the tables, so another table gives another result."""
+    from graphparts import graph_queries as q
+
+    def read(name, d):
+        return q.QUERIES[name](spark, d).inputFiles()
+
+    for name in ("gen_rmat", "gen_er", "gen_hd", "gen_mesh", "gen_planted", "mult_schedule", "mult_variants", "speedup", "absolute_speedup", "random_cut_expectation", "udtf_grid"):
+        assert any(f.endswith(("orders.parquet", "customer.parquet", "lineitem.parquet")) for f in read(name, "/root/testdata/sf0.001")), name
