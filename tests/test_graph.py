@@ -177,3 +177,31 @@ def test_queries_of_the_library_itself_read_given_tables(spark):
 
     for name in ("gen_rmat", "gen_er", "gen_hd", "gen_mesh", "gen_planted", "mult_schedule", "mult_variants", "speedup", "absolute_speedup", "random_cut_expectation", "udtf_grid"):
         assert any(f.endswith(("orders.parquet", "customer.parquet", "lineitem.parquet")) for f in read(name, "/root/testdata/sf0.001")), name
+
+
+def test_searches_from_many_sources_share_each_level(spark):
+    """Over 64 sources, two numbers of bits: the same counts as searches that keep a row for each source and vertex, also with a last level."""
+    from graphparts.operators.analytics import bfs_levels, reach_counts
+
+    g = graph_of(spark.range(90).selectExpr("id as src", "(id * 7 + 1) % 90 as dst").union(spark.range(200, 204).selectExpr("id as src", "id + 1 as dst"))).stored()
+    sources = g.vertices.where("v < 70 or v > 199").selectExpr("v as source")
+    for most in (0, 2):
+        rows = sorted(map(tuple, reach_counts(g, sources, most).collect()))
+        assert rows == sorted(map(tuple, bfs_levels(g.arcs, sources, most).groupBy("source", "dist").count().collect()))
+    assert reach_counts(g, sources.limit(0)).count() == 0
+
+
+def test_a_stored_graph_computes_its_edges_once(spark):
+    """Vertices are made of the stored edges: the edges' own plan runs once, isolated vertices and weights included."""
+    seen = spark.sparkContext.accumulator(0)
+
+    def told(batches):
+        for b in batches:
+            seen.add(b.num_rows)
+            yield b
+
+    edges = spark.range(100).selectExpr("id as src", "id + 1 as dst").mapInArrow(told, "src bigint, dst bigint")
+    for given in (None, spark.createDataFrame([(500, 3), (4, 2)], "v bigint, w bigint")):
+        before = seen.value
+        g = graph_of(edges, given).stored()
+        assert seen.value - before == 100 and g.vertices.count() == 101 + (given is not None) and g.edges.count() == 100
