@@ -260,3 +260,37 @@ def test_arcs_of_a_worker_are_laid_out_in_chunks(spark, monkeypatch):
         assert all(r.arcs < chunk + degree for r in laid) and (len(laid) == 3) == (chunk > 300)
         found.append(labels(partition(g, 3, executor="worker", **{**QUICK, "n_workers": 3}).parts))
     assert found[0] == found[1]
+
+
+def test_arcs_of_few_vertices_are_exchanged_once(spark):
+    """Where the vertices are few their places go to all executors, and the layout joins arcs without a shuffle or a sort of them; the parts are those of the other way."""
+    from graphparts.plans import worker
+
+    g = builders.graph(spark, SF, "cust_supp").stored()
+    owners = distribution.owners(g, 3)
+    text = worker.layout(g, worker.sides(g, owners, 3), 3)._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" not in text and "ShuffledHashJoin" not in text and text.count("BroadcastHashJoin") >= 2, text
+
+
+def test_parts_do_not_depend_on_how_arcs_are_joined(spark, monkeypatch):
+    from graphparts.plans import skew, worker
+
+    g = builders.graph(spark, SF, "cust_supp").stored()
+    few = labels(partition(g, 3, executor="worker", **{**QUICK, "n_workers": 3}).parts)
+    monkeypatch.setattr(skew, "SMALL", 0)
+    monkeypatch.setattr(worker, "SMALL", 0)
+    assert labels(partition(g, 3, executor="worker", **{**QUICK, "n_workers": 3}).parts) == few
+
+
+def test_groups_of_large_rows_come_in_small_batches(spark):
+    import pyarrow as pa
+
+    from graphparts.plans.scratch import small_batches, written
+
+    name = "spark.sql.execution.arrow.maxBytesPerBatch"
+    before, rows = spark.conf.get(name, None), spark.range(64).selectExpr("id % 2 as k", "cast(repeat('x', 1000000) as binary) as b")
+    count = lambda a, b: pa.table({"n": pa.array([a.column("b").num_chunks])})
+    with small_batches(spark):
+        found = written(rows.groupBy("k").cogroup(rows.groupBy("k")).applyInArrow(count, "n bigint"))
+    assert all(r.n >= 3 for r in found.collect())
+    assert spark.conf.get(name, None) == before
