@@ -30,8 +30,14 @@ def utf8(text: str | None) -> bytes:
     return b"" if text is None else text.encode("utf-8", "surrogatepass")
 
 
-def mapped(df: DataFrame, function: Callable[[pa.RecordBatch], dict | None], schema: str) -> DataFrame:
-    """``df`` batch by batch through ``function``, which returns columns by name."""
+def pieces(batch: pa.RecordBatch, rows: int) -> Iterator[pa.RecordBatch]:
+    """``batch`` in consecutive pieces of at most ``rows`` rows that share its memory."""
+    for begin in range(0, batch.num_rows, rows):
+        yield batch.slice(begin, rows)
+
+
+def mapped(df: DataFrame, function: Callable[[pa.RecordBatch], dict | None], schema: str, rows: int = 1 << 31) -> DataFrame:
+    """``df`` batch by batch through ``function``, which returns columns by name and sees at most ``rows`` rows at once, so that what it makes of them is bounded."""
     from pyspark.sql.pandas.types import to_arrow_schema
     from pyspark.sql.types import StructType
 
@@ -39,7 +45,9 @@ def mapped(df: DataFrame, function: Callable[[pa.RecordBatch], dict | None], sch
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            if batch.num_rows and (out := function(batch)) is not None:
+            for piece in pieces(batch, rows):
+                if (out := function(piece)) is None:
+                    continue
                 yield pa.RecordBatch.from_arrays([pa.array(out[f.name], type=f.type) for f in arrow], schema=arrow)
 
     return df.mapInArrow(run, schema)

@@ -36,6 +36,8 @@ from graphparts.operators.components import connected_components
 from graphparts.plans.skew import hub_limit, join_per_key
 
 SLOTS = 64
+#: The most texts that a Python worker takes apart at once.
+TEXTS = 512
 LEVELS = 2
 _ROW, _D1, _D2, _N, _FIRST, _SKETCH = "_nj_row", "_nj_d1", "_nj_d2", "_nj_n", "_nj_p1", "_nj_sketch"
 _OWN = f"{_D1} bigint, {_D2} bigint, {_N} int, {_FIRST} array<bigint>, {_SKETCH} binary"
@@ -143,7 +145,7 @@ def _shingled(docs: DataFrame, doc_id: str, text: str, runs: int, threshold: flo
 
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in plain.schema), _OWN])
     # Numbers drawn while writing are fixed from then on.
-    return written(mapped(plain, run, schema).withColumn(_ROW, F.monotonically_increasing_id()), "shingled")
+    return written(mapped(plain, run, schema, TEXTS).withColumn(_ROW, F.monotonically_increasing_id()), "shingled")
 
 
 def _deepened(runs: int, threshold: float, size: int, levels: int) -> Callable[[pa.RecordBatch], dict]:
@@ -326,7 +328,7 @@ def _buckets(reps: DataFrame, texts: DataFrame, target_recall: float, threshold:
     # A pair that shares a large bucket has both its sets here: only they need more runs.
     pair = "array<struct<parent:bigint,key:bigint>>"
     schema = ", ".join(["rep bigint", "p1 array<bigint>", *(f"p{k} {pair}" for k in range(2, levels + 1))])
-    deep = written(mapped(large.join(texts, "rep"), _deepened(runs_for(target_recall, levels), threshold, size, levels), schema), "deep")
+    deep = written(mapped(large.join(texts, "rep"), _deepened(runs_for(target_recall, levels), threshold, size, levels), schema, TEXTS), "deep")
     rows = deep.select("rep", F.explode("p1").alias("key"))
     for level in range(1, levels + 1):
         found = shared(rows, f"level{level}")

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphparts.llm.common import fold_column, hashed_sample, held_out_column, mapped, odd_constants, utf8, written
+from graphparts.llm.common import fold_column, hashed_sample, held_out_column, mapped, odd_constants, pieces, utf8, written
 
 PASSAGE = 64
 _KINDS = ("space", "newline", "lower", "upper", "digit", "stop", "comma", "shout", "pipe", "symbol", "bracket", "quote", "other", "beyond")
@@ -251,8 +251,8 @@ def keep(df: DataFrame, model: Model, *, text: str = "text", least: float = 0.5)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            if batch.num_rows:
-                y = np.concatenate([shared.value.scores(part) for part in portions(batch.column(place).to_pylist())])
-                yield batch.filter(pa.array(y >= least))
+            for piece in pieces(batch, 512):
+                y = np.concatenate([shared.value.scores(part) for part in portions(piece.column(place).to_pylist(), 150_000)])
+                yield piece.filter(pa.array(y >= least))
 
     return df.mapInArrow(run, df.schema)

@@ -63,3 +63,23 @@ def test_columns_of_the_same_names_pass(spark):
         assert out.columns == docs.columns, name
         assert all(x[n] == n for x in out.collect() for n in names), name
         assert stage(spark, docs.limit(0), "/root/testdata/sf0.001").collect() == []
+
+
+def test_python_sees_few_rows_at_once(spark):
+    from graphparts.llm.common import mapped
+
+    rows = spark.range(0, 1000, 1, 2)
+    got = mapped(rows, lambda b: {"id": b.column(0), "n": [b.num_rows] * b.num_rows}, "id bigint, n int", 64).collect()
+    assert sorted(r.id for r in got) == list(range(1000)) and max(r.n for r in got) == 64
+
+
+def test_quality_stage_keeps_the_same_rows_in_pieces(spark):
+    import numpy as np
+
+    from graphparts.llm.quality_mil import fit, keep
+
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.01/{n}.parquet") for n in ("documents", "labels"))
+    model = fit(docs, labels)
+    rows = docs.select("doc_id", "text").collect()
+    wanted = sorted(r.doc_id for r in rows if np.asarray(model.scores([r.text]))[0] >= 0.5)
+    assert len(rows) > 512 and sorted(r.doc_id for r in keep(docs.coalesce(1), model).collect()) == wanted
