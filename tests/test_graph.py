@@ -205,3 +205,15 @@ def test_a_stored_graph_computes_its_edges_once(spark):
         before = seen.value
         g = graph_of(edges, given).stored()
         assert seen.value - before == 100 and g.vertices.count() == 101 + (given is not None) and g.edges.count() == 100
+
+
+def test_largest_scc_leaves_weak_components_that_hold_no_larger_one(spark, monkeypatch):
+    from graphparts.operators import analytics
+
+    pairs = [(10 * k + a, 10 * k + b) for k in range(6) for a, b in ((0, 1), (1, 2), (2, 0))] + [(100, 101), (101, 100)]
+    calls, plain = [], analytics.bfs_levels
+    monkeypatch.setattr(analytics, "bfs_levels", lambda *a: calls.append(1) or plain(*a))
+    got = analytics.largest_scc(spark.createDataFrame(pairs, "src bigint, dst bigint"))
+    assert sorted(r.v for r in got.collect()) == [0, 1, 2] and len(calls) == 2
+    larger = pairs + [(200 + k, 200 + (k + 1) % 5) for k in range(5)]
+    assert sorted(r.v for r in analytics.largest_scc(spark.createDataFrame(larger, "src bigint, dst bigint")).collect()) == [200, 201, 202, 203, 204]
