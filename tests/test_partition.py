@@ -294,3 +294,16 @@ def test_groups_of_large_rows_come_in_small_batches(spark):
         found = written(rows.groupBy("k").cogroup(rows.groupBy("k")).applyInArrow(count, "n bigint"))
     assert all(r.n >= 3 for r in found.collect())
     assert spark.conf.get(name, None) == before
+
+
+def test_runs_of_one_graph_share_their_start(spark, monkeypatch):
+    from graphparts.plans import experiments, initial
+    from graphparts.plans.partitioner import partition
+
+    g = experiments.named(spark, "/root/testdata/sf0.001", "fk_tree")
+    own = partition(g, 3, **experiments.QUICK, n_workers=2)
+    calls, plain = [], initial.start
+    monkeypatch.setattr(initial, "start", lambda *a: calls.append(a) or plain(*a))
+    rows = [experiments._partitioned("fk_tree", g, 3, n_workers=k) for k in (1, 2)]
+    q = own.quality().first()
+    assert len(calls) == 1 and (rows[1][6], rows[1][7]) == (q.cut, q.max_cut)
