@@ -1,5 +1,7 @@
 import itertools
 
+import numpy as np
+import pyarrow as pa
 import pytest
 
 from graphparts.operators import distribution, metrics
@@ -342,3 +344,11 @@ def test_a_kept_histogram_is_the_counted_one(spark):
         assert run.one(kind, t)
     rows = lambda df: sorted(map(tuple, df.select("v", "part", "n", "dsum").collect()))
     assert rows(run.histogram()) == rows(histogram(g, run.parts))
+
+
+@pytest.mark.parametrize("top, widths", [(5, [2, 2]), (1 << 20, [4, 4]), (1 << 40, [8, 8])])
+def test_a_histogram_is_packed_without_loss(top, widths):
+    held = np.array([[[0, top], [1, 2], [top, 0]], [[top, 0], [0, 0], [3, top]]], np.int64)
+    kept, found = worker._packed(held)
+    assert found == widths and len(kept) == 12 * widths[0]
+    assert (worker._unpacked(pa.py_buffer(kept), found, 3) == held).all()
