@@ -352,3 +352,21 @@ def test_a_histogram_is_packed_without_loss(top, widths):
     kept, found = worker._packed(held)
     assert found == widths and len(kept) == 12 * widths[0]
     assert (worker._unpacked(pa.py_buffer(kept), found, 3) == held).all()
+
+
+def test_the_grid_of_multipliers_reaches_both_ends(spark, monkeypatch):
+    """Every X gives balance sweeps of its own: with one balance sweep all were made at Y, and the stage on edges was left out."""
+    from graphparts.plans import experiments
+
+    seen, plain = [], experiments.partition
+
+    def one(g, p, cfg, parts):
+        seen.append(cfg)
+        return plain(g, p, cfg, parts, outer=1, balance=0, refine=0, release="none")
+
+    monkeypatch.setattr(experiments, "partition", one)
+    rows = experiments.WORKLOADS["w10_multiplier_grid"](spark, SF).collect()
+    sweeps = [o * 15 + k for o in range(3) for k in range(5)]
+    assert len(rows) == 9 and len({tuple(c.mult(t) for t in sweeps) for c in seen}) == 9
+    assert {(c.mode, c.outer, c.balance, c.refine, c.early_stop) for c in seen} == {("multi", 3, 5, 10, False)}
+    assert spark.conf.get("spark.sql.execution.arrow.maxBytesPerBatch") != "8m"
