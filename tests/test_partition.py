@@ -370,3 +370,24 @@ def test_the_grid_of_multipliers_reaches_both_ends(spark, monkeypatch):
     assert len(rows) == 9 and len({tuple(c.mult(t) for t in sweeps) for c in seen}) == 9
     assert {(c.mode, c.outer, c.balance, c.refine, c.early_stop) for c in seen} == {("multi", 3, 5, 10, False)}
     assert spark.conf.get("spark.sql.execution.arrow.maxBytesPerBatch") != "8m"
+
+
+def test_analytics_by_layout_run_in_full_on_arcs_placed_once(spark, monkeypatch):
+    from graphparts.plans import experiments
+
+    path, asked = graph_of(edges(spark, PATH)).stored(), []
+    monkeypatch.setattr(experiments, "named", lambda *a: path)
+    monkeypatch.setattr(experiments, "layouts", lambda g, p, **o: asked.append(("layouts", o["outer"], o["balance"], o["refine"], o["early_stop"])) or {"random": (baselines.random(g, p), 0.0)})
+
+    def stub(name, column):
+        def run(x, *a, **o):
+            asked.append((name, x.edges.storageLevel.useDisk, *a, *o.items()))
+            return path.vertices.selectExpr("v", f"v as {column}")
+
+        monkeypatch.setattr(experiments.analytics, name, run)
+
+    for name, column in (("pagerank", "rank"), ("label_propagation", "community"), ("kcore", "core"), ("harmonic", "harmonic")):
+        stub(name, column)
+    rows = experiments.WORKLOADS["w11_analytics_by_layout"](spark, SF).collect()
+    assert [r.analytic for r in rows] == ["pagerank", "labels", "wcc", "kcore", "harmonic", "scc"]
+    assert asked == [("layouts", 3, 5, 10, False), ("pagerank", True, 10), ("label_propagation", True, 5), ("kcore", True), ("harmonic", True, 100)]
