@@ -391,3 +391,20 @@ def test_analytics_by_layout_run_in_full_on_arcs_placed_once(spark, monkeypatch)
     rows = experiments.WORKLOADS["w11_analytics_by_layout"](spark, SF).collect()
     assert [r.analytic for r in rows] == ["pagerank", "labels", "wcc", "kcore", "harmonic", "scc"]
     assert asked == [("layouts", 3, 5, 10, False), ("pagerank", True, 10), ("label_propagation", True, 5), ("kcore", True), ("harmonic", True, 100)]
+
+
+def test_multilevel_coarsens_a_star_to_the_end(spark, monkeypatch):
+    """Around hubs neighbours leave one pair each; leaves are paired too, and no workload limits the levels."""
+    from graphparts.plans import experiments
+
+    g = graph_of(spark.range(600).selectExpr("id % 3 as src", "id + 10 as dst")).stored()
+    alone = baselines.matching(g)
+    more = [(r.v, r.mate) for r in baselines.pairs_around(g, alone, most=50).collect()]
+    ends = [x for pair in more for x in pair] + [x for r in alone.collect() for x in (r.v, r.mate)]
+    assert len(ends) == len(set(ends)) and len(ends) > 560 and all(a < b and (a - b) % 3 == 0 for a, b in more)
+    solved, asked, plain = [], [], baselines.solve_small
+    monkeypatch.setattr(baselines, "solve_small", lambda x, *a: solved.append(x.vertices.count()) or plain(x, *a))
+    whole = baselines.multilevel
+    monkeypatch.setattr(baselines, "multilevel", lambda *a, **o: asked.append(o) or whole(*a, **o, coarsest=160))
+    row = experiments._other("star", g, 4, "multilevel_matching")
+    assert solved[0] <= 160 and asked == [{}] and row[-1]
